@@ -6,10 +6,14 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from twinslot.llm import packing, quality, secrets, simhash
+from twinslot.llm import langid, packing, quality, secrets, simhash
 from twinslot.llm.common import cut, free_name
 
-COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+
+def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents in one of the languages."""
+    found = langid.identify(docs, langid.train(docs), declared=F.col("lang"), host=F.col("source"))
+    return found.where(F.col(f"`{found.columns[-1]}`.kept")).select(*docs.columns)
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,6 +51,7 @@ def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 STAGES = [
+    ("language_id", language_id),
     ("quality_rules", quality_rules),
     ("simhash_near_dedup", near_duplicates),
     ("secret_scan", secret_scan),

@@ -6,10 +6,15 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, chat, packing, quality, secrets, simhash, warc
+from . import bpe, chat, langid, lm, packing, quality, secrets, simhash, topk, warc
 from .common import table
 
 
+def op1_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Trigram stupid-backoff scores of all documents against all documents."""
+    return lm.score(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rule ledger of all documents under the production policy."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
@@ -28,6 +33,11 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_groups(table(spark, sf_dir, "documents", "doc_id", "text"), radius=2, shingle=3)
 
 
+def op4_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The 20 best rows for every twentieth embedding."""
+    return topk.top_k(table(spark, sf_dir, "embeddings", "vec_id", "embedding"), k=20, every=20)
+
+
 def op5_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Base and Markov spans of all documents."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
@@ -53,6 +63,22 @@ def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Language of all documents: text, declared language, and the source as host."""
+    docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source")
+    found = langid.identify(docs, langid.train(docs), declared=F.col("lang"), host=F.col("source"))
+    return found.select("doc_id", "language.*")
+
+
+def op7_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Language of all web pages, with all four kinds of evidence."""
+    model = langid.train(table(spark, sf_dir, "documents", "doc_id", "text", "lang"))
+    pages = table(spark, sf_dir, "pages", "page_id", "url", "html")
+    seen = pages.select("page_id", *(v.alias(k) for k, v in langid.pages_evidence(F.col("url"), F.col("html")).items()))
+    found = langid.identify(seen, model, declared=F.col("declared"), suffix=F.col("suffix"), host=F.col("host"), parent=F.col("parent"))
+    return found.select("page_id", "language.*")
+
+
 def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Archive of all pages, written and read back."""
     paths = warc.write(table(spark, sf_dir, "pages", "page_id", "url", "html"), min_bytes=0)
