@@ -26,7 +26,7 @@ def range_bits(card: np.ndarray | int, cfg: Config) -> np.ndarray:
 def range_bits_column(card: Column, cfg: Config) -> Column:
     """The same in Column arithmetic (card >= 1)."""
     bits = F.when(card <= 1, F.lit(1)).otherwise(F.length(F.bin((card - 1).cast("long"))) + 1)
-    r = F.shiftleft(F.lit(1).cast("long"), bits)
+    r = F.call_function("shiftleft", F.lit(1).cast("long"), bits)
     if cfg.slack > 0:
         bits = bits + F.when(r < card * F.lit(2 * (1 + cfg.slack)), 1).otherwise(0)
     return F.least(F.greatest(bits, F.lit(cfg.r0_bits)), F.lit(max(cfg.cap_bits, cfg.r0_bits))).cast("int")
