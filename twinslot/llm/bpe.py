@@ -19,7 +19,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 #: Pieces remembered per worker, and the longest piece worth remembering (bytes).
-REMEMBERED, LONGEST = 400_000, 64
+REMEMBERED, LONGEST = 1_000_000, 64
 NONE = 1 << 62
 
 
@@ -138,7 +138,8 @@ def encode(text: Column, path: str, pattern: str) -> Column:
         ends = np.cumsum([0] + [len(r) // 4 for r in rows], dtype=np.int64).astype(np.int32)
         return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.frombuffer(b"".join(rows), "<i4"), pa.int32()))
 
-    return F.arrow_udf(ids_of, "array<int>")(text)
+    # Not to be repeated: without this the optimiser would encode again for each use of the ids.
+    return F.arrow_udf(ids_of, "array<int>").asNondeterministic()(text)
 
 
 def decode(ids: Column, path: str, pattern: str) -> Column:
