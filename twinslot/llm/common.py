@@ -1,49 +1,13 @@
-"""Shared helpers: tables, the cluster's shared folder, lineage cuts, components.
-
-Everything written here goes to the folder named by ``spark.checkpoint.dir``,
-which driver and executors share, so a lost executor never takes a written
-intermediate with it.
-"""
+"""Shared helpers: tables, free column names, connected components."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..stages import cut, discard, new_path, shared_dir
 
-def shared_dir(spark: SparkSession) -> str:
-    """The session's checkpoint folder; a private one is set only where none is named."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if not named:
-        named = tempfile.mkdtemp(prefix="twinslot-")
-        spark.conf.set("spark.checkpoint.dir", named)
-    return named.rstrip("/")
-
-
-def new_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/twinslot-{label}-{uuid.uuid4().hex}"
-
-
-def cut(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: lineage ends here."""
-    spark = df.sparkSession
-    path = new_path(spark, label)
-    df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._twinslot_path = path
-    return out
-
-
-def discard(df: DataFrame) -> None:
-    """Delete what ``cut`` wrote, through the file system that holds it."""
-    path = getattr(df, "_twinslot_path", None)
-    if path:
-        jvm = df.sparkSession._jvm
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
+__all__ = ["components", "cut", "discard", "free_name", "new_path", "shared_dir", "table"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
