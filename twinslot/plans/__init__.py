@@ -1,0 +1 @@
+"""Choice of method and container by cost."""
