@@ -22,7 +22,7 @@ def read_baskets(spark: SparkSession, path: str, sep: str = " ", tid: str | None
     tokens = F.split(F.trim("value"), sep)
     lines = spark.read.text(path).select(tokens.alias("tokens"), F.monotonically_increasing_id().alias("line"))
     if tid == "first":
-        rows = lines.select(F.element_at("tokens", 1).cast("long").alias("tid"), F.explode(F.slice("tokens", 2, 1 << 30)).alias("token"))
+        rows = lines.select(F.element_at("tokens", 1).try_cast("long").alias("tid"), F.explode(F.slice("tokens", 2, 1 << 30)).alias("token"))
     else:
         rows = lines.select(F.col("line").alias("tid"), F.explode("tokens").alias("token"))
     return rows.where("token <> ''")
