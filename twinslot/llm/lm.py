@@ -11,6 +11,9 @@ joined to the documents' n-grams, summed per document - but their rows are block
 * ``answers``: the corpus-wide counts for each request, made in the hash partition.
 
 Blocks then meet their answers and sum scores. N-grams are compared by 64-bit hashes.
+Tables keep n-grams that occur ``min_count`` times or more, and a trigram can't occur
+more often than its bigrams; so trigrams are asked for after the bigrams have been
+answered, and only those of which both bigrams are frequent enough.
 """
 
 from __future__ import annotations
@@ -26,7 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, release
 
 ORDER, BACKOFF, MIN_COUNT = 3, 0.4, 2
 BLOCK_CHARS, PART_ENTRIES, LEAST_PARTS = 6_000_000, 1_500_000, 64
@@ -71,6 +74,10 @@ def _blocks(block_chars: int):
             nonlocal seq, ids, lengths, codes, parts, size
             vocabulary = np.fromiter((xxhash.xxh64_intdigest(w) for w in codes), np.uint64, len(codes))
             flat = np.concatenate(parts) if parts else np.zeros(0, np.int32)
+            common = np.argsort(-np.bincount(flat, minlength=len(codes)), kind="stable")  # small numbers for frequent words
+            number = np.empty(len(codes), np.int32)
+            number[common] = np.arange(len(codes), dtype=np.int32)
+            vocabulary, flat = vocabulary[common], number[flat]
             block = TaskContext.get().partitionId() << 32 | seq
             out = [[block], [len(flat)], [ids], [lengths], [vocabulary.tobytes()], [_squeeze(flat)]]
             kinds = [pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.binary(), pa.binary()]
@@ -119,24 +126,77 @@ def _load(block: dict) -> tuple[np.ndarray, np.ndarray]:
     return vocabulary[indices] if len(indices) else np.zeros(0, np.uint64), lengths
 
 
-def _requests(parts: int, order: int):
+REQUEST_KINDS = (pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.binary())
+REQUEST_NAMES = ["part", "block", "n", "hashes", "counts"]
+
+
+def _asked(block: int, n: int, distinct: np.ndarray, counts: np.ndarray, parts: int) -> list[tuple]:
+    """Request rows of one block and order: sorted hashes cut by equal shares of their range."""
     shares = np.uint64((1 << 64) // parts + 1)
+    edges = np.searchsorted((distinct // shares).astype(np.int64), np.arange(parts + 1))
+    return [
+        (p, block, n, _sorted_out(distinct[lo:hi]), _squeeze(counts[lo:hi].astype("<u4")))
+        for p, (lo, hi) in enumerate(zip(edges[:-1], edges[1:]))
+        if hi > lo
+    ]
 
+
+def _requests(parts: int, order: int):
     def run(batches):
         for batch in batches:
             for block in batch.to_pylist():
                 words, lengths = _load(block)
                 for n, grams in enumerate(_ngrams(words, lengths, order), 1):
-                    distinct, counts = np.unique(grams[grams != 0] if n > 1 else grams, return_counts=True)
-                    edges = np.searchsorted((distinct // shares).astype(np.int64), np.arange(parts + 1))
-                    rows = [
-                        (p, block["block"], n, _sorted_out(distinct[lo:hi]), _squeeze(counts[lo:hi].astype("<u4")))
-                        for p, (lo, hi) in enumerate(zip(edges[:-1], edges[1:]))
-                        if hi > lo
-                    ]
+                    rows = _asked(block["block"], n, *np.unique(_present(grams, n), return_counts=True), parts)
                     if rows:
-                        kinds = (pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.binary())
-                        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], ["part", "block", "n", "hashes", "counts"])
+                        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), REQUEST_KINDS)], REQUEST_NAMES)
+
+    return run
+
+
+def _present(grams: np.ndarray, n: int) -> np.ndarray:
+    return grams[grams != 0] if n > 1 else grams
+
+
+def _by_order(answers: pa.Table) -> dict[int, np.ndarray]:
+    """Answered counts of one block by order, in the order of its sorted distinct hashes."""
+    out: dict[int, list] = {}
+    for a in answers.sort_by([("n", "ascending"), ("part", "ascending")]).to_pylist():
+        out.setdefault(a["n"], []).append(_expand(a["counts"], "<i8"))
+    return {n: np.concatenate(c) for n, c in out.items()}
+
+
+def _looked_up(grams: np.ndarray, asked: np.ndarray, counts: np.ndarray | None) -> np.ndarray:
+    """Corpus-wide count of the n-gram that ends at each word where it was asked for, else 0."""
+    here = np.zeros(len(grams), np.int64)
+    if counts is not None and asked.any():
+        some = grams[asked]
+        here[asked] = counts[np.searchsorted(np.unique(some), some)]
+    return here
+
+
+def _seen(words: np.ndarray, lengths: np.ndarray, order: int, counts: dict[int, np.ndarray], min_count: int):
+    """N-gram hashes and corpus-wide counts by order; trigrams are asked for only where both bigrams are frequent."""
+    grams = _ngrams(words, lengths, order)
+    asked = [np.ones(len(words), bool), *(g != 0 for g in grams[1:])]
+    seen = []
+    for n in range(1, order + 1):
+        if n == 3:
+            frequent = seen[1] >= min_count
+            asked[2] = asked[2] & frequent & np.roll(frequent, 1)
+        seen.append(_looked_up(grams[n - 1], asked[n - 1], counts.get(n)))
+    return grams, asked, seen
+
+
+def _trigram_requests(parts: int, min_count: int):
+    def run(blocks: pa.Table, answers: pa.Table) -> pa.Table:
+        counts, rows = _by_order(answers), []
+        for block in blocks.to_pylist():
+            words, lengths = _load(block)
+            grams, asked, _ = _seen(words, lengths, 3, counts, min_count)
+            rows += _asked(block["block"], 3, *np.unique(grams[2][asked[2]], return_counts=True), parts)
+        columns = list(zip(*rows)) or [()] * 5
+        return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(columns, REQUEST_KINDS)], names=REQUEST_NAMES)
 
     return run
 
@@ -164,19 +224,10 @@ def _answers(table: pa.Table) -> pa.Table:
 def _scores(order: int, backoff: float, min_count: int, total: int):
     def run(blocks: pa.Table, answers: pa.Table) -> pa.Table:
         rows: list[tuple] = []
-        counts: dict[int, list] = {}
-        for a in answers.sort_by([("n", "ascending"), ("part", "ascending")]).to_pylist():
-            counts.setdefault(a["n"], []).append(_expand(a["counts"], "<i8"))
+        counts = _by_order(answers)
         for block in blocks.to_pylist():
             words, lengths = _load(block)
-            seen = []
-            for n, grams in enumerate(_ngrams(words, lengths, order), 1):
-                distinct = np.unique(grams[grams != 0] if n > 1 else grams)
-                c = np.concatenate(counts[n]) if n in counts else np.zeros(0, np.int64)
-                here = np.zeros(len(words), np.int64)
-                has = grams != 0 if n > 1 else np.ones(len(words), bool)
-                here[has] = c[np.searchsorted(distinct, grams[has])]
-                seen.append(here)
+            _, _, seen = _seen(words, lengths, order, counts, min_count)
             at = np.arange(len(words)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
             level, value = np.zeros(len(words), np.int64), np.zeros(len(words))
             for n in range(order, 0, -1):
@@ -214,12 +265,18 @@ def score(
     """
     if not 1 <= order <= 3:
         raise ValueError("order must be 1, 2 or 3")
+    if min_count < 1:
+        raise ValueError("min_count must be 1 or more")
     blocks = cut(docs.select(F.col(doc_id).cast("long"), F.col(text)).mapInArrow(_blocks(block_chars), BLOCK_SCHEMA), "lm-blocks")
     total = blocks.agg(F.sum("n_words")).first()[0] or 0
     parts = max(LEAST_PARTS, math.ceil(total * order / PART_ENTRIES))
-    requests = blocks.mapInArrow(_requests(parts, order), REQUEST_SCHEMA)
-    answers = cut(requests.groupBy("part").applyInArrow(_answers, ANSWER_SCHEMA), "lm-answers")
-    docs.sparkSession._jvm.System.gc()  # lets Spark drop the requests' shuffle files before the next shuffle
+    asked = blocks.mapInArrow(_requests(parts, min(order, 2)), REQUEST_SCHEMA)
+    answers = cut(asked.groupBy("part").applyInArrow(_answers, ANSWER_SCHEMA), "lm-answers")
+    release(docs.sparkSession)
+    if order == 3:
+        more = blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_trigram_requests(parts, min_count), REQUEST_SCHEMA)
+        answers = answers.unionByName(cut(more.groupBy("part").applyInArrow(_answers, ANSWER_SCHEMA), "lm-answers"))
+        release(docs.sparkSession)
     return (
         blocks.groupBy("block")
         .cogroup(answers.groupBy("block"))
