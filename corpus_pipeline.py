@@ -26,9 +26,13 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each near-duplicate group: the one with the smallest id."""
     groups = simhash.near_groups(docs)
-    first = cut(groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("first_id")).distinct(), "first")
-    kept = docs.join(first, F.col("doc_id").eqNullSafe(F.col("first_id")), "left_semi")
-    return kept.dropDuplicates(["doc_id"]).select(*docs.columns)
+    chosen = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    first = cut(chosen.groupBy(F.col("doc_id").alias("first_id")).agg(F.count("*").alias("rows")), "first")
+    # The ids are the side that is hashed, so texts are shuffled once and never sorted.
+    kept = docs.join(first.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("first_id")), "left_semi")
+    if not first.where("rows > 1").isEmpty():  # rows that repeat an id
+        kept = kept.dropDuplicates(["doc_id"])
+    return kept.select(*docs.columns)
 
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -68,5 +72,5 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k + 1 < len(STAGES):
-            docs = cut(docs, name)
+            docs = cut(docs, name, "zstd")
     return docs

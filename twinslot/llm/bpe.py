@@ -18,6 +18,8 @@ import regex
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from . import worker
+
 #: Pieces remembered per worker, and the longest piece worth remembering (bytes).
 REMEMBERED, LONGEST = 1_000_000, 64
 NONE = 1 << 62
@@ -127,12 +129,16 @@ def codec(path: str, pattern: str) -> Codec:
     return Codec(path, pattern)
 
 
+worker.remembers("bpe", codec.cache_clear)
+
+
 def encode(text: Column, path: str, pattern: str) -> Column:
     """``array<int>`` of token ids of a text column. Null counts as the empty text, which
     has no ids. Special tokens are never made: their strings are ordinary text. Rows
     are independent, so ties, repeated rows and other columns don't matter."""
 
     def ids_of(texts: pa.Array) -> pa.Array:
+        worker.enter("bpe")
         work = codec(path, pattern)
         rows = [work.encode(t.as_py() or "") for t in texts]
         ends = np.cumsum([0] + [len(r) // 4 for r in rows], dtype=np.int64).astype(np.int32)
@@ -146,6 +152,7 @@ def decode(ids: Column, path: str, pattern: str) -> Column:
     """``binary`` of the bytes that an ``array<int>`` of ids stands for (null: empty)."""
 
     def bytes_of(lists: pa.Array) -> pa.Array:
+        worker.enter("bpe")
         work = codec(path, pattern)
         return pa.array([work.decode(np.asarray(x.values) if x.is_valid else np.zeros(0, np.int32)) for x in lists], pa.binary())
 

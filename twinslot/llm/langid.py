@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import worker
 from .common import cut, free_name
 
 BUCKETS, CHUNK = 1 << 15, 1 << 18
@@ -93,6 +94,7 @@ def _score(spark, model: Model):
     shared = spark.sparkContext.broadcast(model.table)  # languages x 32768 integers
 
     def scores(texts: pa.Array) -> pa.Array:
+        worker.enter("langid")
         table = shared.value
         rows, sizes = [], []
         for t in texts:

@@ -26,6 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import worker
 from .common import cut
 
 CAPACITY, GROUPS, SMALL_PART = 2048, (48, 400), 8
@@ -106,11 +107,15 @@ def _words(path: str) -> Words:
     return Words(path)
 
 
+worker.remembers("packing", _words.cache_clear)
+
+
 def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per piece: the document's ids and a final 0, cut only where longer than
     ``capacity``. ``chunk`` and ``local`` number the pieces of one length within a task."""
 
     def run(batches):
+        worker.enter("packing")
         work = _words(path)
         chunk = TaskContext.get().partitionId()
         count = np.zeros(capacity + 1, np.int64)

@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import worker
 from .common import free_name
 
 WINDOW = 8
@@ -128,6 +129,7 @@ def measure(text: str | None) -> tuple[int, ...]:
 
 
 def measures(texts: pa.Array) -> pa.Array:
+    worker.enter("quality")
     rows = [measure(t.as_py()) for t in texts]
     columns = list(zip(*rows, strict=True)) or [()] * len(MEASURES)
     return pa.StructArray.from_arrays([pa.array(c, pa.int64()) for c in columns], list(MEASURES))

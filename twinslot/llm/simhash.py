@@ -19,6 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import worker
 from .common import components, cut
 
 BITS, SEED, CHUNK = 64, 42, 1 << 16
@@ -45,6 +46,7 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
 
 def _udf(shingle: int):
     def fingerprints(texts: pa.Array) -> pa.Array:
+        worker.enter("simhash")
         found = np.array([fingerprint(t.as_py(), shingle) for t in texts], dtype=np.uint64)
         return pa.array(found.view(np.int64), pa.int64())
 
