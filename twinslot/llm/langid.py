@@ -130,7 +130,7 @@ def identify(
     name = free_name(df, "language")
     if not n_lang:
         return df.withColumn(name, F.expr("named_struct('lang', cast(null as string), 'posterior', 0d, 'n', 0l, 'mean', 0l, 'kept', false)"))
-    s, h, p = (free_name(df, x) for x in ("lid_score", "lid_host", "lid_parent"))
+    s, h, p, jh, jp, js, prior_name = (free_name(df, x) for x in ("lid_score", "lid_host", "lid_parent", "lid_jh", "lid_jp", "lid_js", "lid_prior"))
     none = F.lit(None).cast("string")
     scored = df.withColumns({s: _score(spark, model)(F.col(text)), h: F.coalesce(host if host is not None else none, F.lit("")), p: F.coalesce(parent if parent is not None else none, F.lit(""))})
     votes = scored.where(F.col(f"`{s}`.n") > 0).select(F.col(f"`{h}`").alias("h"), F.col(f"`{p}`").alias("p"), _argmax(F.col(f"`{s}`.ll")).alias("v"))
@@ -145,15 +145,15 @@ def identify(
     total = lambda c: sum((F.col(f"{c}{i}") for i in range(1, n_lang)), F.col(f"{c}0"))
     by_parent = [(F.col(f"p{i}") + a * general[i]) / (total("p") + a) for i in range(n_lang)]
     by_host = [F.when(F.col("h") == "", by_parent[i]).otherwise((F.col(f"n{i}") + a * by_parent[i]) / (total("n") + a)) for i in range(n_lang)]
-    priors = cut(hosts.join(parents, "p").select(F.col("h").alias("jh"), F.col("p").alias("jp"), F.array(*(F.log(x) for x in by_host)).alias("prior")), "priors")
+    priors = cut(hosts.join(parents, "p").select(F.col("h").alias(jh), F.col("p").alias(jp), F.array(*(F.log(x) for x in by_host)).alias(prior_name)), "priors")
     if priors.count() <= BROADCAST_HOSTS:
-        joined = scored.join(F.broadcast(priors), (F.col(h) == F.col("jh")) & (F.col(p) == F.col("jp")), "left")
+        joined = scored.join(F.broadcast(priors), (F.col(h) == F.col(jh)) & (F.col(p) == F.col(jp)), "left")
     else:
         salt = free_name(df, "lid_salt")
-        spread = priors.withColumn("js", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        spread = priors.withColumn(js, F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
         salted = scored.withColumn(salt, F.pmod(F.xxhash64(F.col(text)), F.lit(SALTS)).cast("int"))
-        joined = salted.join(spread, (F.col(h) == F.col("jh")) & (F.col(p) == F.col("jp")) & (F.col(salt) == F.col("js")), "left").drop(salt, "js")
-    prior = F.coalesce(F.col("prior"), F.array(*(F.lit(log(x)) for x in general)))
+        joined = salted.join(spread, (F.col(h) == F.col(jh)) & (F.col(p) == F.col(jp)) & (F.col(salt) == F.col(js)), "left").drop(salt, js)
+    prior = F.coalesce(F.col(prior_name), F.array(*(F.lit(log(x)) for x in general)))
 
     def told(value: Column | None, right: float) -> list[Column]:
         if value is None or n_lang < 2:
