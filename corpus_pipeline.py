@@ -24,15 +24,15 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group: the one with the smallest id."""
-    groups = simhash.near_groups(docs)
-    chosen = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
-    first = cut(chosen.groupBy(F.col("doc_id").alias("first_id")).agg(F.count("*").alias("rows")), "first")
+    """One document of each group of near copies: the one with the smallest id. Documents
+    without an id stay; of rows that repeat an id one stays."""
+    first = simhash.survivors(docs)
     # The ids are the side that is hashed, so texts are shuffled once and never sorted.
-    kept = docs.join(first.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("first_id")), "left_semi")
-    if not first.where("rows > 1").isEmpty():  # rows that repeat an id
+    named = docs.where("doc_id IS NOT NULL")
+    kept = named.join(first.hint("shuffle_hash"), F.col("doc_id") == F.col("id"), "left_semi")
+    if not docs.groupBy("doc_id").count().where("count > 1 AND doc_id IS NOT NULL").isEmpty():
         kept = kept.dropDuplicates(["doc_id"])
-    return kept.select(*docs.columns)
+    return kept.unionByName(docs.where("doc_id IS NULL")).select(*docs.columns)
 
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import worker
-from .common import components, cut
+from .common import components, cut, release
 
 BITS, SEED, CHUNK = 64, 42, 1 << 16
 
@@ -106,3 +106,105 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", rad
     return fps.join(ids, "fp").select(
         "doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id"
     )
+
+
+# Near copies: fingerprints that move little under small edits propose, shingles decide.
+
+WORD_SEEDS = (101, 102, 103, 104)
+SIMILARITY, SHINGLE = 0.8, 5
+
+
+def word_prints(text: str | None, seeds: tuple[int, ...] = WORD_SEEDS) -> list[int]:
+    """Fingerprints of the words of a text, each weighted by its count: an edit of a few
+    words moves few of their bits, where it would move many of a shingle fingerprint's."""
+    counts: dict[bytes, int] = {}
+    for word in (text or "").encode("utf-8", "surrogatepass").lower().split():
+        counts[word] = counts.get(word, 0) + 1
+    if not counts:
+        return [0] * len(seeds)
+    weight = np.fromiter(counts.values(), np.float64, len(counts))
+    half, out = weight.sum() / 2, []
+    for seed in seeds:
+        hashes = np.array([xxhash.xxh64_intdigest(w, seed) for w in counts], dtype=">u8")
+        ones = np.zeros(BITS)
+        for at in range(0, len(hashes), CHUNK):
+            ones += weight[at : at + CHUNK] @ np.unpackbits(hashes[at : at + CHUNK].view(np.uint8).reshape(-1, 8), axis=1)
+        out.append(int.from_bytes(np.packbits(ones > half).tobytes(), "big"))
+    return out
+
+
+def _sketches(texts: pa.Array) -> pa.Array:
+    """Two halves of a 128-bit digest of the text, its shingle fingerprint, its word fingerprints."""
+    worker.enter("simhash")
+    rows = []
+    for t in texts:
+        text = t.as_py() or ""
+        digest = xxhash.xxh3_128_intdigest(text.encode("utf-8", "surrogatepass"))
+        rows.append([digest >> 64, digest & ((1 << 64) - 1), fingerprint(text), *word_prints(text)])
+    flat = np.array(rows, np.uint64).reshape(-1, 3 + len(WORD_SEEDS)).view(np.int64)
+    names = ["t1", "t2", *(f"f{i}" for i in range(1 + len(WORD_SEEDS)))]
+    return pa.StructArray.from_arrays([pa.array(np.ascontiguousarray(c), pa.int64()) for c in flat.T], names)
+
+
+def _shingle_sets(texts: pa.Array) -> pa.Array:
+    """Sorted distinct hashes of the five-word shingles of each text."""
+    worker.enter("simhash")
+    out = []
+    for t in texts:
+        words = (t.as_py() or "").encode("utf-8", "surrogatepass").lower().split()
+        k = min(SHINGLE, len(words))
+        hashes = [xxhash.xxh64_intdigest(b" ".join(words[i : i + k])) for i in range(len(words) - k + 1)] if k else []
+        out.append(np.unique(np.array(hashes, np.uint64)).view(np.int64))
+    ends = np.cumsum([0] + [len(x) for x in out]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate([np.zeros(0, np.int64), *out]), pa.int64()))
+
+
+def _text_links(texts: DataFrame, column: str, radius: int) -> DataFrame:
+    """Links ``(a, b)`` between representatives of texts whose ``column`` is equal or within ``radius``."""
+    reps = cut(texts.groupBy(F.col(column).alias("fp")).agg(F.min("rep").alias("r")), "fps")
+    same = texts.select(F.col("rep").alias("a"), F.col(column).alias("fp")).join(reps, "fp").select("a", F.col("r").alias("b"))
+    near = cut(links(reps.select("fp"), radius), "links")
+    left, right = (reps.select(F.col("fp").alias(x), F.col("r").alias(f"r{x}")) for x in "ab")
+    across = near.join(left, "a").join(right, "b").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
+    out = cut(same.unionByName(across).where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "text-links")
+    release(texts.sparkSession)
+    return out
+
+
+def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2, doc_id: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
+    """``(texts, groups)``: texts has ``(t1, t2, rep)``, each distinct text with its smallest
+    doc_id; groups has ``(node, component)`` of the representatives that have near copies.
+
+    Texts are near copies if their shingle fingerprints are within ``radius`` bits, or if
+    one of their word fingerprints is and their sets of five-word shingles have a Jaccard
+    similarity of ``similarity`` or more (exact, over whole texts; ASCII case is ignored).
+    A variant's members are compared with its smallest member. Copies of one text are one
+    row from the first shuffle on. Rows with a null id take no part, null texts are empty.
+    """
+    schema = "t1 long, t2 long, " + ", ".join(f"f{i} long" for i in range(1 + len(WORD_SEEDS)))
+    read = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).where("doc_id IS NOT NULL")
+    sketched = read.select("doc_id", F.arrow_udf(_sketches, schema)("text").alias("s")).select("doc_id", "s.*")
+    prints = [f"f{i}" for i in range(1 + len(WORD_SEEDS))]
+    texts = cut(sketched.groupBy("t1", "t2").agg(F.min("doc_id").alias("rep"), *(F.min(p).alias(p) for p in prints)), "texts")
+    sure, *more = (_text_links(texts, p, radius) for p in prints)
+    proposed = more[0]
+    for part in more[1:]:
+        proposed = proposed.unionByName(part)
+    proposed = cut(proposed.distinct().join(sure, ["a", "b"], "left_anti"), "proposed")
+    ids = cut(proposed.select(F.col("a").alias("id")).union(proposed.select("b")).distinct(), "proposed-ids")
+    wanted = read.join(ids.hint("shuffle_hash"), F.col("doc_id") == F.col("id"), "left_semi")
+    sets = cut(wanted.select("doc_id", F.arrow_udf(_shingle_sets, "array<long>")("text").alias("x")), "shingles")
+    release(docs.sparkSession)
+    left = sets.select(F.col("doc_id").alias("a"), F.col("x").alias("xa"))
+    right = sets.select(F.col("doc_id").alias("b"), F.col("x").alias("xb"))
+    common = F.size(F.array_intersect("xa", "xb"))
+    alike = common >= F.lit(similarity) * (F.size("xa") + F.size("xb") - common)
+    proven = proposed.join(left, "a").join(right, "b").where(alike).select("a", "b")
+    return texts.select("t1", "t2", "rep"), cut(components(sure.unionByName(proven)), "groups")
+
+
+def survivors(docs: DataFrame, **how) -> DataFrame:
+    """``(id)``: the smallest doc_id of each group of near copies, and of each other text."""
+    texts, groups = near_copies(docs, **how)
+    losers = groups.where("node <> component").select(F.col("node").alias("rep"))
+    return cut(texts.select("rep").join(losers, "rep", "left_anti").select(F.col("rep").alias("id")).distinct(), "survivors")
