@@ -33,26 +33,50 @@ def lane_count(x: Column, y: Column) -> Column:
     return F.bit_count(F.bitwise_not(differ).bitwiseAND(x.bitwiseOR(y)).bitwiseAND(top))
 
 
-def count_row(row: np.ndarray, matrix: np.ndarray, bits: int, slice_bytes: int) -> np.ndarray:
-    """Counts of one map (64-bit words) against the rows of a matrix of maps of one width.
-    The narrower side is compared with every stretch of the wider one."""
-    w, n = len(row), matrix.shape[1]
-    out = np.zeros(len(matrix), np.int64)
-    step = max(1, slice_bytes // (8 * max(w, n)))
-    for at in range(0, len(matrix), step):
-        some = matrix[at : at + step]
-        if n >= w:
-            hits = lane_matches_np(some.reshape(len(some), n // w, w), row, bits)
-        else:
-            hits = lane_matches_np(row.reshape(1, w // n, n), some[:, None, :], bits)
-        out[at : at + step] = hits.sum(axis=(1, 2), dtype=np.int64)
+class Matrix:
+    """Maps of one width as rows, element bits and indicator bits apart."""
+
+    def __init__(self, words: np.ndarray, bits: int):
+        self.top = _LANES[bits]
+        self.low, self.high = words & ~self.top, words & self.top
+
+
+def count_row(row: np.ndarray, matrix: Matrix, slice_bytes: int) -> np.ndarray:
+    """Counts of one map (64-bit words) against every row of a matrix. The narrower side is
+    compared with every stretch of the wider one, a cache's worth of rows at a time.
+
+    A lane's top bit minus the difference of the element bits keeps that bit exactly where
+    they agree, and no lane borrows from another."""
+    top, (count, n), w = matrix.top, matrix.low.shape, len(row)
+    low, high = row & ~top, row & top
+    wide = max(w, n)
+    if n >= w:
+        shape = (count, n // w, w)
+        left = (low, high)
+    else:
+        shape = (count, 1, n)
+        left = (low.reshape(1, w // n, n), high.reshape(1, w // n, n))
+    mine = matrix.low.reshape(shape), matrix.high.reshape(shape)
+    out = np.zeros(count, np.int64)
+    step = max(1, slice_bytes // (8 * wide))
+    first = (min(step, count), wide // min(w, n), min(w, n))
+    agree, seen, ones = np.empty(first, np.uint64), np.empty(first, np.uint64), np.empty(first, np.uint8)
+    for at in range(0, count, step):
+        m = min(step, count - at)
+        a, s, c = agree[:m], seen[:m], ones[:m]
+        np.bitwise_xor(mine[0][at : at + m], left[0], out=a)
+        np.subtract(top, a, out=a)
+        np.bitwise_or(mine[1][at : at + m], left[1], out=s)
+        np.bitwise_and(a, s, out=a)
+        np.bitwise_count(a, out=c)
+        out[at : at + m] = c.reshape(m, wide).sum(axis=1, dtype=np.int32)
     return out
 
 
 def count_np(a: bytes, b: bytes, cfg: Config) -> int:
     """Common elements that two maps of one segment hold."""
     x, y = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
-    return int(count_row(x, y[None, :], cfg.slot_bits, cfg.slice_bytes)[0])
+    return int(count_row(x, Matrix(y[None, :], cfg.slot_bits), cfg.slice_bytes)[0])
 
 
 # Kernels of tiles: counts of every left payload against every right payload.
@@ -71,11 +95,11 @@ def _by_width(payloads: list[bytes]) -> list[tuple[np.ndarray, np.ndarray]]:
 def slot_kernel(cfg: Config) -> Kernel:
     def kernel(left: list[bytes], right: list[bytes]) -> np.ndarray:
         out = np.zeros((len(left), len(right)), np.int64)
-        classes = _by_width(right)
+        classes = [(places, Matrix(words, cfg.slot_bits)) for places, words in _by_width(right)]
         for i, payload in enumerate(left):
             row = np.frombuffer(payload, np.uint64)
             for places, matrix in classes:
-                out[i, places] = count_row(row, matrix, cfg.slot_bits, cfg.slice_bytes)
+                out[i, places] = count_row(row, matrix, cfg.slice_bytes)
         return out
 
     return kernel
