@@ -120,6 +120,7 @@ def _ngrams(words: np.ndarray, lengths: np.ndarray, order: int) -> list[np.ndarr
 
 
 def _load(block: dict) -> tuple[np.ndarray, np.ndarray]:
+    """Word hashes of a block in order, and the lengths of its documents."""
     vocabulary = np.frombuffer(block["words"], "<u8")
     lengths = np.array(block["lengths"], np.int64)
     indices = _expand(block["indices"], "<i4") if block["n_words"] else np.zeros(0, np.int32)
@@ -166,12 +167,30 @@ def _by_order(answers: pa.Table) -> dict[int, np.ndarray]:
     return {n: np.concatenate(c) for n, c in out.items()}
 
 
+def _order(values: np.ndarray) -> np.ndarray:
+    """Places that sort 64-bit ``values``: numbers are sorted with their places in their
+    low bits, which is much faster than sorting places; only if high bits tie, places are."""
+    bits = max(1, (len(values) - 1).bit_length())
+    mask = np.uint64((1 << bits) - 1)
+    packed = np.sort((values & ~mask) | np.arange(len(values), dtype=np.uint64))
+    order = (packed & mask).astype(np.int64)
+    out = values[order]
+    return np.argsort(values, kind="stable") if (out[1:] < out[:-1]).any() else order
+
+
 def _looked_up(grams: np.ndarray, asked: np.ndarray, counts: np.ndarray | None) -> np.ndarray:
-    """Corpus-wide count of the n-gram that ends at each word where it was asked for, else 0."""
+    """Corpus-wide count of the n-gram that ends at each word where it was asked for, else 0.
+    ``counts`` follow the sorted distinct n-grams, so ranks among equal values find them."""
     here = np.zeros(len(grams), np.int64)
     if counts is not None and asked.any():
         some = grams[asked]
-        here[asked] = counts[np.searchsorted(np.unique(some), some)]
+        order = _order(some)
+        ranked = some[order]
+        new = np.zeros(len(ranked), np.int64)
+        new[1:] = ranked[1:] != ranked[:-1]
+        found = np.empty(len(some), np.int64)
+        found[order] = counts[np.cumsum(new)]
+        here[asked] = found
     return here
 
 
