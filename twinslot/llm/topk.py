@@ -157,15 +157,14 @@ def top_k(
     n_blocks = max(1, -(-n // QUERIES))
     packed = asked.repartition(n_blocks).mapInArrow(_pack(QUERIES), PACKED)
     packed = packed.select(F.col("ids").alias("q_ids"), F.col("dim").alias("q_dim"), F.col("matrix").alias("q_matrix"))
-    packed = cut(packed.withColumn("qb", F.monotonically_increasing_id()), "queries")
-    numbers = [r["qb"] for r in packed.select("qb").collect()]  # one number per 2048 queries
-    if not numbers:
+    packed = cut(packed.withColumn("qb", F.spark_partition_id()), "queries")
+    if not n:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     size = packed.agg(F.sum(F.length("q_matrix") + F.length("q_ids"))).first()[0]
     small = size <= broadcast_bytes
 
     def cells(queries: DataFrame) -> DataFrame:
-        spread = rows.withColumn("qb", F.explode(F.array(*(F.lit(x).cast("long") for x in numbers))))
+        spread = rows.withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))))
         return spread.join(F.broadcast(queries) if small else queries, "qb")
 
     found = cells(packed).mapInArrow(_cutoffs(k, slices), "query_id long, kth double")
@@ -178,7 +177,7 @@ def top_k(
                 known = dict(zip(row["limit_ids"], row["limits"]))
                 cut_at = np.array([known.get(i, -np.inf) for i in ids.tolist()], np.float64)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([row["qb"]], pa.int64()), pa.array([row["q_ids"]], pa.binary()), pa.array([row["q_dim"]], pa.int32()),
+                    [pa.array([row["qb"]], pa.int32()), pa.array([row["q_ids"]], pa.binary()), pa.array([row["q_dim"]], pa.int32()),
                      pa.array([row["q_matrix"]], pa.binary()), pa.array([cut_at.tobytes()], pa.binary())],
                     ["qb", "q_ids", "q_dim", "q_matrix", "cutoffs"],
                 )
@@ -187,15 +186,15 @@ def top_k(
         for batch in batches:
             for row in batch.to_pylist():
                 ids = np.frombuffer(row["q_ids"], np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), row["qb"]), pa.int64()), pa.array(ids, pa.int64())], ["qb", "query_id"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), row["qb"]), pa.int32()), pa.array(ids, pa.int64())], ["qb", "query_id"])
 
-    block_of = packed.select("qb", "q_ids").mapInArrow(members, "qb long, query_id long")
+    block_of = packed.select("qb", "q_ids").mapInArrow(members, "qb int, query_id long")
     by_block = block_of.join(limits, "query_id").groupBy("qb").agg(F.collect_list("query_id").alias("limit_ids"), F.collect_list("kth").alias("limits"))
     ready = packed.join(by_block, "qb", "left").select(
         "qb", "q_ids", "q_dim", "q_matrix", F.coalesce("limit_ids", F.array().cast("array<long>")).alias("limit_ids"),
         F.coalesce("limits", F.array().cast("array<double>")).alias("limits"),
     )
-    ready = cut(ready.mapInArrow(with_cutoffs, "qb long, q_ids binary, q_dim int, q_matrix binary, cutoffs binary"), "ready")
+    ready = cut(ready.mapInArrow(with_cutoffs, "qb int, q_ids binary, q_dim int, q_matrix binary, cutoffs binary"), "ready")
     entries = cells(ready).mapInArrow(_entries(k, slices), "query_id long, vec_id long, score long")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return entries.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
