@@ -108,6 +108,16 @@ def copies_per_element(inc: DataFrame, cfg: Config = Config()) -> DataFrame:
     return held.unionByName(lost).groupBy("item").agg(F.sum("copies").alias("copies"))
 
 
+def diagonal(inc: DataFrame, cfg: Config = Config()) -> DataFrame:
+    """Per item: its maps compared with themselves plus its failed elements, which must be its size."""
+    from . import compare
+
+    built = builder.build(inc, cfg)
+    own = builder.maps_of(built).select("item", compare.count(F.col("slots"), F.col("slots"), cfg).alias("n"))
+    lost = builder.failed_of(built).select("item", F.lit(1).cast("long").alias("n"))
+    return own.unionByName(lost).groupBy("item").agg(F.sum("n").alias("n"))
+
+
 def tile_cost(inc: DataFrame, k: int, sort_by_width: bool = True) -> DataFrame:
     """One row: slot tests of all pairs p <= q when every tile costs as its widest map, with
     items in rank order by width or by id; and without tiles."""

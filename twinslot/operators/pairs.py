@@ -94,12 +94,28 @@ def tiled_counts(payloads: DataFrame, kernel: compare.Kernel, cfg: Config = Conf
     return parts.groupBy("item_a", "item_b").agg(F.sum("support").alias("support"))
 
 
-def pair_support(inc: DataFrame, method: str = "twinslot", min_support: int = 1, cfg: Config = Config()) -> DataFrame:
+#: Zero supports are listed for at most so many items.
+ZERO_ITEMS = 5000
+
+
+def pair_support(
+    inc: DataFrame, method: str = "twinslot", min_support: int = 1, cfg: Config = Config(), include_zero: bool = False
+) -> DataFrame:
     """``(item_a, item_b, support)`` of all pairs with ``support >= max(1, min_support)``.
 
     ``method`` is twinslot or one of the baselines. ``inc`` has distinct (item, tid) of longs.
+    ``include_zero`` lists every pair of items, also those that never meet; refused beyond
+    ``ZERO_ITEMS`` items, since it makes n^2 / 2 rows.
     """
     require(inc, "item", "tid")
+    if include_zero:
+        items = cut(inc.select("item").distinct(), "items")
+        if (n := items.count()) > ZERO_ITEMS:
+            raise ValueError(f"{n} items have too many pairs to list; {ZERO_ITEMS} are allowed")
+        found = pair_support(inc, method, 1, cfg)
+        a, b = (items.withColumnRenamed("item", f"item_{c}") for c in "ab")
+        every = a.join(F.broadcast(b), F.col("item_a") < F.col("item_b"))
+        return every.join(found, ["item_a", "item_b"], "left").select("item_a", "item_b", F.coalesce("support", F.lit(0)).cast("long").alias("support"))
     if method != "twinslot":
         from . import baselines
 

@@ -349,6 +349,13 @@ _add("dense_ids_words", lambda s, d: inc.dictionary(doc_word(s, d), "item"), f"S
 _add("copies_per_element", lambda s, d: measure.copies_per_element(order_supplier(s, d)), f"SELECT item, (2 * count(*))::BIGINT AS copies FROM ({INC_SQL['order_supplier']}) GROUP BY item")
 _add("copies_forced_failures", lambda s, d: measure.copies_per_element(order_supplier(s, d), Config(max_rounds=1)), f"SELECT item, (2 * count(*))::BIGINT AS copies FROM ({INC_SQL['order_supplier']}) GROUP BY item")
 _add("elements_roundtrip", lambda s, d: (lambda b: compare.elements(builder.maps_of(b)).unionByName(builder.failed_of(b)))(builder.build(order_supplier(s, d))), INC_SQL["order_supplier"])
+_add("diagonal", lambda s, d: measure.diagonal(order_supplier(s, d)), f"SELECT item, count(*) AS n FROM ({INC_SQL['order_supplier']}) GROUP BY item")
+_add("diagonal_forced_failures", lambda s, d: measure.diagonal(order_supplier(s, d), Config(max_rounds=1)), f"SELECT item, count(*) AS n FROM ({INC_SQL['order_supplier']}) GROUP BY item")
+_add(
+    "pairs_with_zero", lambda s, d: pairs.pair_support(order_supplier(s, d).where("tid < 60"), include_zero=True),
+    f"WITH i AS ({INC_SQL['order_supplier']} WHERE l_orderkey < 60), n AS (SELECT DISTINCT item FROM i), p AS (SELECT a.item AS item_a, b.item AS item_b, count(*) AS c FROM i a JOIN i b ON a.tid = b.tid AND a.item < b.item GROUP BY ALL) "
+    "SELECT a.item AS item_a, b.item AS item_b, coalesce(c, 0)::BIGINT AS support FROM n a JOIN n b ON a.item < b.item LEFT JOIN p ON item_a = a.item AND item_b = b.item",
+)
 _add("map_width", lambda s, d: measure.map_bytes(order_part(s, d)), _BYTES.format(INC_SQL["order_part"]) + "SELECT item, card, (6 * up)::BIGINT AS bytes FROM p")
 _add("instance_size", lambda s, d: measure.instance(customer_part(s, d)), f"SELECT count(DISTINCT item) AS n, count(DISTINCT tid) AS m, count(*) AS total, round(count(*) / count(DISTINCT item), 6) AS avg_size, round(count(*) / (count(DISTINCT item) * count(DISTINCT tid)), 9) AS density FROM ({INC_SQL['customer_part']})")
 _add("density", lambda s, d: measure.density(order_supplier(s, d)), f"WITH i AS ({INC_SQL['order_supplier']}) SELECT item, count(*) AS card, round(count(*) / (SELECT count(DISTINCT tid) FROM i), 9) AS density FROM i GROUP BY item")
