@@ -198,6 +198,16 @@ def test_planner(spark):
     assert kinds == {"list", "bitmap"}
 
 
+def test_tuning(spark):
+    """Dense sets get byte slots, sparse ones wider slots in longer segments; counts don't change."""
+    dense = planner.Statistics(1000, 147_000, 600_000, 0)
+    sparse = planner.Statistics(20_000, 147_000, 600_000, 0)
+    assert planner.tune(dense).slot_bits == 8 and planner.tune(sparse).slot_bits == 16
+    assert planner.tune(sparse).segment > planner.tune(dense).segment
+    rows = [(i, t) for i in range(60) for t in range(i, 4000, 131)]
+    assert got(pairs.pair_support(frame(spark, rows))) == got(pairs.pair_support(frame(spark, rows), "horizontal"))
+
+
 def test_measures():
     rate = measure.byte_throughput(4000, 3 * 2**13, 10.87, 159e9)
     assert round(rate["bytes_per_s"] / 1e9, 1) == 36.2 and 4 < 1 / rate["share_of_peak"] < 4.5

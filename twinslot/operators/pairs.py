@@ -99,11 +99,12 @@ ZERO_ITEMS = 5000
 
 
 def pair_support(
-    inc: DataFrame, method: str = "twinslot", min_support: int = 1, cfg: Config = Config(), include_zero: bool = False
+    inc: DataFrame, method: str = "twinslot", min_support: int = 1, cfg: Config | None = None, include_zero: bool = False
 ) -> DataFrame:
     """``(item_a, item_b, support)`` of all pairs with ``support >= max(1, min_support)``.
 
     ``method`` is twinslot or one of the baselines. ``inc`` has distinct (item, tid) of longs.
+    Without ``cfg`` slot width and segment length follow the instance's size and density.
     ``include_zero`` lists every pair of items, also those that never meet; refused beyond
     ``ZERO_ITEMS`` items, since it makes n^2 / 2 rows.
     """
@@ -119,8 +120,12 @@ def pair_support(
     if method != "twinslot":
         from . import baselines
 
-        return baselines.pair_support(inc, method, min_support, cfg)
+        return baselines.pair_support(inc, method, min_support, cfg or Config())
     inc = cut(prune(inc, min_support), "incidence")
+    if cfg is None:
+        from ..plans import planner
+
+        cfg = planner.tune(planner.statistics(inc))
     built = builder.build(inc, cfg)
     counted = tiled_counts(builder.maps_of(built).select("item", "seg", F.col("slots").alias("payload")), compare.slot_kernel(cfg), cfg)
     delta = repair.side_pairs(builder.failed_of(built), inc)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -38,7 +38,7 @@ def statistics(inc: DataFrame) -> Statistics:
 EMISSION_COST, BYTE_COST = 60.0, 1.0
 
 
-def choose(inc: DataFrame, cfg: Config = Config(), stats: Statistics | None = None) -> str:
+def choose(inc: DataFrame, cfg: Config | None = None, stats: Statistics | None = None) -> str:
     """``horizontal``, ``bitmap`` or ``twinslot`` for all pairs of an incidence.
 
     Horizontal counting pays for each emitted pair; vertical methods for n^2 / 2 comparisons
@@ -46,6 +46,7 @@ def choose(inc: DataFrame, cfg: Config = Config(), stats: Statistics | None = No
     s = stats or statistics(inc)
     if not s.rows:
         return "horizontal"
+    cfg = cfg or tune(s)
     segments = -(-s.transactions // cfg.segment)
     card = max(1, s.rows // (s.items * segments))
     bits = int(layout.range_bits(card, cfg))
@@ -59,9 +60,29 @@ def choose(inc: DataFrame, cfg: Config = Config(), stats: Statistics | None = No
     return min(costs, key=costs.get)
 
 
+#: Bytes that a further segment costs a pair of maps besides its slots (calls, partial counts).
+SEGMENT_COST = 64
+
+
+def tune(s: Statistics, base: Config = Config()) -> Config:
+    """Slot width and segment length of least bytes for sets of average size: byte slots
+    in short segments for dense sets, wider slots in long segments for sparse ones, whose
+    ranges would otherwise be stuck at the floor that packing sets."""
+    if not s.rows:
+        return base
+
+    def cost(cfg: Config) -> float:
+        segments = -(-s.transactions // cfg.segment)
+        card = max(1, -(-s.rows // (s.items * segments)))
+        return segments * ((3 << int(layout.range_bits(card, cfg))) * cfg.slot_bits // 8 + SEGMENT_COST)
+
+    tried = [replace(base, segment_j=j, slot_bits=b) for b in (8, 16, 32) for j in range(7, 14)]
+    return min(tried, key=cost)
+
+
 def container_bytes(card: Column, span: Column | int, cfg: Config = Config()) -> dict[str, Column]:
     """Bytes of one (item, segment) set in each container."""
-    bits = {b: layout.range_bits_column(card, Config(**{**cfg.__dict__, "slot_bits": b})) for b in (8, 16, 32)}
+    bits = {b: layout.range_bits_column(card, replace(cfg, slot_bits=b)) for b in (8, 16, 32)}
     maps = {f"slot{b}": (F.call_function("shiftleft", F.lit(3).cast("long"), x) * (b // 8)).cast("long") for b, x in bits.items()}
     span = span if isinstance(span, Column) else F.lit(span)
     return {"list": (card * 4).cast("long"), **maps, "bitmap": F.ceil(span / 8).cast("long")}
@@ -82,9 +103,12 @@ def distribution(n_items: int, n_segments: int, map_bytes: float, tile_items: in
     return "tiles" if n_items * n_segments * map_bytes * blocks <= n_segments * nonzero_pairs * 24 else "segments"
 
 
-def pair_support(inc: DataFrame, min_support: int = 1, cfg: Config = Config()) -> DataFrame:
+def pair_support(inc: DataFrame, min_support: int = 1, cfg: Config | None = None) -> DataFrame:
     """All frequent pairs by whatever method is cheapest."""
     from ..operators import pairs
+    from ..stages import cut
 
-    kept = pairs.prune(inc, min_support)
-    return pairs.pair_support(kept, choose(kept, cfg), min_support, cfg)
+    kept = cut(pairs.prune(inc, min_support), "planned")
+    stats = statistics(kept)
+    cfg = cfg or tune(stats)
+    return pairs.pair_support(kept, choose(kept, cfg, stats), min_support, cfg)

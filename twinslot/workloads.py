@@ -91,7 +91,7 @@ def pair_sql(incidence: str, min_support: int) -> str:
     )
 
 
-def by_method(make: Query, method: str, min_support: int, cfg: Config = Config(), words: bool = False) -> Query:
+def by_method(make: Query, method: str, min_support: int, cfg: Config | None = None, words: bool = False) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
         rows = make(s, d)
         if not words:
