@@ -11,6 +11,9 @@ from pyspark.sql import SparkSession
 
 _shipped: set[str] = set()
 
+#: Rows can be whole documents, so batches that go to Python are bounded by bytes (a runtime setting).
+BATCH_KEY, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", 8 << 20
+
 
 def ship(spark: SparkSession) -> None:
     """Send the package's source to Python workers once per application.
@@ -21,6 +24,9 @@ def ship(spark: SparkSession) -> None:
     context = spark.sparkContext
     if context.applicationId in _shipped:
         return
+    size = spark.conf.get(BATCH_KEY)
+    if not size.rstrip("b").isdigit() or int(size.rstrip("b")) > BATCH_BYTES:
+        spark.conf.set(BATCH_KEY, str(BATCH_BYTES))
     top = Path(__file__).resolve().parent
     if top.is_dir():
         handle, name = tempfile.mkstemp(prefix="twinslot-", suffix=".zip")
