@@ -4,13 +4,14 @@ from __future__ import annotations
 
 import gc
 import time
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..stages import cut, discard, new_path, shared_dir
 
-__all__ = ["components", "cut", "discard", "free_name", "new_path", "release", "shared_dir", "table"]
+__all__ = ["components", "cut", "discard", "free_name", "new_path", "release", "shared_dir", "small_batches", "table"]
 
 
 def release(spark: SparkSession) -> None:
@@ -22,6 +23,18 @@ def release(spark: SparkSession) -> None:
         time.sleep(0.5)
 
 
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = 512):
+    """While tables are written inside, Arrow batches of texts hold at most ``rows`` rows."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    was = spark.conf.get(key)
+    spark.conf.set(key, str(min(rows, int(was)) if int(was) > 0 else rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, was)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import worker
-from .common import components, cut, release
+from .common import components, cut, release, small_batches
 
 BITS, SEED, CHUNK = 64, 42, 1 << 16
 
@@ -112,6 +112,9 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", rad
 
 WORD_SEEDS = (101, 102, 103, 104)
 SIMILARITY, SHINGLE = 0.8, 5
+#: A proposed pair is looked at exactly if this share of its sketches' bins agrees, which
+#: is four standard deviations below the similarity that counts.
+BINS, SKETCH_SHARE = 64, 0.6
 
 
 def word_prints(text: str | None, seeds: tuple[int, ...] = WORD_SEEDS) -> list[int]:
@@ -133,28 +136,47 @@ def word_prints(text: str | None, seeds: tuple[int, ...] = WORD_SEEDS) -> list[i
     return out
 
 
+def shingle_set(text: str | None) -> np.ndarray:
+    """Sorted distinct hashes of the five-word shingles of one whole text."""
+    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    k = min(SHINGLE, len(words))
+    hashes = [xxhash.xxh64_intdigest(b" ".join(words[i : i + k])) for i in range(len(words) - k + 1)] if k else []
+    return np.unique(np.array(hashes, np.uint64))
+
+
+def bin_sketch(hashes: np.ndarray) -> bytes:
+    """One byte of the least hash in each of 64 equal ranges (zero: none there)."""
+    edges = np.searchsorted(hashes, np.arange(BINS, dtype=np.uint64) << np.uint64(58))
+    full = np.append(edges[1:], len(hashes)) > edges
+    out = np.zeros(BINS, np.uint8)
+    out[full] = 1 + (hashes[edges[full]] >> np.uint64(20)) % np.uint64(255)
+    return out.tobytes()
+
+
 def _sketches(texts: pa.Array) -> pa.Array:
-    """Two halves of a 128-bit digest of the text, its shingle fingerprint, its word fingerprints."""
+    """Two halves of a 128-bit digest of the text, its shingle and word fingerprints, its bins."""
     worker.enter("simhash")
-    rows = []
+    rows, bins = [], []
     for t in texts:
         text = t.as_py() or ""
         digest = xxhash.xxh3_128_intdigest(text.encode("utf-8", "surrogatepass"))
         rows.append([digest >> 64, digest & ((1 << 64) - 1), fingerprint(text), *word_prints(text)])
+        bins.append(bin_sketch(shingle_set(text)))
     flat = np.array(rows, np.uint64).reshape(-1, 3 + len(WORD_SEEDS)).view(np.int64)
-    names = ["t1", "t2", *(f"f{i}" for i in range(1 + len(WORD_SEEDS)))]
-    return pa.StructArray.from_arrays([pa.array(np.ascontiguousarray(c), pa.int64()) for c in flat.T], names)
+    names = ["t1", "t2", *(f"f{i}" for i in range(1 + len(WORD_SEEDS))), "bins"]
+    return pa.StructArray.from_arrays([*(pa.array(np.ascontiguousarray(c), pa.int64()) for c in flat.T), pa.array(bins, pa.binary())], names)
+
+
+def _agree(left: pa.Array, right: pa.Array) -> pa.Array:
+    """Do two sketches agree in enough of the bins that either fills?"""
+    x, y = (np.frombuffer(b"".join(c.to_pylist()), np.uint8).reshape(-1, BINS) for c in (left, right))
+    used = (x | y) != 0
+    return pa.array(((x == y) & used).sum(axis=1) >= SKETCH_SHARE * used.sum(axis=1), pa.bool_())
 
 
 def _shingle_sets(texts: pa.Array) -> pa.Array:
-    """Sorted distinct hashes of the five-word shingles of each text."""
     worker.enter("simhash")
-    out = []
-    for t in texts:
-        words = (t.as_py() or "").encode("utf-8", "surrogatepass").lower().split()
-        k = min(SHINGLE, len(words))
-        hashes = [xxhash.xxh64_intdigest(b" ".join(words[i : i + k])) for i in range(len(words) - k + 1)] if k else []
-        out.append(np.unique(np.array(hashes, np.uint64)).view(np.int64))
+    out = [shingle_set(t.as_py()).view(np.int64) for t in texts]
     ends = np.cumsum([0] + [len(x) for x in out]).astype(np.int32)
     return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate([np.zeros(0, np.int64), *out]), pa.int64()))
 
@@ -171,35 +193,58 @@ def _text_links(texts: DataFrame, column: str, radius: int) -> DataFrame:
     return out
 
 
+def _proven(read: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:
+    """The pairs ``(a, b)`` of texts whose sets of shingles are similar enough, exactly."""
+    ids = cut(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "proposed-ids")
+    wanted = read.join(ids.hint("shuffle_hash"), F.col("doc_id") == F.col("id"), "left_semi")
+    with small_batches(read.sparkSession):
+        sets = cut(wanted.select("doc_id", F.arrow_udf(_shingle_sets, "array<long>")("text").alias("x")), "shingles")
+    release(read.sparkSession)
+    left = sets.select(F.col("doc_id").alias("a"), F.col("x").alias("xa"))
+    right = sets.select(F.col("doc_id").alias("b"), F.col("x").alias("xb"))
+    common = F.size(F.array_intersect("xa", "xb"))
+    alike = common >= F.lit(similarity) * (F.size("xa") + F.size("xb") - common)
+    return cut(pairs.join(left, "a").join(right, "b").where(alike).select("a", "b").distinct(), "proven")
+
+
 def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2, doc_id: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
     """``(texts, groups)``: texts has ``(t1, t2, rep)``, each distinct text with its smallest
     doc_id; groups has ``(node, component)`` of the representatives that have near copies.
 
-    Texts are near copies if their shingle fingerprints are within ``radius`` bits, or if
+    Pairs that word fingerprints propose are sifted by 64-byte sketches before sets of
+    shingles are shuffled. Texts are near copies if their shingle fingerprints are within ``radius`` bits, or if
     one of their word fingerprints is and their sets of five-word shingles have a Jaccard
     similarity of ``similarity`` or more (exact, over whole texts; ASCII case is ignored).
     A variant's members are compared with its smallest member. Copies of one text are one
     row from the first shuffle on. Rows with a null id take no part, null texts are empty.
     """
-    schema = "t1 long, t2 long, " + ", ".join(f"f{i} long" for i in range(1 + len(WORD_SEEDS)))
+    schema = "t1 long, t2 long, " + ", ".join(f"f{i} long" for i in range(1 + len(WORD_SEEDS))) + ", bins binary"
     read = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).where("doc_id IS NOT NULL")
     sketched = read.select("doc_id", F.arrow_udf(_sketches, schema)("text").alias("s")).select("doc_id", "s.*")
     prints = [f"f{i}" for i in range(1 + len(WORD_SEEDS))]
-    texts = cut(sketched.groupBy("t1", "t2").agg(F.min("doc_id").alias("rep"), *(F.min(p).alias(p) for p in prints)), "texts")
+    distinct = sketched.groupBy("t1", "t2").agg(F.min("doc_id").alias("rep"), *(F.min(p).alias(p) for p in prints), F.first("bins").alias("bins"))
+    with small_batches(docs.sparkSession):
+        texts = cut(distinct, "texts")
     sure, *more = (_text_links(texts, p, radius) for p in prints)
     proposed = more[0]
     for part in more[1:]:
         proposed = proposed.unionByName(part)
     proposed = cut(proposed.distinct().join(sure, ["a", "b"], "left_anti"), "proposed")
-    ids = cut(proposed.select(F.col("a").alias("id")).union(proposed.select("b")).distinct(), "proposed-ids")
-    wanted = read.join(ids.hint("shuffle_hash"), F.col("doc_id") == F.col("id"), "left_semi")
-    sets = cut(wanted.select("doc_id", F.arrow_udf(_shingle_sets, "array<long>")("text").alias("x")), "shingles")
-    release(docs.sparkSession)
-    left = sets.select(F.col("doc_id").alias("a"), F.col("x").alias("xa"))
-    right = sets.select(F.col("doc_id").alias("b"), F.col("x").alias("xb"))
-    common = F.size(F.array_intersect("xa", "xb"))
-    alike = common >= F.lit(similarity) * (F.size("xa") + F.size("xb") - common)
-    proven = proposed.join(left, "a").join(right, "b").where(alike).select("a", "b")
+    sketch = texts.groupBy("rep").agg(F.first("bins").alias("bins"))
+    ends = (sketch.select(F.col("rep").alias(x), F.col("bins").alias(f"bins_{x}")) for x in "ab")
+    for x, end in zip("ab", ends):
+        proposed = proposed.join(cut(end, "bins"), x)
+    proposed = cut(proposed.where(F.arrow_udf(_agree, "boolean")("bins_a", "bins_b")).select("a", "b"), "alike")
+    # One partner for each text first: most other proposals then join texts already joined.
+    one = cut(proposed.groupBy("a").agg(F.min("b").alias("b")), "first-partners")
+    proven = _proven(read, one, similarity)
+    joined = cut(components(sure.unionByName(proven)), "joined")
+    rest = proposed.join(one, ["a", "b"], "left_anti")
+    for x in "ab":
+        where = joined.select(F.col("node").alias(x), F.col("component").alias(f"c{x}"))
+        rest = cut(rest.join(where, x, "left"), "rest")
+    rest = cut(rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b"), "rest")
+    proven = proven.unionByName(_proven(read, rest, similarity))
     return texts.select("t1", "t2", "rep"), cut(components(sure.unionByName(proven)), "groups")
 
 
