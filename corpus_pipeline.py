@@ -8,16 +8,19 @@ from pyspark.sql import functions as F
 
 from twinslot.llm import langid, packing, quality, secrets, simhash
 from twinslot.llm.common import cut, free_name
+from twinslot.shipping import ship
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in one of the languages."""
+    ship(spark)
     found = langid.identify(docs, langid.train(docs), declared=F.col("lang"), host=F.col("source"))
     return found.where(F.col(f"`{found.columns[-1]}`.kept")).select(*docs.columns)
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the production policy keeps."""
+    ship(spark)
     entries = quality.ledger(docs)
     kept = quality.apply_policy(entries, bits=f"{entries.columns[-1]}.bits")
     return kept.where(F.col(kept.columns[-1])).select(*docs.columns)
@@ -26,6 +29,7 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies: the one with the smallest id. Documents
     without an id stay; of rows that repeat an id one stays."""
+    ship(spark)
     first = simhash.survivors(docs)
     # The ids are the side that is hashed, so texts are shuffled once and never sorted.
     named = docs.where("doc_id IS NOT NULL")
@@ -37,6 +41,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every document, with its secrets replaced by a mark."""
+    ship(spark)
     found = secrets.scan(docs, secrets.train(secrets.samples(spark, docs)))
     spans = F.col(f"`{found.columns[-1]}`.all")
     text = free_name(found, "redacted")
@@ -51,6 +56,7 @@ def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Sequences of 2048 tokens."""
+    ship(spark)
     return packing.pack(docs, public_tokenizers.path("word_bpe_49k.json"), 2048)
 
 

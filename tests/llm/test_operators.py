@@ -191,6 +191,32 @@ def test_components(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_near_copies(spark):
+    rng = random.Random(21)
+    vocabulary = ["the", "of", "and", "to", "in"] * 12 + [f"w{i}" for i in range(3000)]
+    texts = {}
+    for i in range(0, 400, 10):
+        words = [rng.choice(vocabulary) for _ in range(rng.randint(60, 400))]
+        texts[i] = " ".join(words)
+        for j in range(1, rng.randint(1, 5)):  # copies with few edits, and with many
+            edited = list(words)
+            for at in rng.sample(range(len(words)), len(words) // (60 if j % 2 else 6)):
+                edited[at] = rng.choice(vocabulary)
+            texts[i + j] = " ".join(edited)
+        texts[i + 9] = texts[i].upper() if i % 20 else texts[i]
+    rows = [(i, t) for i, t in texts.items()] + [(5000, None), (5001, ""), (None, "x"), (7, texts[0])]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("rep", F.lit("clash"))
+    kept = {r["id"] for r in simhash.survivors(df).collect()}
+    sets = {i: {" ".join(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for i, w in ((i, t.lower().split()) for i, t in texts.items())}
+    similar = lambda a, b: len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])
+    ids = sorted(sets)
+    alone = {i for i in ids if not any(i != j and similar(i, j) for j in ids)}
+    copies = {i for i in ids if any(j < i and similar(i, j) for j in ids)}
+    assert alone - {7} <= kept | {7} and 5000 in kept and 5001 not in kept
+    assert len(copies & kept) <= 0.1 * len(copies) and len(copies) > 40
+    assert simhash.survivors(df.where("doc_id > 9999")).count() == 0
+
+
 # Top-k
 
 
