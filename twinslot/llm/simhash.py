@@ -204,7 +204,7 @@ def _proven(read: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:
     right = sets.select(F.col("doc_id").alias("b"), F.col("x").alias("xb"))
     common = F.size(F.array_intersect("xa", "xb"))
     alike = common >= F.lit(similarity) * (F.size("xa") + F.size("xb") - common)
-    return cut(pairs.join(left, "a").join(right, "b").where(alike).select("a", "b").distinct(), "proven")
+    return cut(pairs.join(left, "a").join(right, "b").where(alike).select("a", "b"), "proven")  # nothing that binds a hub's rows
 
 
 def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2, doc_id: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
