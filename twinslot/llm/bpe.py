@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from . import worker
 
 #: Pieces remembered per worker, and the longest piece worth remembering (bytes).
-REMEMBERED, LONGEST = 1_000_000, 64
+REMEMBERED, LONGEST = 650_000, 64
 NONE = 1 << 62
 
 
