@@ -475,3 +475,8 @@ from . import surface  # noqa: E402
 
 for _name, (_run, _sql) in surface.table(t, INCIDENCES, INC_SQL, pair_sql).items():
     _add(_name, _run, _sql)
+
+from . import whole  # noqa: E402
+
+for _name, (_run, _sql) in whole.table(t, INCIDENCES, INC_SQL, pair_sql, by_method, grid, _LAYOUT).items():
+    _add(_name, _run, _sql)
