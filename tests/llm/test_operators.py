@@ -217,6 +217,23 @@ def test_near_copies(spark):
     assert simhash.survivors(df.where("doc_id > 9999")).count() == 0
 
 
+def test_recall_at_the_threshold(spark):
+    """Pairs whose exact similarity is just 0.8 or more, short and medium texts: few are missed."""
+    rng, rows = random.Random(5), []
+    for i in range(0, 400, 2):
+        n = rng.choice((30, 60, 100, 200))
+        base = [f"w{rng.randrange(100_000)}" for _ in range(n)]
+        sets = lambda w: {tuple(w[k : k + 5]) for k in range(len(w) - 4)}
+        edited, tries = list(base), list(base)
+        while len(sets(base) & sets(tries)) >= 0.8 * len(sets(base) | sets(tries)):
+            edited, tries = tries, list(tries)
+            tries[rng.randrange(n)] = f"w{rng.randrange(100_000)}"
+        rows += [(i, " ".join(base)), (i + 1, " ".join(edited))]
+    kept = {r["id"] for r in simhash.survivors(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert {i for i, _ in rows if i % 2 == 0} <= kept
+    assert sum(i % 2 for i in kept) <= 2
+
+
 # Top-k
 
 

@@ -115,6 +115,12 @@ SIMILARITY, SHINGLE = 0.8, 5
 #: A proposed pair is looked at exactly if this share of its sketches' bins agrees, which
 #: is four standard deviations below the similarity that counts.
 BINS, SKETCH_SHARE = 64, 0.6
+#: Bands of minimum hashes over the shingles: a pair of similarity s shares none of them with
+#: probability (1 - s^5)^20, which is 0.0004 at 0.8.
+BANDS, BAND_ROWS = 20, 5
+_RNG = np.random.default_rng(SEED)
+_XOR = _RNG.integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_ODD = _RNG.integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
 def word_prints(text: str | None, seeds: tuple[int, ...] = WORD_SEEDS) -> list[int]:
@@ -153,18 +159,35 @@ def bin_sketch(hashes: np.ndarray) -> bytes:
     return out.tobytes()
 
 
+def band_keys(hashes: np.ndarray) -> list[int]:
+    """One signed 64-bit key a band; none for a text without words."""
+    if not len(hashes):
+        return []
+    least = np.full(BANDS * BAND_ROWS, np.iinfo(np.uint64).max, np.uint64)
+    for at in range(0, len(hashes), 1024):  # bounded memory for very long texts
+        mixed = (hashes[at : at + 1024, None] ^ _XOR) * _ODD
+        mixed ^= mixed >> np.uint64(32)
+        least = np.minimum(least, (mixed * _ODD).min(axis=0))
+    rows = least.reshape(BANDS, BAND_ROWS)
+    keys = [xxhash.xxh64_intdigest(row.tobytes(), k) for k, row in enumerate(rows)]
+    return np.array(keys, np.uint64).view(np.int64).tolist()
+
+
 def _sketches(texts: pa.Array) -> pa.Array:
-    """Two halves of a 128-bit digest of the text, its shingle and word fingerprints, its bins."""
+    """Two halves of a 128-bit digest of the text, its shingle and word fingerprints, its bins and bands."""
     worker.enter("simhash")
-    rows, bins = [], []
+    rows, bins, bands = [], [], []
     for t in texts:
         text = t.as_py() or ""
         digest = xxhash.xxh3_128_intdigest(text.encode("utf-8", "surrogatepass"))
         rows.append([digest >> 64, digest & ((1 << 64) - 1), fingerprint(text), *word_prints(text)])
-        bins.append(bin_sketch(shingle_set(text)))
+        shingles = shingle_set(text)
+        bins.append(bin_sketch(shingles))
+        bands.append(band_keys(shingles))
     flat = np.array(rows, np.uint64).reshape(-1, 3 + len(WORD_SEEDS)).view(np.int64)
-    names = ["t1", "t2", *(f"f{i}" for i in range(1 + len(WORD_SEEDS))), "bins"]
-    return pa.StructArray.from_arrays([*(pa.array(np.ascontiguousarray(c), pa.int64()) for c in flat.T), pa.array(bins, pa.binary())], names)
+    names = ["t1", "t2", *(f"f{i}" for i in range(1 + len(WORD_SEEDS))), "bins", "bands"]
+    columns = [*(pa.array(np.ascontiguousarray(c), pa.int64()) for c in flat.T), pa.array(bins, pa.binary()), pa.array(bands, pa.list_(pa.int64()))]
+    return pa.StructArray.from_arrays(columns, names)
 
 
 def _agree(left: pa.Array, right: pa.Array) -> pa.Array:
@@ -193,6 +216,13 @@ def _text_links(texts: DataFrame, column: str, radius: int) -> DataFrame:
     return out
 
 
+def _band_links(members: DataFrame) -> DataFrame:
+    """Links ``(a, b)`` of the ``members(band, rep)`` of each bucket with its smallest one."""
+    least = cut(members.groupBy("band").agg(F.min("rep").alias("b"), F.count("*").alias("n")).where("n > 1").select("band", "b"), "band-centres")
+    linked = members.join(least, "band").where("rep <> b").select(F.col("rep").alias("a"), "b").distinct()
+    return cut(linked, "band-links")
+
+
 def _proven(read: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:
     """The pairs ``(a, b)`` of texts whose sets of shingles are similar enough, exactly."""
     ids = cut(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "proposed-ids")
@@ -211,26 +241,28 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
     """``(texts, groups)``: texts has ``(t1, t2, rep)``, each distinct text with its smallest
     doc_id; groups has ``(node, component)`` of the representatives that have near copies.
 
-    Pairs that word fingerprints propose are sifted by 64-byte sketches before sets of
+    Pairs that word fingerprints or bands propose are sifted by 64-byte sketches before sets of
     shingles are shuffled. Texts are near copies if their shingle fingerprints are within ``radius`` bits, or if
-    one of their word fingerprints is and their sets of five-word shingles have a Jaccard
-    similarity of ``similarity`` or more (exact, over whole texts; ASCII case is ignored).
-    A variant's members are compared with its smallest member. Copies of one text are one
+    one of their word fingerprints is or they share a band of minimum hashes, and their sets of
+    five-word shingles have a Jaccard similarity of ``similarity`` or more (exact, over whole
+    texts; ASCII case is ignored). A variant's and a band's members are compared with its
+    smallest member. Copies of one text are one
     row from the first shuffle on. Rows with a null id take no part, null texts are empty.
     """
-    schema = "t1 long, t2 long, " + ", ".join(f"f{i} long" for i in range(1 + len(WORD_SEEDS))) + ", bins binary"
+    schema = "t1 long, t2 long, " + ", ".join(f"f{i} long" for i in range(1 + len(WORD_SEEDS))) + ", bins binary, bands array<long>"
     read = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).where("doc_id IS NOT NULL")
     sketched = read.select("doc_id", F.arrow_udf(_sketches, schema)("text").alias("s")).select("doc_id", "s.*")
     prints = [f"f{i}" for i in range(1 + len(WORD_SEEDS))]
-    distinct = sketched.groupBy("t1", "t2").agg(F.min("doc_id").alias("rep"), *(F.min(p).alias(p) for p in prints), F.first("bins").alias("bins"))
+    distinct = sketched.groupBy("t1", "t2").agg(F.min("doc_id").alias("rep"), *(F.min(p).alias(p) for p in prints), F.first("bins").alias("bins"), F.first("bands").alias("bands"))
     with small_batches(docs.sparkSession):
         texts = cut(distinct, "texts")
     sure, *more = (_text_links(texts, p, radius) for p in prints)
-    proposed = more[0]
-    for part in more[1:]:
+    members = cut(texts.select("rep", F.explode("bands").alias("band")).distinct(), "bands")
+    proposed = _band_links(members)
+    for part in more:
         proposed = proposed.unionByName(part)
     proposed = cut(proposed.distinct().join(sure, ["a", "b"], "left_anti"), "proposed")
-    sketch = texts.groupBy("rep").agg(F.first("bins").alias("bins"))
+    sketch = cut(texts.groupBy("rep").agg(F.first("bins").alias("bins")), "sketch")
     ends = (sketch.select(F.col("rep").alias(x), F.col("bins").alias(f"bins_{x}")) for x in "ab")
     for x, end in zip("ab", ends):
         proposed = proposed.join(cut(end, "bins"), x)
