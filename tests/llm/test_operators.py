@@ -234,6 +234,29 @@ def test_recall_at_the_threshold(spark):
     assert sum(i % 2 for i in kept) <= 2
 
 
+def test_members_apart_from_a_centre_still_meet(spark, monkeypatch):
+    """One bucket: its smallest member is under 0.8 to all others, which form families."""
+    monkeypatch.setattr(simhash, "BLOCK", 3)
+    words = [f"w{i}" for i in range(200)]
+    texts = {0: words[:100] + [f"x{i}" for i in range(100)]}
+    for f in range(4):
+        base = words[:100] + [f"f{f}_{i}" for i in range(100)]
+        for k in range(4):
+            texts[1 + 4 * k + f] = [*base[: 199 - k], *(f"e{k}{i}" for i in range(k + 1))]
+    read = spark.createDataFrame([(i, " ".join(w)) for i, w in texts.items()], "doc_id long, text string")
+    sketch = spark.createDataFrame([(i, simhash.bin_sketch(simhash.shingle_set(" ".join(w)))) for i, w in texts.items()], "rep long, bins binary")
+    members = spark.createDataFrame([(7, i) for i in texts], "band long, rep long")
+    none = spark.createDataFrame([], "node long, component long")
+    unmet = simhash._unmet(members, none, sketch)
+    got = {(r["a"], r["b"]) for r in simhash._proven(read, unmet, 0.8).collect()}
+    sets = {i: {tuple(w[k : k + 5]) for k in range(len(w) - 4)} for i, w in texts.items()}
+    want = {(a, b) for a in texts for b in texts if a > b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])}
+    assert got == want and len(want) == 24 and all(b for _, b in want)
+    # Families that are joined already, and a centre's own component, are not met again.
+    whole = spark.createDataFrame([(i, 0) for i in texts], "node long, component long")
+    assert simhash._unmet(members, whole, sketch).count() == 0
+
+
 # Top-k
 
 

@@ -121,6 +121,8 @@ BANDS, BAND_ROWS = 20, 5
 _RNG = np.random.default_rng(SEED)
 _XOR = _RNG.integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _ODD = _RNG.integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+#: Members of a band's bucket meet in blocks of about so many.
+BLOCK = 256
 
 
 def word_prints(text: str | None, seeds: tuple[int, ...] = WORD_SEEDS) -> list[int]:
@@ -223,6 +225,63 @@ def _band_links(members: DataFrame) -> DataFrame:
     return cut(linked, "band-links")
 
 
+def _cross(blocks: pa.Array) -> pa.Array:
+    """For blocks of (rep, label, side, bins): the pairs of members that lie in different components,
+    on different sides if there are two blocks, and whose sketches agree."""
+    worker.enter("simhash")
+    out = []
+    for block in blocks:
+        rows = block.values
+        rep, label, side = (np.asarray(rows.field(k).to_numpy(zero_copy_only=False)) for k in ("rep", "label", "side"))
+        bins = np.frombuffer(b"".join(rows.field("bins").to_pylist()), np.uint8).reshape(-1, BINS)
+        two, found = len(np.unique(side)) > 1, []
+        for i in range(len(rep) - 1):
+            fine = label[i + 1 :] != label[i]
+            if two:
+                fine &= side[i + 1 :] != side[i]
+            at = i + 1 + np.flatnonzero(fine)
+            if len(at):
+                used = (bins[at] | bins[i]) != 0
+                at = at[((bins[at] == bins[i]) & used).sum(axis=1) >= SKETCH_SHARE * used.sum(axis=1)]
+                found += [{"a": int(max(rep[i], rep[j])), "b": int(min(rep[i], rep[j]))} for j in at]
+        out.append(found)
+    return pa.array(out, pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())])))
+
+
+def _unmet(members: DataFrame, joined: DataFrame, sketch: DataFrame) -> DataFrame:
+    """Pairs ``(a, b)`` of one bucket that no component joins yet and whose sketches agree.
+
+    Members in the component of the bucket's smallest one are inside, the others outside:
+    pairs with an outside member are all met, in blocks, so a bucket that is one component
+    costs nothing and one with few members outside is linear in its size. No block is
+    larger than about two times ``BLOCK``, and only pairs that agree become rows."""
+    labels = joined.select(F.col("node").alias("rep"), F.col("component").alias("c"))
+    named = cut(members.join(labels, "rep", "left").select("band", "rep", F.coalesce("c", "rep").alias("label")), "band-labels")
+    open_ = named.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.min_by("label", "rep").alias("centre")).where("low < high")
+    open_ = cut(open_.select("band", "centre"), "open-bands")
+    placed = cut(named.join(open_, "band").withColumn("out", F.col("label") != F.col("centre")), "open-members")
+    share = lambda n: F.greatest(F.ceil(n / F.lit(BLOCK)), F.lit(1)).cast("int")
+    sizes = cut(placed.groupBy("band").agg(share(F.count_if("out")).alias("nout"), share(F.count_if(~F.col("out"))).alias("nin")), "open-sizes")
+    mix = F.xxhash64("rep", F.lit(SEED))
+    at = placed.join(sizes, "band").withColumn("s", F.when(F.col("out"), F.pmod(mix, F.col("nout"))).otherwise(-1 - F.pmod(mix, F.col("nin"))).cast("int"))
+    outside = F.sequence(F.lit(0), F.col("nout") - 1)
+    inside = F.sequence(F.lit(1), F.col("nin"))
+    meets = F.when(
+        F.col("out"),
+        F.concat(
+            F.transform(outside, lambda k: F.struct(F.least("s", k).alias("p"), F.greatest("s", k).alias("q"))),
+            F.transform(inside, lambda k: F.struct(F.col("s").alias("p"), (-k).alias("q"))),
+        ),
+    ).otherwise(F.transform(outside, lambda k: F.struct(k.alias("p"), F.col("s").alias("q"))))
+    met = cut(at.select("band", "rep", "label", F.col("s").alias("side"), F.explode(meets).alias("m")).select("band", "m.p", "m.q", "rep", "label", "side"), "meetings")
+    fuller = met.join(sketch.withColumnRenamed("rep", "id"), F.col("rep") == F.col("id"))
+    row = F.struct("rep", "label", "side", "bins")
+    blocks = fuller.groupBy("band", "p", "q").agg(F.collect_list(row).alias("x"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high")
+    with small_batches(members.sparkSession, 64):
+        pairs = blocks.select(F.explode(F.arrow_udf(_cross, "array<struct<a:long,b:long>>")("x")).alias("y")).select("y.a", "y.b")
+        return cut(pairs.distinct(), "unmet")
+
+
 def _proven(read: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:
     """The pairs ``(a, b)`` of texts whose sets of shingles are similar enough, exactly."""
     ids = cut(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "proposed-ids")
@@ -246,7 +305,7 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
     one of their word fingerprints is or they share a band of minimum hashes, and their sets of
     five-word shingles have a Jaccard similarity of ``similarity`` or more (exact, over whole
     texts; ASCII case is ignored). A variant's and a band's members are compared with its
-    smallest member. Copies of one text are one
+    smallest member first; then all members of a band that are still apart are compared. Copies of one text are one
     row from the first shuffle on. Rows with a null id take no part, null texts are empty.
     """
     schema = "t1 long, t2 long, " + ", ".join(f"f{i} long" for i in range(1 + len(WORD_SEEDS))) + ", bins binary, bands array<long>"
@@ -263,6 +322,7 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
         proposed = proposed.unionByName(part)
     proposed = cut(proposed.distinct().join(sure, ["a", "b"], "left_anti"), "proposed")
     sketch = cut(texts.groupBy("rep").agg(F.first("bins").alias("bins")), "sketch")
+    asked = proposed
     ends = (sketch.select(F.col("rep").alias(x), F.col("bins").alias(f"bins_{x}")) for x in "ab")
     for x, end in zip("ab", ends):
         proposed = proposed.join(cut(end, "bins"), x)
@@ -277,6 +337,10 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
         rest = cut(rest.join(where, x, "left"), "rest")
     rest = cut(rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b"), "rest")
     proven = proven.unionByName(_proven(read, rest, similarity))
+    # What the centres of the bands left apart.
+    joined = cut(components(sure.unionByName(proven)), "joined")
+    last = cut(_unmet(members, joined, sketch).join(asked, ["a", "b"], "left_anti"), "last")
+    proven = proven.unionByName(_proven(read, last, similarity))
     return texts.select("t1", "t2", "rep"), cut(components(sure.unionByName(proven)), "groups")
 
 
