@@ -25,6 +25,9 @@ RUN = r"[A-Za-z0-9+/=_-]{20,}"
 KINDS = ("assign", "access", "hex", "markov")
 #: A run is random at this many thousandths of a nat a pair on average.
 THRESHOLD = 400
+#: A run that isn't random as a whole is searched for random stretches of ``LEAST`` characters;
+#: one ends where the sum over the threshold has fallen by ``DROP`` thousandths of a nat.
+LEAST, DROP = 20, 10_000
 #: Bounds of the training sample: random strings and documents read for ordinary words.
 RANDOM_STRINGS, SAMPLE_DOCS = 4000, 2000
 
@@ -125,21 +128,103 @@ def ratio(hit: Column, model: list[int]) -> Column:
     return F.aggregate(F.sequence(F.lit(1), F.length(hit)), state, step, lambda acc: acc["sum"])
 
 
+def pair_ratios(hit: Column, model: list[int]) -> Column:
+    """The ratio of each character's pair with the one before it (the first's is zero)."""
+    table, n = F.lit(model), len(ALPHABET)
+    code = lambda i: F.instr(F.lit(ALPHABET), F.substr(hit, i, F.lit(1)))
+    one = lambda i: F.when(i > 1, F.element_at(table, (code(F.greatest(i - 1, F.lit(1))) - 1) * n + code(i))).otherwise(0)
+    return F.transform(F.sequence(F.lit(1), F.length(hit)), one)
+
+
+def stretches(hit: Column, ratios: Column) -> Column:
+    """Random stretches of a string with its ``pair_ratios``: array of (start, end), not overlapping.
+
+    The ratios less the threshold are summed; a stretch runs from where the sum was
+    last below zero to its peak. A stretch is widened to the separators around it if it
+    is still random then."""
+    none = F.array().cast("array<struct<start:int,end:int>>")
+    zero = F.lit(0).cast("long")
+    first = F.struct(F.lit(0).alias("i"), zero.alias("sum"), zero.alias("peak"), F.lit(0).alias("lo"), F.lit(0).alias("hi"), none.alias("found"))
+
+    def step(acc: Column, v: Column) -> Column:
+        total = acc["sum"] + v - THRESHOLD
+        # The sum is lower here than anywhere since the peak, so nothing random spans this place.
+        over = (total < 0) | (total < acc["peak"] - DROP)
+        best = total > acc["peak"]
+        one = F.array(F.struct(acc["lo"].alias("start"), acc["hi"].alias("end")))
+        return F.struct(
+            (acc["i"] + 1).alias("i"), F.when(over, zero).otherwise(total).alias("sum"), F.when(over, zero).when(best, total).otherwise(acc["peak"]).alias("peak"),
+            F.when(over, acc["i"]).otherwise(acc["lo"]).alias("lo"), F.when(over | best, acc["i"] + 1).otherwise(acc["hi"]).alias("hi"),
+            F.when(over & (acc["peak"] > 0), F.concat(acc["found"], one)).otherwise(acc["found"]).alias("found"),
+        )
+
+    last = lambda acc: F.concat(acc["found"], F.array(F.struct(acc["lo"].alias("start"), acc["hi"].alias("end"))))
+    raw = F.aggregate(ratios, first, step, last)
+
+    def widened(x: Column) -> Column:
+        before, after = F.substr(hit, F.lit(1), x["start"]), F.substr(hit, x["end"] + 1, F.length(hit))
+        lo = x["start"] - F.length(F.regexp_extract(before, "[A-Za-z0-9]*$", 0))
+        hi = x["end"] + F.length(F.regexp_extract(after, "^[A-Za-z0-9]*", 0))
+        return F.struct(x["start"].alias("start"), x["end"].alias("end"), lo.alias("lo"), hi.alias("hi"))
+
+    def chosen(x: Column) -> Column:
+        fine = _random(F.slice(ratios, x["lo"] + 2, x["hi"] - x["lo"] - 1))
+        return F.struct(F.when(fine, x["lo"]).otherwise(x["start"]).alias("start"), F.when(fine, x["hi"]).otherwise(x["end"]).alias("end"))
+
+    wide = F.filter(F.transform(F.filter(raw, lambda x: x["end"] > x["start"] + 1), widened), lambda x: x["hi"] - x["lo"] >= LEAST)
+    fine = F.filter(F.transform(wide, chosen), lambda x: x["end"] - x["start"] >= LEAST)
+
+    def apart(acc: Column, x: Column) -> Column:  # two stretches widened over each other are one
+        tail = F.element_at(acc, -1)
+        joined = F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(F.struct(tail["start"].alias("start"), F.greatest(tail["end"], x["end"]).alias("end"))))
+        return F.when(F.size(acc) == 0, F.array(x)).when(x["start"] < tail["end"], joined).otherwise(F.concat(acc, F.array(x)))
+
+    return F.aggregate(fine, none, apart)
+
+
+def _random(ratios: Column) -> Column:
+    """Is the mean of the pairs at the threshold or above?"""
+    return F.aggregate(ratios, F.lit(0).cast("long"), lambda acc, v: acc + v - THRESHOLD) >= 0
+
+
+def _pieces(run: Column, base: Column) -> Column:
+    """What base spans leave of a run, as (start, hit), if ``LEAST`` characters or more."""
+    none = F.array().cast("array<struct<start:int,hit:string>>")
+    state = F.struct(run["start"].alias("at"), none.alias("found"))
+    cut_out = lambda lo, hi: F.array(F.struct(lo.alias("start"), F.substr(run["hit"], lo - run["start"] + 1, hi - lo).alias("hit")))
+
+    def step(acc: Column, b: Column) -> Column:
+        found = F.when(b["start"] - acc["at"] >= LEAST, F.concat(acc["found"], cut_out(acc["at"], b["start"]))).otherwise(acc["found"])
+        return F.struct(F.greatest(acc["at"], b["end"]).alias("at"), found.alias("found"))
+
+    met = F.filter(base, lambda b: (b["start"] < run["end"]) & (run["start"] < b["end"]))
+    return F.aggregate(met, state, step, lambda acc: F.when(run["end"] - acc["at"] >= LEAST, F.concat(acc["found"], cut_out(acc["at"], run["end"]))).otherwise(acc["found"]))
+
+
 def scan(df: DataFrame, model: list[int], text: str = "text") -> DataFrame:
     """``df`` with a column ``secrets`` (``secrets_`` if taken): struct of ``base`` and
     ``all``, arrays of (start, k, end, hit) by start, then kind; k indexes ``KINDS``.
 
-    Offsets are code points of the whole text, end exclusive. Base spans always stay; a
-    Markov span is added only where it overlaps no base span. Null and empty texts have no
+    Offsets are code points of the whole text, end exclusive. Base spans always stay and
+    are cut out of runs; what they leave of a run is a Markov span if it is random as a
+    whole, else its random stretches are. Null and empty texts have no
     spans. Rows, repeats and other columns pass through unchanged.
     """
-    name, raw = free_name(df, "secrets"), free_name(df, "spans")
+    name, raw, run, piece = (free_name(df, x) for x in ("secrets", "secret_spans", "secret_runs", "secret_pieces"))
     body = F.coalesce(F.col(text), F.lit(""))
-    out = df.withColumn(raw, F.array_sort(F.concat(*base_spans(body))))
-    runs = _spans(body, RUN, "markov", lambda h: ratio(h, model) >= THRESHOLD * (F.length(h) - 1), r"[A-Za-z0-9+/=_-]{20}")
-    base = F.col(f"`{raw}`")
-    free = F.filter(runs, lambda s: ~F.exists(base, lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"])))
-    return out.withColumn(name, F.struct(base.alias("base"), F.array_sort(F.concat(base, free)).alias("all"))).drop(raw)
+    out = df.withColumn(raw, F.array_sort(F.concat(*base_spans(body)))).withColumn(run, _spans(body, RUN, "markov", lambda h: F.lit(True), r"[A-Za-z0-9+/=_-]{20}"))
+    base, k = F.col(f"`{raw}`"), KINDS.index("markov")
+    rated = lambda r: F.transform(_pieces(r, base), lambda p: F.struct(p["start"].alias("start"), p["hit"].alias("hit"), pair_ratios(p["hit"], model).alias("v")))
+    out = out.withColumn(piece, F.flatten(F.transform(F.col(f"`{run}`"), rated)))
+
+    def judged(p: Column) -> Column:
+        whole = F.array(F.struct(F.lit(0).alias("start"), F.length(p["hit"]).alias("end")))
+        parts = F.when(_random(F.slice(p["v"], F.lit(2), F.length(p["hit"]))), whole).otherwise(stretches(p["hit"], p["v"]))
+        one = lambda x: F.struct((p["start"] + x["start"]).alias("start"), F.lit(k).alias("k"), (p["start"] + x["end"]).alias("end"), F.substr(p["hit"], x["start"] + 1, x["end"] - x["start"]).alias("hit"))
+        return F.transform(parts, one)
+
+    free = F.flatten(F.transform(F.col(f"`{piece}`"), judged))
+    return out.withColumn(name, F.struct(base.alias("base"), F.array_sort(F.concat(base, free)).alias("all"))).drop(raw, run, piece)
 
 
 def listed(spans: Column) -> Column:
