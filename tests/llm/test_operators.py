@@ -420,6 +420,22 @@ def test_language_edges(spark, docs, none):
     assert not any(r["language"]["kept"] for r in langid.identify(docs, empty).collect())
 
 
+@pytest.mark.parametrize("rare", (False, True))
+def test_floor_does_not_depend_on_the_training_size(spark, rare):
+    """200 documents, or the same and one short document of a rare language: gibberish goes, text stays."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").where("doc_id IS NOT NULL").select("doc_id", "text", "lang")
+    trained = docs.where("lang IS NOT NULL").orderBy("doc_id").limit(200)
+    if rare:
+        trained = trained.union(spark.createDataFrame([(-1, "ett litet exempel med ord", "sv")], trained.schema))
+    model = langid.train(trained)
+    assert ("sv" in model.languages) == rare
+    rng = random.Random(2)
+    noise = [(i, "".join(rng.choice("qxzjkvwpbgQXZ0123456789#@~") for _ in range(300)), None) for i in range(50)]
+    assert langid.identify(spark.createDataFrame(noise, docs.schema), model).where("language.kept").count() == 0
+    held = docs.where("lang IS NOT NULL AND doc_id >= 500 AND length(text) > 100")
+    assert langid.identify(held, model).agg(F.avg(F.col("language.kept").cast("int"))).first()[0] > 0.95
+
+
 def test_evidence_is_fused(spark):
     model = langid.Model(["de", "en"], np.zeros((2, langid.BUCKETS), np.int32))  # texts say nothing
     rows = [(1, "abc", "en-GB", None, "h"), (2, "abc", None, "de", "h"), (3, "abc", "de", "en", "h"), (4, "abc", "xx", None, None)]

@@ -26,9 +26,11 @@ EFFECTIVE = 200
 #: How often a declaration and a suffix tell the truth; weight of the parent in a prior.
 DECLARED_RIGHT, SUFFIX_RIGHT, PARENT_WEIGHT = 0.9, 0.8, 20.0
 MIN_POSTERIOR = 0.5
-#: Mean thousandths of a nat a trigram below which a text is in none of the languages: trigrams
-#: that training never saw score about -16000, short texts full of digits not below -11500.
-FLOOR = -12500
+#: A text is in none of the languages if its mean score is further than this share of the way from
+#: what its language's training text scores to what trigrams score that training never saw. Both ends
+#: move with the amount of training data, so the share doesn't depend on it: held-out texts of sf0.1
+#: stay below 0.38 with 4000 training documents and below 0.57 with 60, random letters are above 0.9.
+FLOOR_SHARE = 0.7
 #: Host priors are broadcast up to so many hosts, else joined by a salted shuffle.
 BROADCAST_HOSTS, SALTS = 100_000, 16
 #: Country suffixes of addresses and their languages.
@@ -53,10 +55,12 @@ def _trigrams(text: str | None):
 
 
 class Model:
-    """Languages and their tables of log-probabilities (thousandths of a nat)."""
+    """Languages, their tables of log-probabilities (thousandths of a nat) and the least mean that
+    a text of each may have (by default any)."""
 
-    def __init__(self, languages: list[str], table: np.ndarray):
+    def __init__(self, languages: list[str], table: np.ndarray, floors: list[int] | None = None):
         self.languages, self.table = languages, table
+        self.floors = floors if floors is not None else table.min(axis=1).tolist()
 
 
 def train(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", sample: int = SAMPLE_DOCS) -> Model:
@@ -83,7 +87,12 @@ def train(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str
     table = np.full((max(1, len(languages)), BUCKETS), 0.5)
     for r in rows:
         table[languages.index(r["l"]), r["bucket"]] += r["n"]
-    return Model(languages, np.round(1000 * np.log(table / table.sum(axis=1, keepdims=True))).astype(np.int32))
+    total = table.sum(axis=1, keepdims=True)
+    scores = 1000 * np.log(table / total)
+    seen, unseen = table - 0.5, 1000 * np.log(0.5 / total[:, 0])
+    expected = (seen * scores).sum(axis=1) / np.maximum(seen.sum(axis=1), 1)
+    floors = np.floor(expected + FLOOR_SHARE * (unseen - expected)).astype(int).tolist()
+    return Model(languages, np.round(scores).astype(np.int32), floors)
 
 
 def _tag(declared: Column) -> Column:
@@ -123,8 +132,8 @@ def identify(
     Missing evidence (a null declaration, suffix or host, or a value outside the model)
     adds nothing; a null host has its parent's prior, without that the general one. A
     text without letters has no likelihood; it isn't kept, nor is one whose posterior is
-    below ``MIN_POSTERIOR`` or whose mean log-likelihood is below ``FLOOR``. Ties go to the
-    first language in order. Rows, repeats and other columns pass through. A model without
+    below ``MIN_POSTERIOR`` or whose mean log-likelihood is below its language's floor
+    (see ``FLOOR_SHARE``). Ties go to the first language in order. Rows, repeats and other columns pass through. A model without
     languages keeps nothing.
     """
     spark, n_lang = df.sparkSession, len(model.languages)
@@ -173,7 +182,8 @@ def identify(
     posterior = F.round(1 / F.aggregate(F.col(f), F.lit(0.0), lambda acc, x: acc + F.exp(x - best)), 6)
     mean = F.floor(F.element_at(F.col(f"`{s}`.ll"), at) / F.greatest(n, F.lit(1)))
     lang = F.element_at(F.array(*(F.lit(x) for x in model.languages)), at)
-    kept = (n > 0) & (posterior >= MIN_POSTERIOR) & (mean >= FLOOR)
+    floor = F.element_at(F.array(*(F.lit(int(x)) for x in model.floors)), at)
+    kept = (n > 0) & (posterior >= MIN_POSTERIOR) & (mean >= floor)
     result = F.struct(lang.alias("lang"), posterior.alias("posterior"), n.alias("n"), mean.alias("mean"), kept.alias("kept"))
     return fused.withColumn(name, result).select(*(F.col(f"`{c}`") for c in df.columns), name)
 
