@@ -59,8 +59,7 @@ def bitmap(inc: DataFrame, min_support: int = 1, cfg: Config = Config()) -> Data
 def bitmap_words(inc: DataFrame) -> DataFrame:
     """``(item, word, bits)``: 64-transaction words by grouped OR, no Python."""
     bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("tid", F.lit(64)).cast("int"))
-    word = F.floor((F.col("tid") - F.pmod("tid", F.lit(64))) / 64).cast("long")
-    return inc.groupBy("item", word.alias("word")).agg(F.bit_or(bit).alias("bits"))
+    return inc.groupBy("item", F.shiftright("tid", 6).alias("word")).agg(F.bit_or(bit).alias("bits"))
 
 
 def bitmap_sql(inc: DataFrame, min_support: int = 1) -> DataFrame:

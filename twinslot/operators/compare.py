@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..config import Config
 from ..functions import layout, perm
+from ..sources.incidence import segment_of
 
 _LANES = {bits: np.uint64(sum(1 << k for k in range(bits - 1, 64, bits))) for bits in (8, 16, 32)}
 
@@ -137,8 +138,7 @@ def elements_np(slots: bytes, log2_r: int, cfg: Config) -> np.ndarray:
     """The elements (positions in the segment) that one map holds, sorted."""
     codes, tables, bits = layout.decode(np.frombuffer(slots, layout.KINDS[cfg.slot_bits]), log2_r, cfg)
     once = bits == 1  # the later copy of each element
-    inverse = np.argsort(perm.tables(cfg.segment, cfg.seed), axis=1)
-    return np.sort(inverse[tables[once], codes[once]])
+    return np.sort(perm.inverses(cfg.segment, cfg.seed)[tables[once], codes[once]])
 
 
 def common_np(a: bytes, a_bits: int, b: bytes, b_bits: int, cfg: Config) -> np.ndarray:
@@ -153,33 +153,38 @@ def elements(maps: DataFrame, cfg: Config = Config()) -> DataFrame:
         for batch in batches:
             for row in batch.to_pylist():
                 x = elements_np(row["slots"], row["log2_r"], cfg)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.full(len(x), row["item"]), pa.int64()), pa.array(x + row["seg"] * cfg.segment, pa.int64())], ["item", "tid"]
-                )
+                base = np.full(len(x), row["seg"], np.int64) * cfg.segment  # wraps, and back, in the lowest segment of long
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), row["item"]), pa.int64()), pa.array(base + x, pa.int64())], ["item", "tid"])
 
     return maps.select("item", "seg", "log2_r", "slots").mapInArrow(run, "item long, tid long")
 
 
+def held_np(slots: bytes, log2_r: int, x: np.ndarray, cfg: Config) -> np.ndarray:
+    """Does one map hold the positions ``x``? Looks at three slots each."""
+    values = np.frombuffer(slots, layout.KINDS[cfg.slot_bits]).astype(np.int64) & ((1 << (cfg.slot_bits - 1)) - 1)
+    codes = perm.tables(cfg.segment, cfg.seed)[:, x].astype(np.int64)
+    at = np.stack([layout.slot_of(codes[t], t, 1 << log2_r, 1 << cfg.r0_bits) for t in range(3)])
+    return (values[at] == (codes >> cfg.shift) + 1).any(axis=0)
+
+
 def contains(maps: DataFrame, probes: DataFrame, cfg: Config = Config()) -> DataFrame:
-    """``probes(item, tid)`` with ``found``: do the item's maps hold the id?
-
-    Looks at the three slots of each id, no more. An item or a segment without a map
-    holds nothing; failed elements aren't found here (join the failed log for them)."""
-
-    def probe(slots: pa.Array, bits: pa.Array, xs: pa.Array) -> pa.Array:
-        r0, out = 1 << cfg.r0_bits, []
-        for data, b, x in zip(slots.to_pylist(), bits.to_pylist(), xs.to_pylist()):
-            hit = False
-            if data is not None:
-                values = np.frombuffer(data, layout.KINDS[cfg.slot_bits])
-                low = (1 << (cfg.slot_bits - 1)) - 1
-                for t in range(3):
-                    code = int(perm.tables(cfg.segment, cfg.seed)[t][x])
-                    hit |= int(values[int(layout.slot_of(code, t, 1 << b, r0))]) & low == (code >> cfg.shift) + 1
-            out.append(bool(hit))
-        return pa.array(out, pa.bool_())
-
-    x = F.pmod("tid", F.lit(cfg.segment).cast("long"))
-    placed = probes.withColumn("x", x.cast("int")).withColumn("seg", ((F.col("tid") - F.col("x")) / cfg.segment).cast("long"))
+    """Distinct ``probes(item, tid)`` with ``found``: do the item's maps hold the id?
+
+    Probes of one item and segment (at most a segment of them) meet their map once and look
+    at the three slots of each id together. An item or a segment without a map holds
+    nothing; failed elements aren't found here (join the failed log for them). Probes with
+    a null are left out, repeated ones give one row."""
+
+    def probe(slots: pa.Array, bits: pa.Array, tids: pa.Array) -> pa.Array:
+        out = []
+        for data, b, some in zip(slots, bits.to_pylist(), tids):
+            x = np.asarray(some.values) % cfg.segment
+            out.append(np.zeros(len(x), bool) if not data.is_valid else held_np(data.as_py(), b, x, cfg))
+        ends = np.cumsum([0, *map(len, out)]).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate([np.zeros(0, bool), *out]), pa.bool_()))
+
+    known = probes.where("item IS NOT NULL AND tid IS NOT NULL")
+    placed = known.groupBy("item", segment_of("tid", cfg.segment).alias("seg")).agg(F.collect_set("tid").alias("tids"))
     joined = placed.join(maps.select("item", "seg", "log2_r", "slots"), ["item", "seg"], "left")
-    return joined.select("item", "tid", F.arrow_udf(probe, "boolean")("slots", "log2_r", "x").alias("found"))
+    answered = joined.select("item", "tids", F.arrow_udf(probe, "array<boolean>")("slots", "log2_r", "tids").alias("found"))
+    return answered.select("item", F.explode(F.arrays_zip("tids", "found")).alias("p")).select("item", F.col("p.tids").alias("tid"), "p.found")

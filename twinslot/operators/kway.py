@@ -84,7 +84,8 @@ def witnesses(sets: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
 def count(inc: DataFrame, itemsets: DataFrame, d: int, redundancy: Redundancy | None = None, cfg: Config = Config()) -> DataFrame:
     """``itemsets(items)`` of up to ``d`` items with their ``support``, from d of d + 1 layouts.
 
-    Ranges grow with the number of copies. Elements that found too few places are evaluated
+    Each set is laid out once, written, and joined to the itemsets that hold it. Ranges grow
+    with the number of copies. Elements that found too few places are evaluated
     exactly from the incidence: their transactions are counted apart. Supports of zero are
     reported."""
     red = redundancy or Redundancy(d, d + 1)
@@ -93,32 +94,38 @@ def count(inc: DataFrame, itemsets: DataFrame, d: int, redundancy: Redundancy |
     wanted = cut(itemsets.select(F.array_sort(F.array_distinct("items")).alias("items")).distinct(), "itemsets")
     members = wanted.select("items", F.explode("items").alias("item"))
     rows = segmented(inc.join(members.select("item").distinct(), "item", "left_semi"), cfg.segment)
-    sets = cut(rows.groupBy("item", "seg").agg(F.array_sort(F.collect_set("x")).alias("xs")), "sets")  # at most a segment each
+    sets = rows.groupBy("item", "seg").agg(F.array_sort(F.collect_set("x")).alias("xs"))  # at most a segment each
 
-    def run(table: pa.Table) -> pa.Table:
-        by_items: dict[tuple, list[np.ndarray]] = {}
-        for row in table.to_pylist():
-            by_items.setdefault(tuple(row["items"]), []).append(np.array(row["xs"], np.int64))
+    def lay(xs: pa.Array) -> pa.Array:
+        """Each set's tables, once: elements and table masks of the slots, and what found too few places."""
         out = []
-        for items, lists in by_items.items():
-            if len(lists) < len(items):
-                continue
+        for one in xs:
+            x = np.asarray(one.values).astype(np.int64)
+            values, masks = place(x, red, max(6, int(2 * len(x) * max(2, red.copies) - 1).bit_length()), cfg)
+            lost = np.setdiff1d(x, np.unique(values[values > 0]) - 1, assume_unique=True)
+            out.append((values.astype("<i4").tobytes(), masks.astype("<u4").tobytes(), lost.astype("<i4").tobytes()))
+        return pa.StructArray.from_arrays([pa.array(c, pa.binary()) for c in (zip(*out) if out else ((), (), ()))], ["v", "m", "lost"])
+
+    laid = sets.select("item", "seg", F.arrow_udf(lay, "v binary, m binary, lost binary")("xs").alias("s"))
+    layouts = cut(laid, "layouts")
+
+    def common(groups: pa.Array) -> pa.Array:
+        out = []
+        for group in groups:
             made, lost = [], []
-            for x in lists:
-                bits = max(6, int(2 * len(x) * max(2, red.copies) - 1).bit_length())
-                values, masks = place(x, red, bits, cfg)
-                made.append((values, masks))
-                lost.append(np.setdiff1d(x, np.unique(values[values > 0]) - 1, assume_unique=True))
+            for s in group.as_py():
+                made.append(tuple(np.frombuffer(s[k], kind).astype(np.int64).reshape(red.tables, -1) for k, kind in (("v", "<i4"), ("m", "<u4"))))
+                lost.append(np.frombuffer(s["lost"], "<i4").astype(np.int64))
             found = len(witnesses(made))
             again = np.unique(np.concatenate(lost))  # failed in some set: look at the sets themselves
-            found += sum(all(np.isin(e, x) for x in lists) for e in again.tolist())
-            out.append((list(items), found))
-        return pa.Table.from_arrays(
-            [pa.array([o[0] for o in out], pa.list_(pa.int64())), pa.array([o[1] for o in out], pa.int64())], names=["items", "support"]
-        )
-
-    met = members.join(sets, "item")
-    counted = met.groupBy("items", "seg").applyInArrow(run, "items array<bigint>, support bigint").groupBy("items").agg(F.sum("support").alias("support"))
+            for (values, _), gone in zip(made, lost) if len(again) else ():
+                again = again[np.isin(again, gone) | np.isin(again + 1, values)]
+            out.append(found + len(again))
+        return pa.array(out, pa.int64())
+
+    met = members.join(layouts, "item").groupBy("items", "seg").agg(F.collect_list("s").alias("sets"))  # at most d sets each
+    full = met.where(F.size("sets") == F.size("items"))
+    counted = full.select("items", F.arrow_udf(common, "long")("sets").alias("n")).groupBy("items").agg(F.sum("n").alias("support"))
     return wanted.join(counted, "items", "left").select("items", F.coalesce("support", F.lit(0)).cast("long").alias("support"))
 
 
@@ -154,8 +161,7 @@ def count_anchor(inc: DataFrame, itemsets: DataFrame, cfg: Config = Config()) ->
                 hits += rule.sum(axis=0) if len(other) >= len(anchor) else rule.ravel()
             at = np.flatnonzero(anchor)
             codes, tables, _ = layout.decode(anchor, rows[0]["log2_r"], cfg)
-            inverse = np.argsort(perm.tables(cfg.segment, cfg.seed), axis=1)
-            element = inverse[tables, codes]
+            element = perm.inverses(cfg.segment, cfg.seed)[tables, codes]
             total = np.bincount(element, weights=hits[at], minlength=cfg.segment)
             out.append((list(items), int((total == len(rows) - 1).sum()) if len(rows) > 1 else len(np.unique(element))))
         return pa.Table.from_arrays(

@@ -119,7 +119,17 @@ def encoded(inc: DataFrame) -> tuple[DataFrame, DataFrame]:
     return inc.join(words, inc["item"] == words["key"]).select(F.col("id").alias("item"), "tid"), words
 
 
+def segment_of(tid: Column | str, segment: int) -> Column:
+    """The segment of a transaction id: floor division in 64-bit integers, exact over the whole range of long."""
+    t, n = F.col(tid) if isinstance(tid, str) else tid, F.lit(segment).cast("long")
+    return F.call_function("div", t, n) - F.when(t % n < 0, 1).otherwise(0)
+
+
+def place_of(tid: Column | str, segment: int) -> Column:
+    """The position of a transaction id in its segment, from 0."""
+    return F.pmod(F.col(tid) if isinstance(tid, str) else tid, F.lit(segment).cast("long")).cast("int")
+
+
 def segmented(inc: DataFrame, segment: int) -> DataFrame:
     """``(item, seg, x, tid)``: transaction ids cut into segments of one size."""
-    x = F.pmod(F.col("tid"), F.lit(segment).cast("long"))
-    return inc.select("item", ((F.col("tid") - x) / segment).cast("long").alias("seg"), x.cast("int").alias("x"), "tid")
+    return inc.select("item", segment_of("tid", segment).alias("seg"), place_of("tid", segment).alias("x"), "tid")

@@ -120,6 +120,20 @@ for _name, (_cfg, _min) in VARIANTS.items():
     _add(_name, by_method(order_supplier, "twinslot", _min, _cfg), pair_sql(INC_SQL["order_supplier"], _min))
 
 
+# Ids far beyond 2^53, as hashes and stamps have them: counts, listings and probes stay exact.
+FAR = 1 << 62
+
+
+def far_order_supplier(s: SparkSession, d: str) -> DataFrame:
+    return order_supplier(s, d).withColumn("tid", F.col("tid") * 64 + FAR)
+
+
+_FAR_SQL = f"SELECT DISTINCT l_suppkey AS item, l_orderkey * 64 + {FAR} AS tid FROM lineitem"
+for _method in ("twinslot", "merge", "bitmap", "bitmap_sql"):
+    _add(f"far_ids_{_method}", by_method(far_order_supplier, _method, 1, Config() if _method != "bitmap_sql" else None), pair_sql(_FAR_SQL, 1))
+_add("far_ids_listing", lambda s, d: apps.intersection(far_order_supplier(s, d), 1, 2), f"SELECT tid FROM ({_FAR_SQL}) WHERE item = 1 INTERSECT SELECT tid FROM ({_FAR_SQL}) WHERE item = 2")
+
+
 @_query(pair_sql(INC_SQL["order_supplier"], 1))
 def slots_sql(s, d):
     """The counting rule as a join of slot rows."""
