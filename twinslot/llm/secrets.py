@@ -28,31 +28,85 @@ THRESHOLD = 400
 #: A run that isn't random as a whole is searched for random stretches of ``LEAST`` characters;
 #: one ends where the sum over the threshold has fallen by ``DROP`` thousandths of a nat.
 LEAST, DROP = 20, 10_000
+#: Characters of ``ALPHABET`` from here on separate words.
+SEPARATORS_AFTER = 62
+#: Steps of a scan whose outputs are one array; code points in a chunk of text (a power of two).
+BLOCK, CHUNK = 64, 1024
+SPANS = "array<struct<start:int,k:int,end:int,hit:string>>"
 #: Bounds of the training sample: random strings and documents read for ordinary words.
 RANDOM_STRINGS, SAMPLE_DOCS = 4000, 2000
 
 
+def _let(value: Column, body) -> Column:
+    """``body(value)`` with the value computed once, however often the body's lambdas use it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def _constant(values: list[int]) -> Column:
+    """An array of integers as one literal, which the optimizer folds."""
+    return F.split(F.lit(",".join(map(str, values))), ",").cast("array<int>")
+
+
+def _scan(n: Column, state: Column, kind: str, step) -> Column:
+    """Left fold over 0 .. n - 1 that also lists: struct of the last state ``s`` and ``out``, an array of ``kind``.
+
+    ``step(state, i)`` gives the next state, whether it lists something, and what. An array
+    grows by copying, so outputs are collected in blocks of ``BLOCK`` steps and blocks in an array of arrays:
+    time is in proportion to n for any text that fits a row."""
+    none, nothing = F.array().cast(f"array<{kind}>"), F.array().cast(f"array<array<{kind}>>")
+
+    def inner(acc: Column, i: Column) -> Column:
+        now, some, one = step(acc["s"], i)
+        return F.struct(now.alias("s"), F.when(some, F.concat(acc["out"], F.array(one))).otherwise(acc["out"]).alias("out"))
+
+    def whole(size: Column) -> Column:
+        def outer(acc: Column, at: Column) -> Column:
+            done = F.aggregate(F.sequence(at, F.least(at + BLOCK, size) - 1), F.struct(acc["s"].alias("s"), none.alias("out")), inner)
+            return _let(done, lambda r: F.struct(r["s"].alias("s"), F.concat(acc["out"], F.array(r["out"])).alias("out")))
+
+        blocks = F.sequence(F.lit(0), F.greatest(size - 1, F.lit(0)), F.lit(BLOCK))
+        folded = F.aggregate(blocks, F.struct(state.alias("s"), nothing.alias("out")), outer, lambda acc: F.struct(acc["s"].alias("s"), F.flatten(acc["out"]).alias("out")))
+        return F.when(size > 0, folded).otherwise(F.struct(state.alias("s"), none.alias("out")))
+
+    return _let(n, whole)
+
+
 def _spans(text: Column, pattern: str, kind: str, keep, only: str | None = None) -> Column:
     """Spans of all matches that ``keep(hit)`` accepts: array of (start, k, end, hit).
 
     Matches and the stretches between them alternate, so offsets are running sums of
     lengths (in code points). ``only`` is a cheaper necessary pattern."""
     k = KINDS.index(kind)
-    gaps = F.split(text, pattern, -1)
-    hits = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    pairs = F.zip_with(gaps, hits, lambda g, h: F.struct(F.length(g).alias("g"), h.alias("h")))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,k:int,end:int,hit:string>>").alias("found"))
+    read = F.struct(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias("h"), F.transform(F.split(text, pattern, -1), F.length).alias("g"))
+
+    def placed(v: Column) -> Column:
+        def step(at: Column, i: Column):
+            end = at + F.get(v["g"], i) + F.length(F.get(v["h"], i))
+            return end, F.lit(True), end
+
+        one = lambda ends: lambda h, i: F.struct((F.get(ends, i) - F.length(h)).alias("start"), F.lit(k).alias("k"), F.get(ends, i).alias("end"), h.alias("hit"))
+        made = _let(_scan(F.size(v["h"]), F.lit(0), "int", step)["out"], lambda ends: F.transform(v["h"], one(ends)))
+        return F.filter(made, lambda s: keep(s["hit"]))
+
+    return F.when(text.rlike(only or pattern), _let(read, placed)).otherwise(F.array().cast(SPANS))
+
+
+def _chunks(text: Column) -> Column:
+    """The text in strings of ``CHUNK`` code points, so that a place in it is reached without a walk from its start."""
+    return F.regexp_extract_all(text, F.lit(f"(?s).{{1,{CHUNK}}}"), F.lit(0))
+
 
-    def step(acc: Column, p: Column) -> Column:
-        lo = acc["at"] + p["g"]
-        hi = lo + F.coalesce(F.length(p["h"]), F.lit(0))
-        one = F.struct(lo.alias("start"), F.lit(k).alias("k"), hi.alias("end"), p["h"].alias("hit"))
-        found = F.when(p["h"].isNotNull() & keep(p["h"]), F.concat(acc["found"], F.array(one))).otherwise(acc["found"])
-        return F.struct(hi.alias("at"), found.alias("found"))
+def _cut_out(chunks: Column, lo: Column, hi: Column) -> Column:
+    """Code points ``lo`` to ``hi`` (exclusive) of the text that ``_chunks`` cut."""
+    bits = CHUNK.bit_length() - 1
+    first, last = F.shiftright(lo, bits), F.shiftright(hi - 1, bits)
+    some = F.when(first == last, F.get(chunks, first)).otherwise(F.array_join(F.transform(F.sequence(first, last), lambda j: F.get(chunks, j)), ""))
+    return F.when(hi <= lo, F.lit("")).otherwise(F.substr(some, lo.bitwiseAND(CHUNK - 1) + 1, hi - lo))
 
-    found = F.aggregate(pairs, start, step, lambda acc: acc["found"])
-    none = F.array().cast("array<struct<start:int,k:int,end:int,hit:string>>")
-    return F.when(text.rlike(only or pattern), found).otherwise(none)
+
+def _covered(spans: Column) -> Column:
+    """For spans by start: ``out`` has the end of all spans before each, ``s`` the end of all."""
+    return _scan(F.size(spans), F.lit(0), "int", lambda at, i: (F.greatest(at, F.get(spans, i)["end"]), F.lit(True), at))
 
 
 def base_spans(text: Column) -> list[Column]:
@@ -67,19 +121,22 @@ def base_spans(text: Column) -> list[Column]:
 
 
 def samples(spark: SparkSession, docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """Labelled strings ``(text, random)``: digests in two alphabets (random), and words of
+    """Labelled strings ``(text, random, n)``, n times each: digests in two alphabets (random), and words of
     a bounded sample of documents, alone and joined as identifiers (ordinary).
 
     The sample is the ``SAMPLE_DOCS`` documents whose ids hash lowest; it grows no further."""
     ids = spark.range(RANDOM_STRINGS)
     digest = F.unhex(F.sha2(F.concat(F.lit("sample"), F.col("id").cast("string")), 256))
-    made = ids.select(F.explode(F.array(F.base64(digest), F.translate(F.base64(digest), "+/", "-_"), F.lower(F.hex(digest)))).alias("text"), F.lit(1).alias("random"))
+    strings = F.array(F.base64(digest), F.translate(F.base64(digest), "+/", "-_"), F.lower(F.hex(digest)))
+    made = ids.select(F.explode(strings).alias("text"), F.lit(1).alias("random"), F.lit(1).cast("long").alias("n"))
     chosen = docs.select(F.col(doc_id).alias("id")).where("id IS NOT NULL").distinct().orderBy(F.xxhash64("id"), "id").limit(SAMPLE_DOCS)
     words = (
         docs.select(F.col(doc_id).alias("id"), F.col(text).alias("t"))
         .join(F.broadcast(chosen), "id", "left_semi")
         .select(F.explode(F.regexp_extract_all("t", F.lit("[A-Za-z]{2,}"), F.lit(0))).alias("w"))
         .where("length(w) < 20")
+        .groupBy("w")
+        .agg(F.count("*").alias("n"))
     )
     low = F.lower("w")
     ordinary = words.select(
@@ -89,116 +146,148 @@ def samples(spark: SparkSession, docs: DataFrame, doc_id: str = "doc_id", text:
                 F.concat(F.upper("w"), F.lit("_"), F.upper("w")), F.concat(low, F.lit("-"), low), F.concat(low, F.lit("/"), low), F.concat(low, F.lit("-2024-01")),
             )
         ).alias("text"),
-        F.lit(0).alias("random"),
+        F.lit(0).alias("random"), "n",
     )
-    rules = spark.createDataFrame([(c * 200, 0) for c in "-=_/+0" for _ in range(20)], "text string, random int")
+    rules = spark.createDataFrame([(c * 200, 0, 20) for c in "-=_/+0"], "text string, random int, n long")
     return made.unionByName(ordinary).unionByName(rules)
 
 
 def train(labelled: DataFrame) -> list[int]:
     """The table of log-likelihood ratios of character pairs, thousandths of a nat.
 
-    Counting is one grouped aggregation; what reaches the driver is at most two rows per
-    pair of alphabet characters."""
+    ``labelled(text, random, n)``: n says how often a string counts. Counting is one grouped
+    aggregation; what reaches the driver is at most two rows per pair of alphabet characters."""
     pair = F.explode(F.transform(F.sequence(F.lit(1), F.greatest(F.length("text") - 1, F.lit(1))), lambda i: F.substr(F.col("text"), i, F.lit(2))))
-    rows = labelled.where("length(text) > 1").select("random", pair.alias("pair")).groupBy("random", "pair").count().collect()
+    rows = labelled.where("length(text) > 1").select("random", pair.alias("pair"), "n").groupBy("random", "pair").agg(F.sum("n").alias("n")).collect()
     place = {c: i for i, c in enumerate(ALPHABET)}
     n = len(ALPHABET)
     counts = [[[1.0] * n for _ in range(n)] for _ in range(2)]
     for r in rows:
         if len(r["pair"]) == 2 and r["pair"][0] in place and r["pair"][1] in place:
-            counts[r["random"]][place[r["pair"][0]]][place[r["pair"][1]]] += r["count"]
+            counts[r["random"]][place[r["pair"][0]]][place[r["pair"][1]]] += r["n"]
     totals = [[sum(row) for row in table] for table in counts]
     return [
         round(1000 * (log(counts[1][a][b] / totals[1][a]) - log(counts[0][a][b] / totals[0][a]))) for a in range(n) for b in range(n)
     ]
 
 
-def ratio(hit: Column, model: list[int]) -> Column:
-    """Log-likelihood ratio of a string over the alphabet, thousandths of a nat."""
-    table, n = F.lit(model), len(ALPHABET)
-    code = lambda i: F.instr(F.lit(ALPHABET), F.substr(hit, i, F.lit(1)))
-    state = F.struct(F.lit(0).cast("long").alias("sum"), F.lit(0).alias("was"))
+def _codes(hit: Column):
+    """The place in ``ALPHABET`` (from 1, 0 for others) of a string's character i (from 1), read from its bytes."""
+    places = [0] * 256
+    for i, c in enumerate(ALPHABET):
+        places[ord(c)] = i + 1
+    known = _constant(places)
+    return lambda raw, i: F.get(known, F.ascii(F.substr(raw, i, F.lit(1)).cast("string")).bitwiseAND(255))
 
-    def step(acc: Column, i: Column) -> Column:
-        now = code(i)
-        more = F.when((acc["was"] > 0) & (now > 0), F.element_at(table, (acc["was"] - 1) * n + now)).otherwise(0)
-        return F.struct((acc["sum"] + more).alias("sum"), now.alias("was"))
 
-    return F.aggregate(F.sequence(F.lit(1), F.length(hit)), state, step, lambda acc: acc["sum"])
+def pair_ratios(hit: Column, model: list[int]) -> Column:
+    """The ratio of each character's pair with the one before it (the first's is zero), for
+    strings over the alphabet."""
+    table, n, code = _constant(model), len(ALPHABET), _codes(hit)
 
+    def rated(raw: Column) -> Column:
+        def one(i: Column) -> Column:
+            was, now = code(raw, F.greatest(i - 1, F.lit(1))), code(raw, i)
+            return F.when((i > 1) & (was > 0) & (now > 0), F.element_at(table, (was - 1) * n + now)).otherwise(0)
 
-def pair_ratios(hit: Column, model: list[int]) -> Column:
-    """The ratio of each character's pair with the one before it (the first's is zero)."""
-    table, n = F.lit(model), len(ALPHABET)
-    code = lambda i: F.instr(F.lit(ALPHABET), F.substr(hit, i, F.lit(1)))
-    one = lambda i: F.when(i > 1, F.element_at(table, (code(F.greatest(i - 1, F.lit(1))) - 1) * n + code(i))).otherwise(0)
-    return F.transform(F.sequence(F.lit(1), F.length(hit)), one)
+        return F.when(F.length(raw) > 0, F.transform(F.sequence(F.lit(1), F.length(raw)), one)).otherwise(F.array().cast("array<int>"))
+
+    return _let(F.encode(hit, "utf-8"), rated)
+
+
+def ratio(hit: Column, model: list[int]) -> Column:
+    """Log-likelihood ratio of a string over the alphabet, thousandths of a nat."""
+    return F.aggregate(pair_ratios(hit, model), F.lit(0).cast("long"), lambda acc, v: acc + v)
+
+
+def _ends(spans: Column, last: Column) -> Column:
+    return F.concat(spans, F.array(last))
 
 
 def stretches(hit: Column, ratios: Column) -> Column:
-    """Random stretches of a string with its ``pair_ratios``: array of (start, end), not overlapping.
+    """Random stretches of a string over the alphabet with its ``pair_ratios``: array of (start, end), not overlapping.
 
     The ratios less the threshold are summed; a stretch runs from where the sum was
     last below zero to its peak. A stretch is widened to the separators around it if it
-    is still random then."""
-    none = F.array().cast("array<struct<start:int,end:int>>")
-    zero = F.lit(0).cast("long")
-    first = F.struct(F.lit(0).alias("i"), zero.alias("sum"), zero.alias("peak"), F.lit(0).alias("lo"), F.lit(0).alias("hi"), none.alias("found"))
-
-    def step(acc: Column, v: Column) -> Column:
-        total = acc["sum"] + v - THRESHOLD
-        # The sum is lower here than anywhere since the peak, so nothing random spans this place.
-        over = (total < 0) | (total < acc["peak"] - DROP)
-        best = total > acc["peak"]
-        one = F.array(F.struct(acc["lo"].alias("start"), acc["hi"].alias("end")))
-        return F.struct(
-            (acc["i"] + 1).alias("i"), F.when(over, zero).otherwise(total).alias("sum"), F.when(over, zero).when(best, total).otherwise(acc["peak"]).alias("peak"),
-            F.when(over, acc["i"]).otherwise(acc["lo"]).alias("lo"), F.when(over | best, acc["i"] + 1).otherwise(acc["hi"]).alias("hi"),
-            F.when(over & (acc["peak"] > 0), F.concat(acc["found"], one)).otherwise(acc["found"]).alias("found"),
+    is still random then. All steps are scans, linear in the string."""
+    zero, pair = F.lit(0).cast("long"), "struct<start:int,end:int>"
+    first = F.struct(zero.alias("sum"), zero.alias("peak"), F.lit(0).alias("lo"), F.lit(0).alias("hi"))
+    span = lambda lo, hi: F.struct(lo.alias("start"), hi.alias("end"))
+    code = _codes(hit)
+
+    def found(x: Column) -> Column:  # x: ratios, bytes and length
+        n = x["n"]
+        separator = lambda i: code(x["raw"], i + 1) > SEPARATORS_AFTER
+
+        def step(s: Column, i: Column):
+            total = s["sum"] + F.get(x["v"], i) - THRESHOLD
+            # The sum is lower here than anywhere since the peak, so nothing random spans this place.
+            over = (total < 0) | (total < s["peak"] - DROP)
+            best = total > s["peak"]
+            now = F.struct(
+                F.when(over, zero).otherwise(total).alias("sum"), F.when(over, zero).when(best, total).otherwise(s["peak"]).alias("peak"),
+                F.when(over, i).otherwise(s["lo"]).alias("lo"), F.when(over | best, i + 1).otherwise(s["hi"]).alias("hi"),
+            )
+            return now, over & (s["peak"] > 0), span(s["lo"], s["hi"])
+
+        raw = _let(_scan(n, first, pair, step), lambda r: _ends(r["out"], span(r["s"]["lo"], r["s"]["hi"])))
+
+        def running(s: Column, i: Column):
+            total = s + F.get(x["v"], i) - THRESHOLD
+            return total, F.lit(True), total
+
+        def left(s: Column, i: Column):
+            at = F.when(separator(i), i + 1).otherwise(s)
+            return at, F.lit(True), at
+
+        def right(s: Column, i: Column):
+            at = F.when(separator(n - 1 - i), n - 1 - i).otherwise(s)
+            return at, F.lit(True), at
+
+        marks = F.struct(
+            _scan(n, zero, "bigint", running)["out"].alias("sums"), _scan(n, F.lit(0), "int", left)["out"].alias("left"), _scan(n, n, "int", right)["out"].alias("right"),
         )
 
-    last = lambda acc: F.concat(acc["found"], F.array(F.struct(acc["lo"].alias("start"), acc["hi"].alias("end"))))
-    raw = F.aggregate(ratios, first, step, last)
-
-    def widened(x: Column) -> Column:
-        before, after = F.substr(hit, F.lit(1), x["start"]), F.substr(hit, x["end"] + 1, F.length(hit))
-        lo = x["start"] - F.length(F.regexp_extract(before, "[A-Za-z0-9]*$", 0))
-        hi = x["end"] + F.length(F.regexp_extract(after, "^[A-Za-z0-9]*", 0))
-        return F.struct(x["start"].alias("start"), x["end"].alias("end"), lo.alias("lo"), hi.alias("hi"))
+        def widened(m: Column):
+            def wide(p: Column) -> Column:
+                lo = F.when(p["start"] > 0, F.get(m["left"], p["start"] - 1)).otherwise(0)
+                hi = F.when(p["end"] < n, F.get(m["right"], n - 1 - p["end"])).otherwise(n)
+                fine = F.get(m["sums"], hi - 1) - F.get(m["sums"], lo) >= 0
+                return F.when(hi - lo < LEAST, span(p["start"], p["start"])).when(fine, span(lo, hi)).otherwise(p)
 
-    def chosen(x: Column) -> Column:
-        fine = _random(F.slice(ratios, x["lo"] + 2, x["hi"] - x["lo"] - 1))
-        return F.struct(F.when(fine, x["lo"]).otherwise(x["start"]).alias("start"), F.when(fine, x["hi"]).otherwise(x["end"]).alias("end"))
+            return lambda some: F.filter(F.transform(some, wide), lambda p: p["end"] - p["start"] >= LEAST)
 
-    wide = F.filter(F.transform(F.filter(raw, lambda x: x["end"] > x["start"] + 1), widened), lambda x: x["hi"] - x["lo"] >= LEAST)
-    fine = F.filter(F.transform(wide, chosen), lambda x: x["end"] - x["start"] >= LEAST)
+        long = F.filter(raw, lambda p: p["end"] > p["start"] + 1)
+        return F.when(F.size(long) > 0, _let(marks, lambda m: widened(m)(long))).otherwise(F.array().cast(f"array<{pair}>"))
 
-    def apart(acc: Column, x: Column) -> Column:  # two stretches widened over each other are one
-        tail = F.element_at(acc, -1)
-        joined = F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(F.struct(tail["start"].alias("start"), F.greatest(tail["end"], x["end"]).alias("end"))))
-        return F.when(F.size(acc) == 0, F.array(x)).when(x["start"] < tail["end"], joined).otherwise(F.concat(acc, F.array(x)))
+    def apart(some: Column) -> Column:  # two stretches widened over each other are one
+        def step(s: Column, i: Column):
+            one = F.get(some, i)
+            meets = one["start"] < s["end"]
+            return F.when(meets, span(s["start"], F.greatest(s["end"], one["end"]))).otherwise(one), ~meets & (s["end"] > 0), s
 
-    return F.aggregate(fine, none, apart)
+        joined = _scan(F.size(some), span(F.lit(0), F.lit(0)), pair, step)
+        return F.when(F.size(some) > 0, _let(joined, lambda r: _ends(r["out"], r["s"]))).otherwise(some)
 
+    bound = F.struct(ratios.alias("v"), F.encode(hit, "utf-8").alias("raw"), F.length(hit).alias("n"))
+    return _let(_let(bound, found), apart)
 
-def _random(ratios: Column) -> Column:
-    """Is the mean of the pairs at the threshold or above?"""
-    return F.aggregate(ratios, F.lit(0).cast("long"), lambda acc, v: acc + v - THRESHOLD) >= 0
 
+def _runs(text: Column, base: Column) -> Column:
+    """Runs of credential characters that base spans leave, ``LEAST`` or more each: array of (start, hit)."""
+    pieces = "array<struct<start:int,hit:string>>"
 
-def _pieces(run: Column, base: Column) -> Column:
-    """What base spans leave of a run, as (start, hit), if ``LEAST`` characters or more."""
-    none = F.array().cast("array<struct<start:int,hit:string>>")
-    state = F.struct(run["start"].alias("at"), none.alias("found"))
-    cut_out = lambda lo, hi: F.array(F.struct(lo.alias("start"), F.substr(run["hit"], lo - run["start"] + 1, hi - lo).alias("hit")))
+    def around(x: Column) -> Column:  # x: base spans, what they cover, chunks of the text
+        n = F.size(x["base"])
+        lo = lambda i: F.when(i < n, F.get(x["cover"]["out"], i)).otherwise(x["cover"]["s"])
+        hi = lambda i: F.when(i < n, F.get(x["base"], i)["start"]).otherwise(F.length(text))
+        wide = F.filter(F.sequence(F.lit(0), n), lambda i: hi(i) - lo(i) >= LEAST)
+        return F.transform(wide, lambda i: F.struct(lo(i).alias("start"), _cut_out(x["chunks"], lo(i), hi(i)).alias("hit")))
 
-    def step(acc: Column, b: Column) -> Column:
-        found = F.when(b["start"] - acc["at"] >= LEAST, F.concat(acc["found"], cut_out(acc["at"], b["start"]))).otherwise(acc["found"])
-        return F.struct(F.greatest(acc["at"], b["end"]).alias("at"), found.alias("found"))
-
-    met = F.filter(base, lambda b: (b["start"] < run["end"]) & (run["start"] < b["end"]))
-    return F.aggregate(met, state, step, lambda acc: F.when(run["end"] - acc["at"] >= LEAST, F.concat(acc["found"], cut_out(acc["at"], run["end"]))).otherwise(acc["found"]))
+    parts = F.struct(base.alias("base"), _covered(base).alias("cover"), _chunks(text).alias("chunks"))
+    gaps = F.when(F.size(base) > 0, _let(parts, around)).otherwise(F.array(F.struct(F.lit(0).alias("start"), text.alias("hit"))))
+    moved = lambda g: F.transform(_spans(g["hit"], RUN, "markov", lambda h: F.lit(True)), lambda s: F.struct((g["start"] + s["start"]).alias("start"), s["hit"].alias("hit")))
+    return F.when(text.rlike(RUN), F.flatten(F.transform(gaps, moved))).otherwise(F.array().cast(pieces))
 
 
 def scan(df: DataFrame, model: list[int], text: str = "text") -> DataFrame:
@@ -207,24 +296,32 @@ def scan(df: DataFrame, model: list[int], text: str = "text") -> DataFrame:
 
     Offsets are code points of the whole text, end exclusive. Base spans always stay and
     are cut out of runs; what they leave of a run is a Markov span if it is random as a
-    whole, else its random stretches are. Null and empty texts have no
-    spans. Rows, repeats and other columns pass through unchanged.
+    whole, else its random stretches are. Null and empty texts have no spans. Very long texts
+    take time in proportion to their length and number of spans; one row's text and
+    spans must fit a task's memory. Rows, repeats and other columns pass through unchanged; an
+    empty table gives none.
     """
-    name, raw, run, piece = (free_name(df, x) for x in ("secrets", "secret_spans", "secret_runs", "secret_pieces"))
+    name, raw, run = (free_name(df, x) for x in ("secrets", "secret_spans", "secret_runs"))
     body = F.coalesce(F.col(text), F.lit(""))
-    out = df.withColumn(raw, F.array_sort(F.concat(*base_spans(body)))).withColumn(run, _spans(body, RUN, "markov", lambda h: F.lit(True), r"[A-Za-z0-9+/=_-]{20}"))
+    out = df.withColumn(raw, F.sort_array(F.concat(*base_spans(body))))
     base, k = F.col(f"`{raw}`"), KINDS.index("markov")
-    rated = lambda r: F.transform(_pieces(r, base), lambda p: F.struct(p["start"].alias("start"), p["hit"].alias("hit"), pair_ratios(p["hit"], model).alias("v")))
-    out = out.withColumn(piece, F.flatten(F.transform(F.col(f"`{run}`"), rated)))
+    out = out.withColumn(run, _runs(body, base))
 
     def judged(p: Column) -> Column:
-        whole = F.array(F.struct(F.lit(0).alias("start"), F.length(p["hit"]).alias("end")))
-        parts = F.when(_random(F.slice(p["v"], F.lit(2), F.length(p["hit"]))), whole).otherwise(stretches(p["hit"], p["v"]))
-        one = lambda x: F.struct((p["start"] + x["start"]).alias("start"), F.lit(k).alias("k"), (p["start"] + x["end"]).alias("end"), F.substr(p["hit"], x["start"] + 1, x["end"] - x["start"]).alias("hit"))
-        return F.transform(parts, one)
+        n = F.length(p["hit"])
+
+        def parts(v: Column) -> Column:
+            random = F.aggregate(v, F.lit(0).cast("long"), lambda acc, x: acc + x) >= THRESHOLD * (n - 1)
+            return F.when(random, F.array(F.struct(F.lit(0).alias("start"), n.alias("end")))).otherwise(stretches(p["hit"], v))
+
+        def made(chunks: Column):
+            one = lambda x: F.struct((p["start"] + x["start"]).alias("start"), F.lit(k).alias("k"), (p["start"] + x["end"]).alias("end"), _cut_out(chunks, x["start"], x["end"]).alias("hit"))
+            return F.transform(_let(pair_ratios(p["hit"], model), parts), one)
+
+        return _let(_chunks(p["hit"]), made)
 
-    free = F.flatten(F.transform(F.col(f"`{piece}`"), judged))
-    return out.withColumn(name, F.struct(base.alias("base"), F.array_sort(F.concat(base, free)).alias("all"))).drop(raw, run, piece)
+    free = F.flatten(F.transform(F.col(f"`{run}`"), judged))
+    return out.withColumn(name, F.struct(base.alias("base"), F.sort_array(F.concat(base, free)).alias("all"))).drop(raw, run)
 
 
 def listed(spans: Column) -> Column:
@@ -235,13 +332,14 @@ def listed(spans: Column) -> Column:
 
 
 def redact(text: Column, spans: Column, mark: str = "[SECRET]") -> Column:
-    """``text`` with every span replaced by ``mark`` (overlapping spans by one)."""
-    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+    """``text`` with every span (sorted by start) replaced by ``mark`` (overlapping spans by one)."""
 
-    def step(acc: Column, s: Column) -> Column:
-        fresh = s["start"] >= acc["at"]
-        out = F.when(fresh, F.concat(acc["out"], F.substr(text, acc["at"] + 1, s["start"] - acc["at"]), F.lit(mark))).otherwise(acc["out"])
-        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), out.alias("out"))
+    def done(x: Column) -> Column:
+        start = lambda i: F.get(x["spans"], i)["start"]
+        before = lambda i: F.get(x["cover"]["out"], i)
+        fresh = F.filter(F.sequence(F.lit(0), F.size(x["spans"]) - 1), lambda i: start(i) >= before(i))
+        parts = F.transform(fresh, lambda i: F.concat(_cut_out(x["chunks"], before(i), start(i)), F.lit(mark)))
+        return F.concat(F.array_join(parts, ""), _cut_out(x["chunks"], x["cover"]["s"], F.length(text)))
 
-    done = F.aggregate(spans, start, step, lambda acc: F.concat(acc["out"], F.substr(text, acc["at"] + 1, F.length(text))))
-    return F.when(F.size(spans) > 0, done).otherwise(text)
+    bound = F.struct(spans.alias("spans"), _covered(spans).alias("cover"), _chunks(text).alias("chunks"))
+    return F.when(F.size(spans) > 0, _let(bound, done)).otherwise(text)
