@@ -1,9 +1,10 @@
 """Best-fit packing of documents into fixed-length sequences by linear grouping.
 
-Pieces longer than an eighth of a sequence are large. Large lengths are rounded up
+Pieces longer than a quarter of a sequence are large. Large lengths are rounded up
 within groups of equal cardinality, so few sizes remain; configurations of those
-sizes are chosen by exact knapsacks; actual documents then take the places (their
-true lengths leave more room, never less); small ones go best-fit into what is left.
+sizes are chosen by exact knapsacks, each around the largest size that is left; actual
+documents then take the places (their true lengths leave more room, never less); small ones
+go best-fit into what is left.
 
 Everything is planned on the histogram of lengths, which has at most ``capacity`` rows
 however many documents there are. A plan is a list of runs: documents of one length and
@@ -29,7 +30,9 @@ from pyspark.sql import functions as F
 from . import worker
 from .common import cut
 
-CAPACITY, GROUPS, SMALL_PART = 2048, (48, 400), 8
+CAPACITY, GROUPS, SMALL_PART = 2048, (400, 800), 4
+#: The running counts (a row for each task and length) are broadcast up to so many rows, else shuffled.
+BROADCAST_COUNTS = 500_000
 END = 0
 REMEMBERED, LONGEST = 1_200_000, 48
 
@@ -175,14 +178,13 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY, groups: tuple[int,
     """Runs ``(length, first rank, count, per sequence, first sequence, offset)`` for a
     histogram of lengths. Their number depends on ``capacity`` and ``groups`` alone.
 
-    Several groupings are planned (more groups round less; anchored configurations
-    always hold the largest size left), and one with everything small, which is
-    best-fit decreasing; the plan with the fewest sequences wins, the first on ties."""
-    tries = [(g, anchored, SMALL_PART) for g in groups for anchored in (False, True)] + [(1, False, 1)]
-    return min((_plan(histogram, capacity, *t) for t in tries), key=sequences)
+    Each number of groups gives a plan by linear grouping (more groups round less); the one
+    with the fewest sequences wins, the first on ties."""
+    return min((grouping(histogram, capacity, g) for g in groups), key=sequences)
 
 
-def _plan(histogram: dict[int, int], capacity: int, groups: int, anchored: bool, small_part: int) -> list[Run]:
+def grouping(histogram: dict[int, int], capacity: int, groups: int, small_part: int = SMALL_PART) -> list[Run]:
+    """One plan by linear grouping; pieces of up to ``capacity // small_part`` are small."""
     runs: list[Run] = []
     rank = dict.fromkeys(histogram, 0)
     bins = 0
@@ -214,9 +216,9 @@ def _plan(histogram: dict[int, int], capacity: int, groups: int, anchored: bool,
     left = [sum(n for _, n in q) for q in queues]
     while any(left):
         live = [k for k, n in enumerate(left) if n]
-        fixed = int(anchored)
-        use = _configuration([sizes[k] for k in live], [left[k] - fixed * (k == live[0]) for k in live], capacity - fixed * sizes[live[0]])
-        use[0] += fixed
+        # The largest size left is in the configuration; the rest of it is an exact knapsack.
+        use = _configuration([sizes[k] for k in live], [left[k] - (k == live[0]) for k in live], capacity - sizes[live[0]])
+        use[0] += 1
         slots = [k for k, u in zip(live, use) for _ in range(u)]
         times = min(left[k] // u for k, u in zip(live, use) if u)
         for k, u in zip(live, use):
@@ -300,7 +302,8 @@ def pack(docs: DataFrame, path: str, capacity: int = CAPACITY, groups: tuple[int
 
     Null and empty texts become one piece that holds only the final id. A null doc_id is
     kept as null; repeated rows are packed as often as they occur; only ``doc_id`` and
-    ``text`` are read. No documents give no rows. Ranks are local ranks within a task plus
+    ``text`` are read, so columns of other names don't matter. A very long text is encoded whole, in the
+    memory of its task, and cut into pieces. No documents give no rows. Ranks are local ranks within a task plus
     offsets of the task, so a length that a third of all documents share is never in
     one place.
     """
@@ -309,7 +312,9 @@ def pack(docs: DataFrame, path: str, capacity: int = CAPACITY, groups: tuple[int
     before = Window.partitionBy("length").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
     counts = cut(counts.withColumn("base", F.coalesce(F.sum("n").over(before), F.lit(0).cast("long"))), "counts")
     histogram = {r["length"]: r["n"] for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # <= capacity rows
-    ranked = found.join(counts.select("chunk", "length", "base"), ["chunk", "length"]).withColumn("rank", F.col("base") + F.col("local"))
+    bases = counts.select("chunk", "length", "base")
+    bases = F.broadcast(bases) if counts.count() <= BROADCAST_COUNTS else bases.hint("merge")  # a key has one task's pieces at most
+    ranked = found.join(bases, ["chunk", "length"]).withColumn("rank", F.col("base") + F.col("local"))
     return ranked.withColumn("place", _place(plan(histogram, capacity, groups))).select(
         "doc_id", "piece", "start", "length", "ids_crc32", "place.sequence_id", "place.offset"
     )
