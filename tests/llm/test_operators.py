@@ -385,6 +385,28 @@ def test_redaction(spark, model):
     assert out == ["é [SECRET]' and [SECRET].", "nothing here", None]
 
 
+def test_long_texts_take_linear_time(spark, model):
+    """100,000 tokens in one text, and twice as many: results are right, time about doubles."""
+    import time
+
+    rng, took = random.Random(9), []
+    for n in (50_000, 100_000):
+        text = " ".join(rng.choice(("token=%s", "a %s", "x/%s é")) % "".join(rng.choice("abcdefgh0123456789XYZ") for _ in range(rng.randint(8, 30))) for _ in range(n))
+        df = spark.createDataFrame([(1, text)], "doc_id long, text string")
+        began = time.perf_counter()
+        row = secrets.scan(df, model).select(secrets.listed(F.col("secrets.base")).alias("b"), F.col("secrets.all").alias("a"), secrets.redact(F.col("text"), F.col("secrets.all")).alias("r")).first()
+        took.append(time.perf_counter() - began)
+        assert row["b"] == brute_base(text)
+        out, at = [], 0
+        for s in row["a"]:
+            assert s["hit"] == text[s["start"] : s["end"]]
+            if s["start"] >= at:
+                out += [text[at : s["start"]], "[SECRET]"]
+            at = max(at, s["end"])
+        assert row["r"] == "".join([*out, text[at:]]) and len(row["a"]) > n / 4
+    assert took[1] < 3 * took[0] + 5 and took[1] < 90
+
+
 # Byte-level BPE
 
 RANKS, PATTERN = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
@@ -466,6 +488,48 @@ def test_evidence_is_fused(spark):
     assert hosts == {"http://A.co.uk/x": "en", "https://x.de:80/": "de", "nothing": None, None: None}
 
 
+def test_fusion_by_hand(spark):
+    """Every number of the fusion against plain Python: text, declaration, suffix, host, parent, general prior."""
+    names, rng = ["de", "en", "fr"], np.random.default_rng(3)
+    model = langid.Model(names, -rng.integers(8000, 12000, (3, langid.BUCKETS)).astype(np.int32))
+    words = ["abc def", "xyz", "zzz yyy xxx www", "123", None, "q", "many many words in this text " * 30]
+    rows = [(i, words[i % 7], [None, "en", "fr-FR", "sv"][i % 4], [None, "de"][i % 2], [None, "h1.x", "h2.x", "h3.y"][i % 4], [None, "x", "y"][i % 3]) for i in range(60)]
+    df = spark.createDataFrame(rows, "id int, text string, d string, s string, h string, p string")
+    got = {r["id"]: r["language"] for r in langid.identify(df, model, declared=F.col("d"), suffix=F.col("s"), host=F.col("h"), parent=F.col("p")).collect()}
+
+    def scores(text):
+        seen = [b for part in langid._trigrams(text) for b in part.tolist()]
+        return [int(model.table[k, seen].sum()) for k in range(3)], len(seen)
+
+    votes = Counter()
+    for _, text, _, _, h, p in rows:
+        ll, n = scores(text)
+        if n:
+            votes[h or "", p or "", ll.index(max(ll))] += 1
+    whole = [sum(v for (_, _, k), v in votes.items() if k == x) + 1.0 for x in range(3)]
+    general = [x / sum(whole) for x in whole]
+    a = langid.PARENT_WEIGHT
+
+    def prior(h, p):
+        if not any((h, p) == key[:2] for key in votes):
+            return general
+        of_parent = [sum(v for (_, q, k), v in votes.items() if q == p and k == x) for x in range(3)]
+        parent = [(of_parent[x] + a * general[x]) / (sum(of_parent) + a) for x in range(3)]
+        own = [votes[h, p, x] for x in range(3)]
+        return parent if h == "" else [(own[x] + a * parent[x]) / (sum(own) + a) for x in range(3)]
+
+    for i, text, d, s, h, p in rows:
+        ll, n = scores(text)
+        weight = min(n, langid.EFFECTIVE) / max(n, 1) / 1000
+        total = [ll[x] * weight + math.log(prior(h or "", p or "")[x]) for x in range(3)]
+        for told, right in ((d and d.split("-")[0], langid.DECLARED_RIGHT), (s, langid.SUFFIX_RIGHT)):
+            if told in names:
+                total = [t + math.log(right if names[x] == told else (1 - right) / 2) for x, t in enumerate(total)]
+        best = max(total)
+        assert got[i]["lang"] == names[total.index(best)] and got[i]["n"] == n
+        assert abs(got[i]["posterior"] - 1 / sum(math.exp(t - best) for t in total)) < 1e-5
+
+
 def test_host_priors_with_many_hosts(spark, monkeypatch):
     docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
     model = langid.train(docs)
@@ -477,9 +541,10 @@ def test_host_priors_with_many_hosts(spark, monkeypatch):
 # WARC
 
 
-def test_warc_round_trip(spark):
+def test_warc_round_trip(spark, monkeypatch):
     rows = [(5, "http://a/", "same"), (3, "http://b/", "same"), (9, None, None), (8, "http://c/\r\nX: y", ""), (7, "é", "<p>ü</p>" * 500), (3, "http://b/", "same"), (None, "n", "same"), (None, "n", "alone")]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("sha256", F.lit("clash"))
+    monkeypatch.setattr(warc, "HOT_RECORDS", 2)  # some payloads are dealt to parts
     paths = warc.write(pages)
     out = [tuple(r) for r in warc.read(spark, *paths).collect()]
     digest = lambda s: base64.b32encode(hashlib.sha1(s.encode()).digest()).decode()

@@ -41,3 +41,41 @@ def test_stages_on_odd_documents(spark):
             out = stage(spark, df, f"{DATA}/sf0.001")
             assert out.columns == df.columns and out.count() <= df.count()
         assert corpus_pipeline.STAGES[-1][1](spark, df, f"{DATA}/sf0.001").count() == df.count()
+
+
+def test_documents_that_share_an_id(spark):
+    """Rows of one id with other texts are documents of their own; equal rows are one."""
+    long = " ".join(f"w{i}" for i in range(60))
+    other, near = " ".join(f"v{i}" for i in range(60)), long.replace("w30", "x")
+    rows = [(5, long), (5, other), (5, other), (3, near), (7, other + " z"), (8, None), (8, ""), (None, long)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("document", F.lit("clash"))
+    out = corpus_pipeline.near_duplicates(spark, docs, "")
+    assert out.columns == docs.columns
+    got = sorted((r["doc_id"] or 0, r["text"] or "") for r in out.collect())
+    assert got == sorted([(0, long), (3, near), (5, other), (8, "")])
+
+
+def test_pages_query(spark, monkeypatch):
+    """op7_pages on pages whose language is plain from text, declaration, suffix or host alone."""
+    from twinslot.llm import langid, queries
+
+    docs = spark.read.parquet(f"{DATA}/sf0.001/documents.parquet")
+    text = {r["lang"]: r["text"] for r in docs.where("length(text) > 300").orderBy("doc_id").collect()}
+    rows = [
+        (1, "http://a.example/x", f"<html><style>p {{}} le la les</style><!-- der die das --><p>{text['en']}</p></html>"),
+        (2, "http://b.example/x", f"<p>{text['de']}</p><script>the of and</script>"),
+        (3, "http://c.fr/", "<html lang='fr-CA'><p>1 a 2</p></html>"),
+        (4, "https://d.example.es:80/", '<HTML class=x LANG="es">'),
+        (5, None, None),
+    ]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    monkeypatch.setattr(queries, "table", lambda s, d, name, *columns: (pages if name == "pages" else docs).select(*columns))
+    out = {r["page_id"]: r for r in queries.op7_pages(spark, "").collect()}
+    assert set(out) == {1, 2, 3, 4, 5}
+    assert (out[1]["lang"], out[2]["lang"], out[3]["lang"]) == ("en", "de", "fr") and out[1]["kept"] and out[2]["kept"]
+    assert out[4]["n"] == 0 and not out[4]["kept"] and out[4]["lang"] == "es" and not out[5]["kept"]
+    seen = pages.select("page_id", *(v.alias(k) for k, v in langid.pages_evidence(F.col("url"), F.col("html")).items()))
+    seen = {r["page_id"]: r for r in seen.collect()}
+    assert (seen[3]["declared"], seen[3]["suffix"], seen[3]["host"], seen[3]["parent"]) == ("fr-CA", "fr", "c.fr", "c.fr")
+    assert (seen[4]["declared"], seen[4]["suffix"], seen[4]["host"], seen[4]["parent"]) == ("es", "es", "d.example.es", "example.es")
+    assert "le la les" not in seen[1]["text"] and "der die" not in seen[1]["text"] and "the of" not in seen[2]["text"]

@@ -98,14 +98,14 @@ class Codec:
     def encode(self, text: str) -> bytes:
         """Ids of one whole text as little-endian 32-bit integers."""
         seen = self.seen
-        if len(seen) > REMEMBERED:
-            seen.clear()
         out = []
         for piece in self.split(text):
             if (ids := seen.get(piece)) is None:
                 raw = piece.encode("utf-8")
                 ids = np.array(merge(raw, self.ranks), "<i4").tobytes()
                 if len(raw) <= LONGEST:
+                    if len(seen) > REMEMBERED:
+                        seen.clear()
                     seen[piece] = ids
             out.append(ids)
         return b"".join(out)
@@ -134,8 +134,10 @@ worker.remembers("bpe", codec.cache_clear)
 
 def encode(text: Column, path: str, pattern: str) -> Column:
     """``array<int>`` of token ids of a text column. Null counts as the empty text, which
-    has no ids. Special tokens are never made: their strings are ordinary text. Rows
-    are independent, so ties, repeated rows and other columns don't matter."""
+    has no ids. Special tokens are never made: their strings are ordinary text. A very long
+    text is encoded whole, in n log n time for its longest piece; what is remembered of pieces is
+    bounded within a text too. Rows are independent, so ties, repeated rows, empty tables and
+    other columns don't matter."""
 
     def ids_of(texts: pa.Array) -> pa.Array:
         worker.enter("bpe")

@@ -94,7 +94,8 @@ def render(df: DataFrame, conv_id: str = "conv_id", turn: str = "turn", role: st
     A turn is ``<|role|>``, a line break, its text, ``<|end|>`` and a line break (null role:
     ``unknown``; null text: empty). A segment holds at most ``BLOCK`` turns, numbered from 0,
     and segments of a conversation in order are its whole text: no row grows with a
-    conversation's length.
+    conversation's length. A turn's text is never cut, so a segment is as long as its texts.
+    Turns without a number are one block of their conversation, ordered by their hashes.
     """
     kept, marked = maximal(df, conv_id, turn, role, text)
     h1, h2 = _hash(F.col(role), F.col(text))

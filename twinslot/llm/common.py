@@ -2,25 +2,14 @@
 
 from __future__ import annotations
 
-import gc
-import time
 from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..stages import cut, discard, new_path, shared_dir
+from ..stages import cut, discard, new_path, scratch, shared_dir
 
-__all__ = ["components", "cut", "discard", "free_name", "new_path", "release", "shared_dir", "small_batches", "table"]
-
-
-def release(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of finished jobs now: it does so when the driver's
-    garbage is collected, which may be long after the disk is full."""
-    for _ in range(2):
-        gc.collect()
-        spark._jvm.System.gc()
-        time.sleep(0.5)
+__all__ = ["components", "cut", "discard", "free_name", "new_path", "scratch", "shared_dir", "small_batches", "table"]
 
 
 @contextmanager

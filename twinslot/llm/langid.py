@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import worker
-from .common import cut, free_name
+from .common import cut, discard, free_name
 
 BUCKETS, CHUNK = 1 << 15, 1 << 18
 #: A classifier is fitted on at most this many labelled documents.
@@ -133,8 +133,10 @@ def identify(
     adds nothing; a null host has its parent's prior, without that the general one. A
     text without letters has no likelihood; it isn't kept, nor is one whose posterior is
     below ``MIN_POSTERIOR`` or whose mean log-likelihood is below its language's floor
-    (see ``FLOOR_SHARE``). Ties go to the first language in order. Rows, repeats and other columns pass through. A model without
-    languages keeps nothing.
+    (see ``FLOOR_SHARE``). Ties go to the first language in order. Very long texts are read in
+    chunks of bounded size. Rows, repeats and other columns pass through; an empty table gives
+    none. A model without languages keeps nothing. ``declared`` must be evidence apart from the
+    labels that the model was trained on.
     """
     spark, n_lang = df.sparkSession, len(model.languages)
     name = free_name(df, "language")
@@ -145,7 +147,7 @@ def identify(
     scored = df.withColumns({s: _score(spark, model)(F.col(text)), h: F.coalesce(host if host is not None else none, F.lit("")), p: F.coalesce(parent if parent is not None else none, F.lit(""))})
     votes = scored.where(F.col(f"`{s}`.n") > 0).select(F.col(f"`{h}`").alias("h"), F.col(f"`{p}`").alias("p"), _argmax(F.col(f"`{s}`.ll")).alias("v"))
     sums = [F.count_if(F.col("v") == i + 1).alias(f"n{i}") for i in range(n_lang)]
-    hosts = cut(votes.groupBy("h", "p").agg(*sums), "hosts")
+    hosts = cut(votes.groupBy("h", "p").agg(*sums), "hosts")  # deleted when the priors are written
     add = [F.sum(f"n{i}").alias(f"p{i}") for i in range(n_lang)]
     whole = hosts.agg(*add).first()
     n_all = [(whole[i] or 0) + 1.0 for i in range(n_lang)]
@@ -156,6 +158,7 @@ def identify(
     by_parent = [(F.col(f"p{i}") + a * general[i]) / (total("p") + a) for i in range(n_lang)]
     by_host = [F.when(F.col("h") == "", by_parent[i]).otherwise((F.col(f"n{i}") + a * by_parent[i]) / (total("n") + a)) for i in range(n_lang)]
     priors = cut(hosts.join(parents, "p").select(F.col("h").alias(jh), F.col("p").alias(jp), F.array(*(F.log(x) for x in by_host)).alias(prior_name)), "priors")
+    discard(hosts)
     if priors.count() <= BROADCAST_HOSTS:
         joined = scored.join(F.broadcast(priors), (F.col(h) == F.col(jh)) & (F.col(p) == F.col(jp)), "left")
     else:

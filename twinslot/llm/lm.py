@@ -29,7 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, release
+from .common import cut
 
 ORDER, BACKOFF, MIN_COUNT = 3, 0.4, 2
 BLOCK_CHARS, PART_ENTRIES, LEAST_PARTS = 6_000_000, 1_500_000, 64
@@ -291,12 +291,10 @@ def score(
     parts = max(LEAST_PARTS, math.ceil(total * order / PART_ENTRIES))
     asked = blocks.mapInArrow(_requests(parts, min(order, 2)), REQUEST_SCHEMA)
     answers = cut(asked.groupBy("part").applyInArrow(_answers, ANSWER_SCHEMA), "lm-answers")
-    release(docs.sparkSession)
     if order == 3:
         more = blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_trigram_requests(parts, min_count), REQUEST_SCHEMA)
         answers = answers.unionByName(cut(more.groupBy("part").applyInArrow(_answers, ANSWER_SCHEMA), "lm-answers"))
-        release(docs.sparkSession)
-    return (
+        return (
         blocks.groupBy("block")
         .cogroup(answers.groupBy("block"))
         .applyInArrow(_scores(order, backoff, min_count, total), SCORE_SCHEMA)

@@ -64,9 +64,10 @@ def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Language of all documents: text, declared language, and the source as host."""
+    """Language of all documents: text, and the source as host. Their ``lang`` labels the training
+    sample, so it is no evidence."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source")
-    found = langid.identify(docs, langid.train(docs), declared=F.col("lang"), host=F.col("source"))
+    found = langid.identify(docs, langid.train(docs), host=F.col("source"))
     return found.select("doc_id", "language.*")
 
 

@@ -19,10 +19,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.incidence import dense_ids
 from . import worker
-from .common import components, cut, release, small_batches
+from .common import components, cut, free_name, scratch, small_batches
 
 BITS, SEED, CHUNK = 64, 42, 1 << 16
+#: Variants that a task emits.
+VARIANTS = 1_000_000
 
 
 def fingerprint(text: str | None, shingle: int = 3) -> int:
@@ -64,15 +67,20 @@ def links(prints: DataFrame, radius: int = 2) -> DataFrame:
     pairs within ``radius`` (even) bits: same connected components, no pair emitted twice.
 
     A bucket holds at most as many fingerprints as the ball has members, since they
-    are distinct and within half the radius of its variant.
+    are distinct and within half the radius of its variant; a larger one means that ``prints``
+    repeats a fingerprint, and is an error. The few small files that fingerprints come in are
+    dealt to tasks by the rows they grow to before they do.
     """
     if radius % 2 or not 0 <= radius <= 4:
         raise ValueError("radius must be 0, 2 or 4: half of it is the radius of the emitted balls")
     half = radius // 2
     masks = F.array(*(F.lit(m).cast("long") for m in ball(half)))
     size = sum(comb(BITS, n) for n in range(half + 1))
-    variants = prints.select("fp", F.explode(masks).alias("mask")).select("fp", F.col("fp").bitwiseXOR(F.col("mask")).alias("variant"))
-    buckets = variants.groupBy("variant").agg(F.collect_list("fp").alias("members")).where((F.size("members") > 1) & (F.size("members") <= size))
+    tasks = max(prints.sparkSession.sparkContext.defaultParallelism, -(-prints.count() * size // VARIANTS))
+    variants = prints.repartition(tasks, "fp").select("fp", F.explode(masks).alias("mask")).select("fp", F.col("fp").bitwiseXOR(F.col("mask")).alias("variant"))
+    members = F.collect_list("fp")
+    sound = F.when(F.size(members) <= size, members).otherwise(F.raise_error(F.lit("a fingerprint is repeated")).cast("array<long>"))
+    buckets = variants.groupBy("variant").agg(sound.alias("members")).where(F.size("members") > 1)
     return (
         buckets.select(F.array_min("members").alias("b"), F.explode("members").alias("a"))
         .where((F.col("a") != F.col("b")) & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= radius))
@@ -92,20 +100,16 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", rad
     bytes before anything is shuffled, and equal fingerprints become one row before
     balls are emitted, so a third of all rows being copies costs one partial count.
     """
-    fps = cut(docs.select(F.col(doc_id).cast("long").alias("doc_id"), _udf(shingle)(F.col(text)).alias("fp")), "prints")
-    reps = cut(fps.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "reps")
-    joined = cut(components(links(reps.select("fp"), radius)), "components")
-    labelled = joined.join(reps.withColumnRenamed("fp", "node"), "node")
-    least = cut(labelled.groupBy("component").agg(F.min("first_id").alias("component_id")), "least")
-    of_fp = cut(
-        reps.join(joined.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first_id", "component"), "of"
-    )
-    ids = cut(
-        of_fp.join(least, "component", "left").select("fp", F.coalesce("component_id", "first_id").alias("component_id")), "ids"
-    )
-    return fps.join(ids, "fp").select(
-        "doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id"
-    )
+    with scratch() as keep:
+        fps = keep(cut(docs.select(F.col(doc_id).cast("long").alias("doc_id"), _udf(shingle)(F.col(text)).alias("fp")), "prints"))
+        reps = cut(fps.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "reps")
+        joined = cut(components(links(reps.select("fp"), radius)), "components")
+        labelled = joined.join(reps.withColumnRenamed("fp", "node"), "node")
+        least = cut(labelled.groupBy("component").agg(F.min("first_id").alias("component_id")), "least")
+        of_fp = cut(reps.join(joined.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first_id", "component"), "of")
+        ids = of_fp.join(least, "component", "left").select("fp", F.coalesce("component_id", "first_id").alias("component_id"))
+        ids = keep(cut(ids, "ids"))
+    return fps.join(ids, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
 # Near copies: fingerprints that move little under small edits propose, shingles decide.
@@ -214,7 +218,6 @@ def _text_links(texts: DataFrame, column: str, radius: int) -> DataFrame:
     left, right = (reps.select(F.col("fp").alias(x), F.col("r").alias(f"r{x}")) for x in "ab")
     across = near.join(left, "a").join(right, "b").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
     out = cut(same.unionByName(across).where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "text-links")
-    release(texts.sparkSession)
     return out
 
 
@@ -288,7 +291,6 @@ def _proven(read: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:
     wanted = read.join(ids.hint("shuffle_hash"), F.col("doc_id") == F.col("id"), "left_semi")
     with small_batches(read.sparkSession):
         sets = cut(wanted.select("doc_id", F.arrow_udf(_shingle_sets, "array<long>")("text").alias("x")), "shingles")
-    release(read.sparkSession)
     left = sets.select(F.col("doc_id").alias("a"), F.col("x").alias("xa"))
     right = sets.select(F.col("doc_id").alias("b"), F.col("x").alias("xb"))
     common = F.size(F.array_intersect("xa", "xb"))
@@ -306,46 +308,59 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
     five-word shingles have a Jaccard similarity of ``similarity`` or more (exact, over whole
     texts; ASCII case is ignored). A variant's and a band's members are compared with its
     smallest member first; then all members of a band that are still apart are compared. Copies of one text are one
-    row from the first shuffle on. Rows with a null id take no part, null texts are empty.
+    row from the first shuffle on. Rows with a null id take no part, null texts are empty; ids
+    must not repeat with other texts (see ``keyed``).
     """
-    schema = "t1 long, t2 long, " + ", ".join(f"f{i} long" for i in range(1 + len(WORD_SEEDS))) + ", bins binary, bands array<long>"
-    read = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).where("doc_id IS NOT NULL")
-    sketched = read.select("doc_id", F.arrow_udf(_sketches, schema)("text").alias("s")).select("doc_id", "s.*")
-    prints = [f"f{i}" for i in range(1 + len(WORD_SEEDS))]
-    distinct = sketched.groupBy("t1", "t2").agg(F.min("doc_id").alias("rep"), *(F.min(p).alias(p) for p in prints), F.first("bins").alias("bins"), F.first("bands").alias("bands"))
-    with small_batches(docs.sparkSession):
-        texts = cut(distinct, "texts")
-    sure, *more = (_text_links(texts, p, radius) for p in prints)
-    members = cut(texts.select("rep", F.explode("bands").alias("band")).distinct(), "bands")
-    proposed = _band_links(members)
-    for part in more:
-        proposed = proposed.unionByName(part)
-    proposed = cut(proposed.distinct().join(sure, ["a", "b"], "left_anti"), "proposed")
-    sketch = cut(texts.groupBy("rep").agg(F.first("bins").alias("bins")), "sketch")
-    asked = proposed
-    ends = (sketch.select(F.col("rep").alias(x), F.col("bins").alias(f"bins_{x}")) for x in "ab")
-    for x, end in zip("ab", ends):
-        proposed = proposed.join(cut(end, "bins"), x)
-    proposed = cut(proposed.where(F.arrow_udf(_agree, "boolean")("bins_a", "bins_b")).select("a", "b"), "alike")
-    # One partner for each text first: most other proposals then join texts already joined.
-    one = cut(proposed.groupBy("a").agg(F.min("b").alias("b")), "first-partners")
-    proven = _proven(read, one, similarity)
-    joined = cut(components(sure.unionByName(proven)), "joined")
-    rest = proposed.join(one, ["a", "b"], "left_anti")
-    for x in "ab":
-        where = joined.select(F.col("node").alias(x), F.col("component").alias(f"c{x}"))
-        rest = cut(rest.join(where, x, "left"), "rest")
-    rest = cut(rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b"), "rest")
-    proven = proven.unionByName(_proven(read, rest, similarity))
-    # What the centres of the bands left apart.
-    joined = cut(components(sure.unionByName(proven)), "joined")
-    last = cut(_unmet(members, joined, sketch).join(asked, ["a", "b"], "left_anti"), "last")
-    proven = proven.unionByName(_proven(read, last, similarity))
-    return texts.select("t1", "t2", "rep"), cut(components(sure.unionByName(proven)), "groups")
+    with scratch() as keep:
+        schema = "t1 long, t2 long, " + ", ".join(f"f{i} long" for i in range(1 + len(WORD_SEEDS))) + ", bins binary, bands array<long>"
+        read = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).where("doc_id IS NOT NULL")
+        sketched = read.select("doc_id", F.arrow_udf(_sketches, schema)("text").alias("s")).select("doc_id", "s.*")
+        prints = [f"f{i}" for i in range(1 + len(WORD_SEEDS))]
+        distinct = sketched.groupBy("t1", "t2").agg(F.min("doc_id").alias("rep"), *(F.min(p).alias(p) for p in prints), F.first("bins").alias("bins"), F.first("bands").alias("bands"))
+        with small_batches(docs.sparkSession):
+            texts = keep(cut(distinct, "texts"))
+        sure, *more = (_text_links(texts, p, radius) for p in prints)
+        members = cut(texts.select("rep", F.explode("bands").alias("band")).distinct(), "bands")
+        proposed = _band_links(members)
+        for part in more:
+            proposed = proposed.unionByName(part)
+        proposed = cut(proposed.distinct().join(sure, ["a", "b"], "left_anti"), "proposed")
+        sketch = cut(texts.groupBy("rep").agg(F.first("bins").alias("bins")), "sketch")
+        asked = proposed
+        ends = (sketch.select(F.col("rep").alias(x), F.col("bins").alias(f"bins_{x}")) for x in "ab")
+        for x, end in zip("ab", ends):
+            proposed = proposed.join(cut(end, "bins"), x)
+        proposed = cut(proposed.where(F.arrow_udf(_agree, "boolean")("bins_a", "bins_b")).select("a", "b"), "alike")
+        # One partner for each text first: most other proposals then join texts already joined.
+        one = cut(proposed.groupBy("a").agg(F.min("b").alias("b")), "first-partners")
+        proven = _proven(read, one, similarity)
+        joined = cut(components(sure.unionByName(proven)), "joined")
+        rest = proposed.join(one, ["a", "b"], "left_anti")
+        for x in "ab":
+            where = joined.select(F.col("node").alias(x), F.col("component").alias(f"c{x}"))
+            rest = cut(rest.join(where, x, "left"), "rest")
+        rest = cut(rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b"), "rest")
+        proven = proven.unionByName(_proven(read, rest, similarity))
+        # What the centres of the bands left apart.
+        joined = cut(components(sure.unionByName(proven)), "joined")
+        last = cut(_unmet(members, joined, sketch).join(asked, ["a", "b"], "left_anti"), "last")
+        proven = proven.unionByName(_proven(read, last, similarity))
+        return texts.select("t1", "t2", "rep"), keep(cut(components(sure.unionByName(proven)), "groups"))
 
 
 def survivors(docs: DataFrame, **how) -> DataFrame:
     """``(id)``: the smallest doc_id of each group of near copies, and of each other text."""
-    texts, groups = near_copies(docs, **how)
-    losers = groups.where("node <> component").select(F.col("node").alias("rep"))
-    return cut(texts.select("rep").join(losers, "rep", "left_anti").select(F.col("rep").alias("id")).distinct(), "survivors")
+    with scratch() as keep:
+        texts, groups = near_copies(docs, **how)
+        losers = groups.where("node <> component").select(F.col("node").alias("rep"))
+        return keep(cut(texts.select("rep").join(losers, "rep", "left_anti").select(F.col("rep").alias("id")).distinct(), "survivors"))
+
+
+def keyed(docs: DataFrame, key: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """Rows of ``docs`` that have an id, with a number ``key`` in place of ids that repeat: one
+    number for each (id, text), in the order of ids. Null texts count as empty."""
+    digest = free_name(docs, "text_digest")
+    named = docs.where(F.col(doc_id).isNotNull()).withColumn(digest, F.md5(F.coalesce(F.col(text), F.lit("")).cast("binary")))
+    numbers = dense_ids(named.select(F.col(doc_id).alias("k_id"), F.col(digest).alias("k_digest")).distinct(), "k_id", "k_digest").withColumnRenamed("id", "k_number")
+    joined = named.join(numbers, (F.col(doc_id) == F.col("k_id")) & (F.col(digest) == F.col("k_digest")))
+    return joined.select(*(F.col(f"`{c}`") for c in docs.columns), F.col("k_number").alias(key))

@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, discard
 
 K, SLICES, SCALE = 20, 4, 64
 ROWS, QUERIES = 4096, 2048
@@ -251,6 +251,8 @@ def top_k(
     by_block = block_of.join(limits, "query_id").groupBy("qb").agg(F.collect_list("query_id").alias("limit_ids"), F.collect_list("kth").alias("limits"))  # a block's
     ready = packed.join(by_block, "qb", "left").mapInArrow(_with_cutoffs, "qb long, q_ids binary, q_dim int, q_wide boolean, q_matrix binary, cutoffs binary")
     ready = cut(ready, "ready")
+    for done in (asked, packed, limits):
+        discard(done)
     entries = cells(ready).mapInArrow(_entries(k, slices, scale), "query_id long, vec_id long, score long, under boolean")
     order = Window.partitionBy("query_id").orderBy("under", F.desc("score"), "vec_id")
     best = entries.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)

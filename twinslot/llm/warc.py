@@ -14,7 +14,7 @@ import hashlib
 
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import cut, new_path
@@ -22,6 +22,8 @@ from .common import cut, new_path
 VERSION = b"WARC/1.1"
 DATE = "2024-01-01T00:00:00Z"
 LEVEL = 6
+#: A payload that more records share is dealt to a join in parts of about so many.
+HOT_RECORDS = 50_000
 
 
 def _sha1(payload: bytes) -> str:
@@ -46,7 +48,7 @@ def _digests(texts: pa.Array) -> pa.Array:
 def _header(page_id: int | None, url: str | None, n: int, sha1: str, first: int | None, revisit: bool) -> bytes:
     """The exact bytes of a record before its payload: WARC header, blank line, HTTP header, blank line."""
     http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {n}\r\n\r\n".encode()
-    clean = "".join(c for c in url or "" if c not in "\r\n")
+    clean = (url or "").replace("\r", "%0D").replace("\n", "%0A")  # a header field is one line
     lines = [
         f"WARC-Type: {'revisit' if revisit else 'response'}",
         f"WARC-Record-ID: <urn:page:{'' if page_id is None else page_id}>",
@@ -98,6 +100,20 @@ def _verified(heads: pa.Array, keys: pa.Array, packed: pa.Array) -> pa.Array:
     return pa.StructArray.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds)], list(names))
 
 
+def _join_by_payload(records: DataFrame, payloads: DataFrame, number: Column) -> DataFrame:
+    """``records`` with the columns of ``payloads`` (one row a sha256), none lost if a payload is missing.
+
+    Records of a payload with more than ``HOT_RECORDS`` are dealt to parts by a hash of ``number``
+    and the payload's row is repeated for each part. What is broadcast is a row for each such
+    payload: at most the number of records over ``HOT_RECORDS``."""
+    hot = records.groupBy("sha256").agg(F.count("*").alias("n")).where(F.col("n") > HOT_RECORDS)
+    hot = cut(hot.select("sha256", F.ceil(F.col("n") / HOT_RECORDS).cast("int").alias("parts")), "warc-hot")
+    parts = F.coalesce("parts", F.lit(1))
+    left = records.join(F.broadcast(hot), "sha256", "left").withColumn("part", F.pmod(F.xxhash64(number), parts).cast("int")).drop("parts")
+    right = payloads.join(F.broadcast(hot), "sha256", "left").withColumn("part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("parts")
+    return left.join(right, ["sha256", "part"], "left").drop("part")
+
+
 def write(pages: DataFrame, min_bytes: int = 0, page_id: str = "page_id", url: str = "url", html: str = "html") -> tuple[str, str]:
     """Write the archive of ``pages`` and return its two paths (headers, payloads).
 
@@ -105,7 +121,8 @@ def write(pages: DataFrame, min_bytes: int = 0, page_id: str = "page_id", url: s
     payloads of at least ``min_bytes`` bytes the smallest page_id is the response and the
     others revisit it; rows that repeat the winning page_id are the same response again.
     Rows with a null page_id revisit if their payload has any page_id, else are responses.
-    Other columns are ignored; an empty table gives an empty archive.
+    Line breaks in an address are written as %0D and %0A. A payload is handled whole, so the
+    longest must fit a task's memory. Other columns are ignored; an empty table gives an empty archive.
     """
     spark = pages.sparkSession
     at_headers, at_payloads = new_path(spark, "warc-headers"), new_path(spark, "warc-payloads")
@@ -114,7 +131,7 @@ def write(pages: DataFrame, min_bytes: int = 0, page_id: str = "page_id", url: s
     read.select("d.sha256", "d.packed").groupBy("sha256").agg(F.first("packed").alias("packed")).write.option("compression", "none").parquet(at_payloads)
     rows = cut(read.select("page_id", "url", "d.n", "d.sha1", "d.sha256"), "warc-rows")
     first = cut(rows.where(F.col("n") >= min_bytes).groupBy("sha256").agg(F.min("page_id").alias("first")), "warc-first")
-    marked = rows.join(first, "sha256", "left").withColumn(
+    marked = _join_by_payload(rows, first, F.struct("page_id", "url")).withColumn(
         "revisit", F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
     )
     head = F.arrow_udf(_headers, "binary")("page_id", "url", "n", "sha1", "first", "revisit")
@@ -126,7 +143,7 @@ def records(spark, at_headers: str, at_payloads: str) -> DataFrame:
     """``(header, sha256, packed)`` of every record, by joining headers and payloads."""
     headers = spark.read.schema("sha256 binary, header binary").parquet(at_headers)
     payloads = spark.read.schema("sha256 binary, packed binary").parquet(at_payloads)
-    return headers.join(payloads, "sha256", "left")
+    return _join_by_payload(headers, payloads, F.col("header"))
 
 
 def read(spark, at_headers: str, at_payloads: str) -> DataFrame:
