@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from twinslot.config import Config
-from twinslot.functions import layout, perm
+from twinslot.functions import layout
 from twinslot.operators import builder, compare
 
 
@@ -96,16 +96,6 @@ def test_all_byte_pairs():
     assert (got == want.reshape(-1, 8).sum(axis=1)).all()
 
 
-def test_column_and_numpy_bijections_agree(spark):
-    bits = 10
-    xs = list(range(1 << bits))
-    df = spark.createDataFrame([(x,) for x in xs], "x long")
-    for t in range(3):
-        got = [r[0] for r in df.select(perm.mixed(F.col("x"), t, bits, 11)).collect()]
-        assert sorted(got) == xs
-        assert got == perm.mixed_np(np.array(xs), t, bits, 11).tolist()
-
-
 def test_worked_placement():
     """Three elements of which two share places: each ends in exactly two of its three."""
     cfg = Config(segment_j=0)
@@ -144,10 +134,8 @@ def test_counts_of_unequal_widths():
         done = builder.place(np.zeros(len(x), np.int64), x, np.zeros(1, np.int64), bits, cfg)
         assert not len(done.failed)
         maps.append((done.slots.tobytes(), int(bits[0])))
-    for (x, (a, ab)), (y, (b, bb)) in itertools.product(zip(sets, maps), repeat=2):
-        common = np.intersect1d(x, y)
-        assert compare.count_np(a, b, cfg) == len(common)
-        assert compare.common_np(a, ab, b, bb, cfg).tolist() == common.tolist()
+    for (x, (a, _)), (y, (b, _)) in itertools.product(zip(sets, maps), repeat=2):
+        assert compare.count_np(a, b, cfg) == len(np.intersect1d(x, y))
 
 
 def test_failure_grows_at_the_critical_load():
@@ -161,4 +149,4 @@ def test_failure_grows_at_the_critical_load():
 
     easy, hard = run(1024, 12), run(1400, 11)
     assert not len(easy.failed) and len(hard.failed) > 0
-    assert 1 <= easy.moves / 2048 < hard.moves / 2800
+    assert 1 <= easy.moves.sum() / 2048 < hard.moves.sum() / 2800

@@ -88,6 +88,12 @@ def test_slot_relation(spark):
         assert got(pairs.pair_support_slots(frame(spark, rows), cfg)) == brute(rows)
 
 
+def test_words_of_four_slots(spark):
+    rows = instance(13, n=6) + [(9, t) for t in range(0, 300, 50)] + [(9, 5000)]
+    for cfg in (Config(segment_j=1), Config(segment_j=1, max_rounds=1)):
+        assert got(pairs.pair_support_lanes(frame(spark, rows), cfg)) == brute(rows)
+
+
 def test_threshold_comes_after_repair(spark):
     rows = instance(6)
     assert got(pairs.pair_support(frame(spark, rows), min_support=14, cfg=Config(segment_j=0, max_rounds=1))) == brute(rows, 14)

@@ -15,9 +15,9 @@ from .conftest import DATA
 
 NAMES = [
     "flagship", "fp_order_part_twinslot", "fp_order_supplier_merge", "fp_part_supplier_bitmap", "fp_customer_part_apriori", "fp_order_part_fpgrowth", "twinslot_forced_failures",
-    "slots_sql", "planned_pairs", "w4_density_16", "w5_split_2", "w1_memory_order_supplier", "bmm_counts_twinslot", "join_project_nations", "conj_brand_size", "conj_sets",
-    "intersection_listing", "membership", "vertical", "horizontal_format", "dense_ids_words", "map_width", "tile_cost_sorted", "assoc_supplier", "sql_udf_count",
-    "udtf_elements", "udtf_basket_pairs", "stream_incidence", "stream_pairs", "stream_tumbling", "stream_session", "op_range_join", "op_interval_join", "op_asof", "op_cube", "op_pivot",
+    "slots_sql", "lanes_sql", "planned_pairs", "w4_density_16", "w5_split_2", "w1_memory_order_supplier", "bmm_counts_twinslot", "join_project_nations", "conj_brand_size", "conj_sets",
+    "intersection_listing", "far_ids_bitmap_sql", "far_ids_listing", "vertical", "horizontal_format", "dense_ids_words", "map_width", "tile_cost_sorted", "assoc_supplier", "op_pred_between", "twinslot_whole_segments",
+    "fp_doc_word_fpgrowth", "fp_customer_part_merge_join", "fp_customer_part_merge_sql", "udtf_basket_pairs", "stream_incidence", "stream_pairs", "stream_tumbling", "stream_session", "op_interval_join", "op_asof", "op_cube", "op_pivot",
     "op_running_range", "op_intersect_all", "op_except_all", "fn_string", "fn_date", "fn_bits", "fn_map", "fn_json", "exactness",
 ]
 
@@ -115,7 +115,18 @@ def test_growing_sets_double(spark, tmp_path):
     grown = stream.growing_sets(stream.source(spark, path), "event_type", "user_id")
     query = grown.writeStream.format("memory").queryName("grown").outputMode("append").option("checkpointLocation", str(tmp_path / "ck")).trigger(availableNow=True).start()
     query.awaitTermination()
-    assert [tuple(r) for r in spark.table("grown").collect()] == [("a", 9, 5)]
+    assert [tuple(r)[:3] for r in spark.table("grown").collect()] == [("a", 0, 9)]
+    more = [(100 + i, 70_000 * (i % 7), datetime(2024, 1, 2), "a", 1.0, "{}") for i in range(21)] + [(130, 8, datetime(2024, 1, 2), "a", 1.0, "{}"), (131, 4000, datetime(2024, 1, 2), "a", 1.0, "{}")]
+    _events(spark, path, more)
+    query = grown.writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "ck2")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    current = {}
+    for r in spark.read.parquet(str(tmp_path / "out")).orderBy("size").collect():
+        current[r["seg"]] = (r["size"], r["log2_range"], sqlfun.elements_one(bytes(r["map"]), sqlfun.CONFIG).tolist())
+    n = sqlfun.CONFIG.segment
+    want = {t for t in range(9)} | {4000} | {70_000 * i for i in range(7)}
+    assert {s * n + x for s, (_, _, some) in current.items() for x in some} == want
+    assert all(size == len(some) and 1 << bits >= 2 * size for size, bits, some in current.values())
 
 
 def test_followed_by(spark, tmp_path):

@@ -6,8 +6,8 @@ from collections import Counter, defaultdict
 import pytest
 
 NAMES = [
-    "w2_pairs_twinslot_whole", "w1_memory_vs_items_whole", "membership_whole", "pairs_3_of_5_whole", "pairs_with_zero_whole", "sql_udf_count_whole", "udtf_elements_whole",
-    "udaf_card_whole", "sql_udf_contains_whole", "op_join_full_whole", "op_join_broadcast_whole", "op_range_join_whole", "op_bitmap_words_whole", "fn_explode_whole",
+    "w2_items_over_2_twinslot", "w1_memory_items_over_4", "membership", "pairs_3_of_5", "pairs_with_zero", "sql_udf_count", "udtf_elements",
+    "udaf_card", "sql_udf_contains", "op_join_full", "op_join_broadcast", "op_range_join", "op_bitmap_words", "fn_explode", "word_triples_tables", "word_triples_anchor", "word_triples_fpgrowth", "join_project_docs", "containers",
 ]
 
 
@@ -27,7 +27,7 @@ def small(spark, tmp_path_factory):
     return path, lines, texts
 
 
-@pytest.mark.parametrize("method", ("d_of_d1", "anchor", "anchor_forced_failures", "apriori", "eclat", "fpgrowth"))
+@pytest.mark.parametrize("method", ("d_of_d1", "anchor", "anchor_forced_failures", "apriori", "eclat", "fpgrowth", "library_fpgrowth"))
 def test_triples_see_every_supplier(spark, small, method):
     import __spark_entry__ as entry
 
@@ -38,7 +38,7 @@ def test_triples_see_every_supplier(spark, small, method):
     counts = Counter(c for s in sets.values() for c in itertools.combinations(sorted(s), 3))
     want = sorted((*c, n) for c, n in counts.items() if n >= 20)
     assert any(c[0] >= 16 for c in want)
-    assert sorted(map(tuple, entry.queries()[f"triples_{method}_whole"](spark, path).select("a", "b", "c", "support").collect())) == want
+    assert sorted(map(tuple, entry.queries()[f"triples_{method}"](spark, path).select("a", "b", "c", "support").collect())) == want
 
 
 @pytest.mark.parametrize("k", (4, 1))
@@ -49,5 +49,5 @@ def test_shares_grow_with_the_documents(spark, small, k):
     n = len(texts) // k
     counts = Counter(p for _, text in texts[:n] for p in itertools.combinations(sorted(text.split()), 2))
     want = sorted((*p, c) for p, c in counts.items() if c >= max(10, n // 10))
-    found = entry.queries()[f"w6_share_{k}_whole"](spark, path)
+    found = entry.queries()[f"w6_share_{k}"](spark, path)
     assert sorted((*sorted((r["item_a"], r["item_b"])), r["support"]) for r in found.collect()) == want

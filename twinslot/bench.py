@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import resource
 import time
 from collections.abc import Callable
 
@@ -12,6 +13,7 @@ from pyspark.sql import functions as F
 
 from .config import Config
 from .operators import builder, compare, pairs, repair
+from .sources import incidence
 from .stages import cut
 
 #: A run that takes longer counts as exceeded (seconds).
@@ -75,6 +77,58 @@ def phase_times(inc: DataFrame, cfg: Config = Config(), min_support: int = 1) ->
     return out | {"total": sum(out.values())}
 
 
+def instance(spark: SparkSession, sf_dir: str, items: int, total: int, p: int) -> DataFrame:
+    """The deterministic instance of density 1/p with parts as ``items`` items, orders as
+    transactions and about ``total`` rows (written)."""
+    parts = spark.read.parquet(f"{sf_dir}/part.parquet").select(F.col("p_partkey").alias("s_suppkey")).where(F.col("s_suppkey") < items)
+    orders = spark.read.parquet(f"{sf_dir}/orders.parquet").select(F.col("o_orderkey").alias("p_partkey")).where(F.col("p_partkey") < total * p // items)
+    return cut(incidence.grid(orders, parts, p), "bench")
+
+
+def series(name: str, rows: DataFrame, methods: tuple[str, ...], limit: float = LIMIT, min_support: int = 1) -> dict[str, dict]:
+    """Seconds of every method on one instance, and whether it went over the limit."""
+    out = {}
+    for method in methods:
+        seconds, over = within(lambda m=method: pairs.pair_support(rows, m, min_support), limit)
+        out[f"{name}_{method}"] = {"s": round(seconds, 3), "over_limit": over}
+    return out
+
+
+def prefix(words: DataFrame, docs: int) -> tuple[DataFrame, int]:
+    """The words of the ``docs`` documents of smallest id as dense item ids (written), and a support of 2 %."""
+    least = max(2, docs // 50)
+    last = words.select("tid").distinct().orderBy("tid").limit(docs).agg(F.max("tid")).first()[0]
+    ids, _ = incidence.encoded(cut(pairs.prune(words.where(F.col("tid") <= last), least), "bench"))
+    return cut(ids, "bench"), least
+
+
+def stored_bytes(inc: DataFrame, cfg: Config | None = None) -> dict[str, int]:
+    """Bytes that each layout really stores for an instance: maps with their floor, slack and slot
+    width, 32-bit lists, and bitmaps a segment long."""
+    from .operators import baselines
+    from .plans import planner
+
+    cfg = cfg or planner.tune(planner.statistics(inc))
+    size = lambda df, c: df.agg(F.coalesce(F.sum(F.length(c)), F.lit(0))).first()[0]
+    return {
+        "map_bytes": size(builder.maps_of(builder.build(inc, cfg)), "slots"), "list_bytes": size(baselines.packed_lists(inc, cfg), "payload"),
+        "bitmap_bytes": size(baselines.packed_bitmaps(inc, cfg), "payload"),
+    }
+
+
+def peak_worker_mb(spark: SparkSession) -> float:
+    """The most resident memory that any of the Python workers at hand has had, in MB: a
+    high-water mark since the worker started."""
+
+    def go(batches):
+        for _ in batches:
+            time.sleep(0.05)  # so that every worker gets one
+            yield pa.RecordBatch.from_arrays([pa.array([resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024], pa.float64())], ["mb"])
+
+    n = 4 * spark.sparkContext.defaultParallelism
+    return round(max(r["mb"] for r in spark.range(0, n, 1, n).mapInArrow(go, "mb double").collect()), 1)
+
+
 def split_scaling(inc: DataFrame, method: str, parts: int, min_support: int = 1, cfg: Config = Config()) -> float:
     """Seconds of the slowest of ``parts`` equal parts of the transactions, run one at a time."""
     rows = cut(inc, "bench")
@@ -91,7 +145,7 @@ def _workers(spark: SparkSession, workers: int, run: Callable[[], float]) -> flo
     return max(r["s"] for r in spark.range(0, workers, 1, workers).mapInArrow(go, "s double").collect())
 
 
-def kernel_throughput(spark: SparkSession, words: int = 5_000_000, reps: int = 20, workers: int = 1, cfg: Config = Config()) -> float:
+def kernel_throughput(spark: SparkSession, words: int = 5_000_000, reps: int = 300, workers: int = 1, cfg: Config = Config()) -> float:
     """Bytes a second, over all workers, of the lane counting on two arrays of 32-bit words."""
 
     def run() -> float:
@@ -115,8 +169,9 @@ def tile_throughput(n: int = 512, width: int = 3 << 13, cfg: Config = Config())
     return n * n * width / (time.perf_counter() - began)
 
 
-def merge_throughput(spark: SparkSession, log2_n: int = 24, reps: int = 2, workers: int = 1) -> float:
-    """Elements a second, over all workers, of counting common elements of two sorted arrays."""
+def merge_throughput(spark: SparkSession, log2_n: int = 24, reps: int = 100, workers: int = 1) -> float:
+    """Elements a second, over all workers, of counting common elements of two sorted arrays by one
+    merge (the sort finds two runs and merges them)."""
 
     def run() -> float:
         rng = np.random.default_rng(3)

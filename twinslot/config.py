@@ -11,7 +11,9 @@ class Config:
     element bits and the indicator; 16 and 32 store more and lower the floor on ranges.
     ``slack``: ranges within it of the critical load are doubled (0: the plain rule).
     ``max_rounds`` of placement, then the rest is repaired relationally. A tile holds
-    at most ``tile_items`` maps and ``tile_bytes`` bytes a side.
+    at most ``tile_items`` maps and ``tile_bytes`` bytes a side. ``distribution``: ``tiles`` ships maps
+    to tiles, ``segments`` ships each segment's maps to one task, which sends counts on;
+    ``auto`` takes the cheaper one of those that fit.
     """
 
     segment_j: int = 9
@@ -25,12 +27,15 @@ class Config:
     bucket_elements: int = 500_000
     sort_by_width: bool = True
     triangle: bool = True
+    distribution: str = "auto"
 
     def __post_init__(self):
         if self.slot_bits not in (8, 16, 32):
             raise ValueError("slot_bits must be 8, 16 or 32")
         if not 0 <= self.segment_j <= 13:
             raise ValueError("segment_j must be from 0 to 13")
+        if self.distribution not in ("auto", "tiles", "segments"):
+            raise ValueError("distribution must be auto, tiles or segments")
 
     @property
     def segment(self) -> int:

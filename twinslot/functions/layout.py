@@ -39,12 +39,6 @@ def slot_of(code: np.ndarray, t: int | np.ndarray, r: np.ndarray | int, r0: int,
     return (low // r0) * (tables * r0) + (low % r0) + t * r0
 
 
-def slot_column(code: Column, t: int, r: Column | int, r0: int, tables: int = 3) -> Column:
-    low = F.pmod(code, r if isinstance(r, Column) else F.lit(r))
-    inner = F.pmod(low, F.lit(r0))
-    return ((low - inner) * tables + inner + t * r0).cast("long")
-
-
 def indicator(t: np.ndarray, other: np.ndarray) -> np.ndarray:
     """1 on the copy that comes later in the cyclic order of its two tables."""
     return ((np.asarray(t) - np.asarray(other)) % 3 == 1).astype(np.uint8)

@@ -5,8 +5,6 @@ from __future__ import annotations
 from functools import lru_cache
 
 import numpy as np
-from pyspark.sql import Column
-from pyspark.sql import functions as F
 
 
 @lru_cache(maxsize=8)
@@ -23,27 +21,3 @@ def inverses(domain: int, seed: int, n: int = 3) -> np.ndarray:
 
 def permute_np(x: np.ndarray, t: int, domain: int, seed: int, n: int = 3) -> np.ndarray:
     return tables(domain, seed, n)[t][x]
-
-
-def _rounds(seed: int, t: int) -> list[tuple[int, int]]:
-    rng = np.random.default_rng([seed, t, 7])
-    return [(int(rng.integers(1, 1 << 12)) * 2 + 1, int(rng.integers(0, 1 << 16))) for _ in range(4)]
-
-
-def mixed(x: Column, t: int, bits: int, seed: int) -> Column:
-    """A bijection of [0, 2^bits) in Column arithmetic: odd multiplications and right
-    shifts by turns, so that high bits reach low ones (a single affine map would leave
-    elements that share their low bits together in all tables)."""
-    mask = F.lit((1 << bits) - 1).cast("long")
-    for a, c in _rounds(seed, t):
-        x = (x * F.lit(a) + F.lit(c)).bitwiseAND(mask)
-        x = x.bitwiseXOR(F.shiftright(x, max(1, bits // 2)))
-    return x
-
-
-def mixed_np(x: np.ndarray, t: int, bits: int, seed: int) -> np.ndarray:
-    x = x.astype(np.int64)
-    for a, c in _rounds(seed, t):
-        x = (x * a + c) & ((1 << bits) - 1)
-        x = x ^ (x >> max(1, bits // 2))
-    return x

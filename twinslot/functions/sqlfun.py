@@ -14,7 +14,7 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from ..config import Config
-from . import layout, perm
+from . import layout
 
 CONFIG = Config(slack=0.6)
 
@@ -91,14 +91,16 @@ def register(spark: SparkSession, cfg: Config = CONFIG) -> None:
         return pd.Series([None if x is None else len(elements_one(bytes(x), cfg)) for x in a], dtype="Int64")
 
     def holds(a: pd.Series, x: pd.Series) -> pd.Series:
-        out = []
-        for data, e in zip(a, x):
-            bits, slots, lost = parts(bytes(data), cfg)
-            values = np.frombuffer(slots, layout.KINDS[cfg.slot_bits])
-            low, r0 = (1 << (cfg.slot_bits - 1)) - 1, 1 << cfg.r0_bits
-            codes = [int(perm.tables(cfg.segment, cfg.seed)[t][e]) for t in range(3)]
-            out.append(bool(e in lost or any(int(values[int(layout.slot_of(c, t, 1 << bits, r0))]) & low == (c >> cfg.shift) + 1 for t, c in enumerate(codes))))
-        return pd.Series(out)
+        """Rows of one map are looked up together; a null gives a null."""
+        from ..operators import compare
+
+        out = pd.Series([None] * len(a), dtype="boolean", index=a.index)
+        known = a.notna() & x.notna()
+        for data, rows in x[known].groupby(a[known].map(bytes), sort=False):
+            bits, slots, lost = parts(data, cfg)
+            places = rows.to_numpy(np.int64)
+            out[rows.index] = compare.held_np(slots, bits, places, cfg) | np.isin(places, lost)
+        return out
 
     spark.udf.register("twinslot_count", F.pandas_udf(counts, "long"))
     spark.udf.register("twinslot_card", F.pandas_udf(cards, "long"))

@@ -11,9 +11,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import Config
-from ..sources.incidence import segmented, tidlists, transactions
+from ..sources.incidence import segmented, transactions
 from ..stages import cut
-from . import compare, pairs
+from . import compare, fptree, pairs
 
 PAIR = ("item_a", "item_b")
 
@@ -28,31 +28,56 @@ def _packed(inc: DataFrame, cfg: Config, make: Callable[[np.ndarray], bytes]) ->
     return lists.select("item", "seg", F.arrow_udf(pack, "binary")("xs").alias("payload"))
 
 
+def packed_lists(inc: DataFrame, cfg: Config = Config()) -> DataFrame:
+    """``(item, seg, payload)``: sorted 32-bit positions."""
+    return _packed(inc, cfg, lambda x: x.tobytes())
+
+
+def packed_bitmaps(inc: DataFrame, cfg: Config = Config()) -> DataFrame:
+    """``(item, seg, payload)``: one bit per transaction of the segment."""
+
+    def bits(x: np.ndarray) -> bytes:
+        words = np.zeros(-(-cfg.segment // 64) * 64, np.uint8)
+        words[x] = 1
+        return np.packbits(words, bitorder="little").tobytes()
+
+    return _packed(inc, cfg, bits)
+
+
 def merge(inc: DataFrame, min_support: int = 1, cfg: Config = Config()) -> DataFrame:
     """Merging sorted lists, over the same tiles as the maps."""
-    lists = cut(_packed(pairs.prune(inc, min_support), cfg, lambda x: x.tobytes()), "lists")
+    lists = cut(packed_lists(pairs.prune(inc, min_support), cfg), "lists")
     return pairs.tiled_counts(lists, compare.merge_kernel, cfg).where(F.col("support") >= min_support)
 
 
-def merge_sql(inc: DataFrame, min_support: int = 1) -> DataFrame:
-    """The reference form of merging: intersections of tid arrays of items that share a
-    transaction group, in built-in functions; quadratic in items, for small instances."""
-    lists = tidlists(pairs.prune(inc, min_support))
-    a, b = lists.alias("a"), lists.alias("b")
-    size = F.size(F.array_intersect("a.tids", "b.tids")).cast("long")
-    joined = a.join(b, F.col("a.item") < F.col("b.item"))
-    return joined.select(F.col("a.item").alias("item_a"), F.col("b.item").alias("item_b"), size.alias("support")).where(F.col("support") >= max(1, min_support))
+def merge_sql(inc: DataFrame, min_support: int = 1, cfg: Config = Config()) -> DataFrame:
+    """Merging in built-in functions: lists of one segment meet in tiles, and the sizes of their
+    intersections add up. Quadratic in items like all list merging, but no list is longer
+    than a segment and every join is on keys."""
+    lists = segmented(pairs.prune(inc, min_support), cfg.segment).groupBy("item", "seg").agg(F.array_sort(F.collect_set("x")).alias("payload"))
+    lists = cut(lists, "lists")
+    items = cut(lists.select("item").distinct(), "items")
+    blocks = items.select("item", F.pmod(F.xxhash64("item"), F.lit(n := pairs.block_count(items.count(), cfg))).cast("int").alias("block"))
+    met = cut(pairs.tiles(lists.join(blocks, "item"), n), "tiles")
+    a, b = met.where("side = 0").alias("a"), met.alias("b")
+    both = a.join(b, ["p", "q", "seg"]).where("(p = q AND a.item < b.item) OR (p <> q AND b.side = 1)")
+    size = F.size(F.array_intersect("a.payload", "b.payload")).cast("long")
+    lo, hi = F.least("a.item", "b.item").alias("item_a"), F.greatest("a.item", "b.item").alias("item_b")
+    return both.select(lo, hi, size.alias("n")).groupBy("item_a", "item_b").agg(F.sum("n").alias("support")).where(F.col("support") >= max(1, min_support))
+
+
+def merge_join(inc: DataFrame, min_support: int = 1) -> DataFrame:
+    """Two cursors over sorted lists: a sort-merge join on the transaction id."""
+    kept = pairs.prune(inc, min_support)
+    a, b = kept.alias("a"), kept.alias("b").hint("merge")
+    joined = a.join(b, "tid").where(F.col("a.item") < F.col("b.item"))
+    counted = joined.groupBy(F.col("a.item").alias("item_a"), F.col("b.item").alias("item_b")).agg(F.count("*").alias("support"))
+    return counted.where(F.col("support") >= min_support)
 
 
 def bitmap(inc: DataFrame, min_support: int = 1, cfg: Config = Config()) -> DataFrame:
     """One bit per transaction: AND and population count, over the same tiles."""
-
-    def bits(x: np.ndarray) -> bytes:
-        words = np.zeros(-(-cfg.segment // 64) * 64, np.uint8)
-        words[x] = 1
-        return np.packbits(words, bitorder="little").tobytes()
-
-    maps = cut(_packed(pairs.prune(inc, min_support), cfg, bits), "bitmaps")
+    maps = cut(packed_bitmaps(pairs.prune(inc, min_support), cfg), "bitmaps")
     return pairs.tiled_counts(maps, compare.bitmap_kernel, cfg).where(F.col("support") >= min_support)
 
 
@@ -132,15 +157,15 @@ def apriori_levels(inc: DataFrame, min_support: int, max_size: int = 2) -> list[
 
 
 def apriori(inc: DataFrame, min_support: int = 1) -> DataFrame:
-    level = apriori_levels(inc, min_support, 2)[-1]
-    pair = level.where(F.size("items") == 2)
-    return pair.select(F.element_at("items", 1).alias("item_a"), F.element_at("items", 2).alias("item_b"), "support")
+    return _pairs_of(apriori_levels(inc, min_support, 2)[-1])
 
 
-def fp_growth_sets(inc: DataFrame, min_support: int, max_size: int = 2) -> DataFrame:
+def library_fp_growth_sets(inc: DataFrame, min_support: int, max_size: int = 2) -> DataFrame:
     """``(items, support)`` by the library's parallel FP-growth, items sorted.
 
-    Its threshold is relative; half a transaction below the absolute one guards rounding."""
+    It enumerates frequent itemsets of every size before ``max_size`` is applied, so it is for
+    instances that have few. Its threshold is relative; half a transaction below the absolute
+    one guards rounding."""
     m = inc.select("tid").distinct().count()
     if not m:
         return inc.sparkSession.createDataFrame([], "items array<bigint>, support bigint")
@@ -149,29 +174,88 @@ def fp_growth_sets(inc: DataFrame, min_support: int, max_size: int = 2) -> DataF
     return found.select(F.array_sort("items").alias("items"), F.col("freq").alias("support"))
 
 
-def fp_growth(inc: DataFrame, min_support: int = 1) -> DataFrame:
-    pair = fp_growth_sets(pairs.prune(inc, min_support), min_support).where(F.size("items") == 2)
+#: Rows of the incidence for each group of FP-growth's suffix items, and the least number of groups.
+FP_ROWS, FP_GROUPS = 1_000_000, 32
+
+
+def fp_growth_sets(inc: DataFrame, min_support: int, max_size: int = 2) -> DataFrame:
+    """``(items, support)`` of itemsets up to ``max_size`` by parallel FP-growth, items sorted.
+
+    Transactions are sorted by falling item frequency. Suffix items are dealt to groups; a
+    transaction gives each of its groups the stretch up to the group's last item, equal
+    stretches are counted before the shuffle, and a group builds its prefix tree and mines it for
+    its own suffixes, no deeper than ``max_size``. A frequent item's stretches are short, since it
+    comes early; a group's distinct stretches must fit a task, and there are more groups for more rows."""
+    counts = inc.groupBy("item").agg(F.count("*").alias("n")).where(F.col("n") >= min_support)
+    counts = cut(counts, "fp-counts")
+    one = counts.select(F.array("item").alias("items"), F.col("n").alias("support"))
+    if max_size < 2:
+        return one
+    kept = cut(inc.join(counts, "item").select("tid", F.struct((-F.col("n")).alias("o"), "item").alias("s")), "fp-rows")
+    groups = max(FP_GROUPS, -(-kept.count() // FP_ROWS))
+    baskets = kept.groupBy("tid").agg(F.sort_array(F.collect_set("s")).alias("s")).select(F.col("s.item").alias("items")).where(F.size("items") > 1)
+    dealt = baskets.withColumn("of", F.transform("items", lambda x: F.pmod(F.xxhash64(x), F.lit(groups)).cast("int")))
+    emitted = dealt.select("items", "of", F.explode(F.array_distinct("of")).alias("g"))
+    last = F.size("of") - F.array_position(F.reverse("of"), F.col("g")).cast("int") + 1
+    paths = emitted.select("g", F.slice("items", F.lit(1), last).alias("path")).groupBy("g", "path").agg(F.count("*").alias("n"))
+    own = F.transform("path", lambda x: F.pmod(F.xxhash64(x), F.lit(groups)).cast("int") == F.col("g"))
+
+    def mine(table: pa.Table) -> pa.Table:
+        lists = table.column("path").combine_chunks()
+        names, codes = np.unique(np.asarray(lists.flatten()), return_inverse=True)
+        mine_too = np.zeros(len(names), bool)
+        mine_too[codes[np.asarray(table.column("own").combine_chunks().flatten())]] = True
+        ends = np.cumsum(np.asarray(lists.value_lengths()))
+        found: list[tuple[tuple[int, ...], int]] = []
+        fptree.mine(fptree.build(np.split(codes, ends[:-1]), table.column("n").to_pylist()), mine_too, (), min_support, max_size, found)
+        sets = [sorted(names[list(items)].tolist()) for items, _ in found]
+        return pa.Table.from_arrays([pa.array(sets, pa.list_(pa.int64())), pa.array([n for _, n in found], pa.int64())], names=["items", "support"])
+
+    more = paths.select("g", "path", "n", own.alias("own")).groupBy("g").applyInArrow(mine, "items array<bigint>, support bigint")
+    return one.unionByName(more)
+
+
+def _pairs_of(sets: DataFrame) -> DataFrame:
+    pair = sets.where(F.size("items") == 2)
     return pair.select(F.element_at("items", 1).alias("item_a"), F.element_at("items", 2).alias("item_b"), "support")
 
 
+def fp_growth(inc: DataFrame, min_support: int = 1) -> DataFrame:
+    return _pairs_of(fp_growth_sets(inc, min_support))
+
+
+def library_fp_growth(inc: DataFrame, min_support: int = 1) -> DataFrame:
+    return _pairs_of(library_fp_growth_sets(pairs.prune(inc, min_support), min_support))
+
+
 def eclat_sets(inc: DataFrame, min_support: int, max_size: int = 2) -> DataFrame:
-    """``(items, support)`` by depth-first search over tidlists, one prefix class a group.
+    """``(items, support)`` of itemsets of 2 to ``max_size`` items by depth-first search over tidlists.
 
-    The class of item a holds the tidlists of larger items restricted to a's transactions;
-    within it the search intersects lists and never leaves the task."""
+    Pairs are counted where their lists meet, with partial sums, so no item's lists are
+    gathered. Deeper sets come from the classes of frequent pairs: the class of (a, b) holds the
+    tidlists of larger items restricted to the pair's transactions, and its search intersects
+    lists and never leaves the task. A class must fit a task: it has the rows of the pair's
+    transactions, not those of an item."""
     kept = cut(pairs.prune(inc, min_support), "eclat")
     a, b = kept.alias("a"), kept.alias("b")
-    classes = a.join(b, "tid").where(F.col("a.item") < F.col("b.item")).select(F.col("a.item").alias("prefix"), F.col("b.item").alias("item"), "tid")
+    met = a.join(b, "tid").where(F.col("a.item") < F.col("b.item")).select(F.col("a.item").alias("x"), F.col("b.item").alias("y"), "tid")
+    pair = met.groupBy("x", "y").agg(F.count("*").alias("support")).where(F.col("support") >= min_support)
+    two = pair.select(F.array("x", "y").alias("items"), "support")
+    if max_size < 3:
+        return two
+    pair = cut(pair, "eclat-pairs")
+    held = met.join(pair.select("x", "y"), ["x", "y"])
+    classes = held.join(kept, "tid").where(F.col("item") > F.col("y")).select("x", "y", "item", "tid")
 
     def search(table: pa.Table) -> pa.Table:
-        prefix = table.column("prefix")[0].as_py()
+        prefix = [table.column(c)[0].as_py() for c in "xy"]
         items, tids = table.column("item").to_numpy(), table.column("tid").to_numpy()
         order = np.lexsort((tids, items))
         items, tids = items[order], tids[order]
         names, first = np.unique(items, return_index=True)
         lists = [(int(n), t) for n, t in zip(names, np.split(tids, first[1:])) if len(t) >= min_support]
         out: list[tuple[list[int], int]] = []
-        stack = [([prefix], lists)]
+        stack = [(prefix, lists)]
         while stack:
             head, members = stack.pop()
             for i, (name, mine) in enumerate(members):
@@ -183,17 +267,16 @@ def eclat_sets(inc: DataFrame, min_support: int, max_size: int = 2) -> DataFrame
             [pa.array([o[0] for o in out], pa.list_(pa.int64())), pa.array([o[1] for o in out], pa.int64())], names=["items", "support"]
         )
 
-    return classes.groupBy("prefix").applyInArrow(search, "items array<bigint>, support bigint")
+    return pair.select(F.array("x", "y").alias("items"), "support").unionByName(classes.groupBy("x", "y").applyInArrow(search, "items array<bigint>, support bigint"))
 
 
 def eclat(inc: DataFrame, min_support: int = 1) -> DataFrame:
-    found = eclat_sets(inc, min_support)
-    return found.select(F.element_at("items", 1).alias("item_a"), F.element_at("items", 2).alias("item_b"), "support")
+    return _pairs_of(eclat_sets(inc, min_support))
 
 
 METHODS: dict[str, Callable[..., DataFrame]] = {
-    "merge": merge, "merge_sql": merge_sql, "bitmap": bitmap, "bitmap_sql": bitmap_sql, "hash": hash_probe,
-    "horizontal": horizontal, "apriori": apriori, "fpgrowth": fp_growth, "eclat": eclat,
+    "merge": merge, "merge_sql": merge_sql, "merge_join": merge_join, "bitmap": bitmap, "bitmap_sql": bitmap_sql, "hash": hash_probe,
+    "horizontal": horizontal, "apriori": apriori, "fpgrowth": fp_growth, "library_fpgrowth": library_fp_growth, "eclat": eclat,
 }
 
 

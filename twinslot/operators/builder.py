@@ -27,11 +27,11 @@ SLOTS_AT_ONCE = 4 << 20
 
 @dataclass
 class Placement:
-    """Slot values of several sets in a row, failed elements, and counters."""
+    """Slot values of several sets in a row, failed elements, and counters (moves of each set)."""
 
     slots: np.ndarray
     failed: np.ndarray
-    moves: int
+    moves: np.ndarray
     rounds: int
 
 
@@ -47,7 +47,7 @@ def place(sets: np.ndarray, x: np.ndarray, starts: np.ndarray, log2_r: np.ndarra
     at = np.full(2 * n, -1, np.int8)  # the table a copy sits in
     homeless = np.arange(2 * n)
     target = np.tile(np.array([0, 1], np.int8), n)
-    moves = rounds = 0
+    moves, rounds = np.zeros(len(starts), np.int64), 0
     limit = cfg.max_rounds if max_rounds is None else max_rounds
     while len(homeless) and rounds < limit:
         rounds += 1
@@ -65,7 +65,7 @@ def place(sets: np.ndarray, x: np.ndarray, starts: np.ndarray, log2_r: np.ndarra
         holder[slot[win]] = homeless[win]
         at[homeless[win]] = goal[win]
         target[homeless[lose]] = (goal[lose] + 1) % 3
-        moves += len(win)
+        moves += np.bincount(sets[homeless[win] >> 1], minlength=len(starts))
         homeless = np.sort(np.concatenate([homeless[lose], out]))
     bad = np.unique(homeless >> 1)
     if len(bad):
@@ -101,11 +101,11 @@ def build_arrays(item: np.ndarray, seg: np.ndarray, x: np.ndarray, cfg: Config):
         failed_of = sets[done.failed] if len(done.failed) else done.failed
         for k in range(end - at):
             mine = done.failed[failed_of == k] + first[at] if len(done.failed) else done.failed
-            yield first[at + k], count[at + k], int(bits[at + k]), done.slots[starts[k] : starts[k + 1]], mine, done.moves / max(1, len(sets))
+            yield first[at + k], count[at + k], int(bits[at + k]), done.slots[starts[k] : starts[k + 1]], mine, int(done.moves[k])
         at = end
 
 
-BUILT = "item long, seg long, card int, log2_r int, slots binary, failed long, moves double"
+BUILT = "item long, seg long, card int, log2_r int, slots binary, failed long, moves long"
 
 
 def build(inc: DataFrame, cfg: Config = Config()) -> DataFrame:
@@ -128,7 +128,7 @@ def build(inc: DataFrame, cfg: Config = Config()) -> DataFrame:
         for lo, n, bits, slots, bad, moves in build_arrays(item, seg, x, cfg):
             out.append((item[lo], seg[lo], n, bits, slots.tobytes(), None, moves))
             out += [(item[b], seg[b], None, None, None, tid[b], None) for b in bad]
-        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.float64())
+        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.int64())
         names = [c.split()[0] for c in BUILT.split(", ")]
         columns = list(zip(*out)) or [()] * len(kinds)
         return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], names=names)

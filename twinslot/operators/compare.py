@@ -141,11 +141,6 @@ def elements_np(slots: bytes, log2_r: int, cfg: Config) -> np.ndarray:
     return np.sort(perm.inverses(cfg.segment, cfg.seed)[tables[once], codes[once]])
 
 
-def common_np(a: bytes, a_bits: int, b: bytes, b_bits: int, cfg: Config) -> np.ndarray:
-    """The common elements themselves: those of the narrower map that the wider one holds."""
-    return np.intersect1d(elements_np(a, a_bits, cfg), elements_np(b, b_bits, cfg), assume_unique=True)
-
-
 def elements(maps: DataFrame, cfg: Config = Config()) -> DataFrame:
     """``(item, tid)`` of all elements that maps hold (failed ones aren't in them)."""
 

@@ -31,12 +31,53 @@ def rank_by_width(payloads: DataFrame, sort_by_width: bool = True) -> DataFrame:
     return dense_ids(widest, *keys).select("item", "width", "id")
 
 
+def block_count(items: int, cfg: Config) -> int:
+    return max(1, -(-items // cfg.tile_items))
+
+
 def _blocks(payloads: DataFrame, cfg: Config) -> tuple[DataFrame, int]:
-    """``(item, block)`` and the number of blocks, small enough for a tile's memory."""
+    """``(item, block)`` and the number of blocks, small enough for a tile's memory.
+
+    Items are in order of width, so a block's size follows the widths around it: each power
+    of two of widths has its own number of items a block, and neighbouring powers share a block as
+    long as they fit one. Without the order all blocks are as small as the widest map needs."""
     ranked = cut(rank_by_width(payloads, cfg.sort_by_width), "ranks")
-    n, width = ranked.agg(F.count("*"), F.max("width")).first()
-    size = max(1, min(cfg.tile_items, cfg.tile_bytes // max(1, width or 1)))
-    return ranked.select("item", F.floor(F.col("id") / size).cast("int").alias("block")), -(-n // size)
+    power = (F.length(F.bin(F.col("width").cast("long"))) if cfg.sort_by_width else F.lit(0)).alias("power")
+    rows = ranked.groupBy(power).agg(F.count("*").alias("n"), F.max("width").alias("w")).orderBy("power").collect()  # 32 at most
+    groups: list[list[int]] = []  # items and widest map
+    for _, n, w in rows:
+        n, w = n, max(1, w)
+        if groups and groups[-1][0] + n <= cfg.tile_items and (groups[-1][0] + n) * w <= cfg.tile_bytes:
+            groups[-1] = [groups[-1][0] + n, w]
+        else:
+            groups.append([n, w])
+    block, first, blocks = F.lit(0).cast("int"), 0, 0
+    for n, w in groups:
+        size = max(1, min(cfg.tile_items, cfg.tile_bytes // w))
+        here = F.expr(f"cast((id - {first}) div {size} + {blocks} as int)")
+        block = F.when(F.col("id") >= first, here).otherwise(block)
+        first, blocks = first + n, blocks + -(-n // size)
+    return ranked.select("item", block.alias("block")), blocks
+
+
+#: Maps and bytes of a segment that one task may hold.
+SEGMENT_ITEMS, SEGMENT_BYTES = 4096, 128 << 20
+
+
+def _whole_segments(payloads: DataFrame, cfg: Config) -> bool:
+    """Is every segment one task's work? See ``Config.distribution``."""
+    if cfg.distribution == "tiles":
+        return False
+    per = payloads.groupBy("seg").agg(F.count("*").alias("n"), F.sum(F.length("payload")).alias("bytes"))
+    segments, n, widest, total, items = per.agg(F.count("*"), F.max("n"), F.max("bytes"), F.sum("bytes"), F.sum("n")).first()
+    fits = bool(segments) and n <= SEGMENT_ITEMS and widest <= SEGMENT_BYTES
+    if cfg.distribution == "segments":
+        if segments and not fits:
+            raise ValueError(f"a segment of {n} maps and {widest} bytes is too much for a task; use tiles")
+        return fits
+    from ..plans import planner
+
+    return fits and planner.distribution(n, segments, total / items, cfg.tile_items, n * (n - 1) / 2) == "segments"
 
 
 def _tile(kernel: compare.Kernel, same_family: bool, triangle: bool):
@@ -86,16 +127,27 @@ def tiles(left: DataFrame, n_left: int, right: DataFrame | None = None, n_right:
 
 def tiled_counts(payloads: DataFrame, kernel: compare.Kernel, cfg: Config = Config()) -> DataFrame:
     """Summed counts of all pairs of ``payloads(item, seg, payload)``; zero counts are dropped."""
-    blocks, n = _blocks(payloads, cfg)
-    if not n:
-        return payloads.sparkSession.createDataFrame([], TILE)
-    placed = payloads.join(blocks, "item")
+    if _whole_segments(payloads, cfg):
+        placed, n = payloads.withColumn("block", F.lit(0)), 1
+    else:
+        blocks, n = _blocks(payloads, cfg)
+        if not n:
+            return payloads.sparkSession.createDataFrame([], TILE)
+        placed = payloads.join(blocks, "item")
     parts = tiles(placed, n, triangle=cfg.triangle).groupBy("p", "q", "seg").applyInArrow(_tile(kernel, True, cfg.triangle), TILE)
     return parts.groupBy("item_a", "item_b").agg(F.sum("support").alias("support"))
 
 
-#: Zero supports are listed for at most so many items.
-ZERO_ITEMS = 5000
+def every_pair(items: DataFrame, cfg: Config = Config()) -> DataFrame:
+    """``(item_a, item_b)`` of all pairs of distinct items: n^2 / 2 rows, made tile by tile from
+    two equi-joined copies of the items, so no side is broadcast or met by a nested loop."""
+    known = cut(items.select("item").distinct(), "items")
+    n = block_count(known.count(), cfg)
+    placed = known.withColumn("block", F.pmod(F.xxhash64("item"), F.lit(n)).cast("int"))
+    a = placed.select(F.col("item").alias("x"), F.col("block").alias("p"), F.explode(F.sequence("block", F.lit(n - 1))).alias("q"))
+    b = placed.select(F.col("item").alias("y"), F.col("block").alias("q"), F.explode(F.sequence(F.lit(0), F.col("block"))).alias("p"))
+    met = a.join(b, ["p", "q"]).where("p < q OR x < y")
+    return met.select(F.least("x", "y").alias("item_a"), F.greatest("x", "y").alias("item_b"))
 
 
 def pair_support(
@@ -105,17 +157,11 @@ def pair_support(
 
     ``method`` is twinslot or one of the baselines. ``inc`` has distinct (item, tid) of longs.
     Without ``cfg`` slot width and segment length follow the instance's size and density.
-    ``include_zero`` lists every pair of items, also those that never meet; refused beyond
-    ``ZERO_ITEMS`` items, since it makes n^2 / 2 rows.
+    ``include_zero`` lists every pair of items, also those that never meet: n^2 / 2 rows.
     """
     require(inc, "item", "tid")
     if include_zero:
-        items = cut(inc.select("item").distinct(), "items")
-        if (n := items.count()) > ZERO_ITEMS:
-            raise ValueError(f"{n} items have too many pairs to list; {ZERO_ITEMS} are allowed")
-        found = pair_support(inc, method, 1, cfg)
-        a, b = (items.withColumnRenamed("item", f"item_{c}") for c in "ab")
-        every = a.join(F.broadcast(b), F.col("item_a") < F.col("item_b"))
+        found, every = pair_support(inc, method, 1, cfg), every_pair(inc, cfg or Config())
         return every.join(found, ["item_a", "item_b"], "left").select("item_a", "item_b", F.coalesce("support", F.lit(0)).cast("long").alias("support"))
     if method != "twinslot":
         from . import baselines
@@ -186,3 +232,26 @@ def pair_support_slots(inc: DataFrame, cfg: Config = Config(), range_bits: int |
     met = a.join(b, ["seg", "slot", "value"]).where((F.col("a.item") < F.col("b.item")) & (F.col("a.bit").bitwiseOR(F.col("b.bit")) == 1) & (F.col("slot") < width))
     counted = met.groupBy(F.col("a.item").alias("item_a"), F.col("b.item").alias("item_b")).agg(F.count("*").alias("support"))
     return repair.merge(counted, repair.side_pairs(builder.failed_of(built), inc))
+
+
+def pair_support_lanes(inc: DataFrame, cfg: Config = Config()) -> DataFrame:
+    """Packed counting in built-in functions: the four slots of a 32-bit word are compared at once.
+
+    Words of one place join; a narrow map's words are repeated along the widest range, and a pair
+    counts the places of the wider of its two. Words without an element can't count and are left out."""
+    if cfg.slot_bits != 8:
+        raise ValueError("a word has four slots of 8 bits")
+    built = builder.build(inc, cfg)
+    maps = builder.maps_of(built)
+    bits = maps.agg(F.max("log2_r")).first()[0] or cfg.r0_bits
+    shift = lambda x, n: F.call_function("shiftleft", F.lit(x).cast("long"), n)
+    wide = maps.select("item", "seg", "slots", (shift(3, F.col("log2_r")) / 4).cast("long").alias("n"), shift(1, F.lit(bits) - F.col("log2_r")).alias("ratio"))
+    word = F.conv(F.hex(F.substr("slots", (4 * F.col("i") + 1).cast("int"), F.lit(4))), 16, 10).cast("long")
+    words = wide.withColumn("i", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1))).select("item", "seg", "n", "ratio", "i", word.alias("word"))
+    words = words.where("word <> 0").withColumn("k", F.explode(F.sequence(F.lit(0).cast("long"), F.col("ratio") - 1)))
+    words = cut(words.select("item", "seg", "n", (F.col("i") + F.col("k") * F.col("n")).alias("place"), "word"), "words")
+    a, b = words.alias("a"), words.alias("b")
+    met = a.join(b, ["seg", "place"]).where((F.col("a.item") < F.col("b.item")) & (F.col("place") < F.greatest("a.n", "b.n")))
+    n = F.sum(compare.lane_count(F.col("a.word"), F.col("b.word")).cast("long"))
+    counted = met.groupBy(F.col("a.item").alias("item_a"), F.col("b.item").alias("item_b")).agg(n.alias("support"))
+    return repair.merge(counted, repair.side_pairs(builder.failed_of(built), inc)).where(F.col("support") > 0)

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupStateTimeout
 
+from ..config import Config
+from ..functions import sqlfun
+from ..sources.incidence import place_of, segment_of
 from ..stages import new_path
 
 EVENTS = "event_id long, user_id long, ts timestamp, event_type string, value double, props string"
@@ -89,23 +92,26 @@ def pair_support(src: DataFrame, item: str, tid: str, store: PairStore, checkpoi
     return rows.writeStream.foreachBatch(store.add).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def growing_sets(src: DataFrame, item: str, tid: str) -> DataFrame:
-    """``(item, size, log2_range)`` each time a set has outgrown its range: state per item is
-    the set's members, and ranges double, so rebuilding costs O(1) a member on average."""
-    schema = T.StructType([T.StructField("item", T.StringType()), T.StructField("size", T.LongType()), T.StructField("log2_range", T.IntegerType())])
-    state = T.StructType([T.StructField("members", T.ArrayType(T.LongType())), T.StructField("log2_range", T.IntegerType())])
+def growing_sets(src: DataFrame, item: str, tid: str, cfg: Config = sqlfun.CONFIG) -> DataFrame:
+    """``(item, seg, size, log2_range, map)`` each time a set's map has changed, in append mode.
+
+    The state of an item and segment is its map (as ``twinslot_build`` makes it), so it is bounded by
+    a segment; a batch reads the elements back, adds new ones and places them again, in a range that
+    doubles when it is outgrown. The row of the largest size is the current map."""
+    schema = "item string, seg long, size long, log2_range int, map binary"
 
     def update(key, batches, group):
-        members, bits = (set(group.get[0]), group.get[1]) if group.exists else (set(), 0)
-        for pdf in batches:
-            members.update(int(t) for t in pdf["tid"] if t is not None)
-        needed = max(1, (max(1, len(members)) - 1).bit_length() + 1)
-        group.update((sorted(members), max(bits, needed)))
-        if needed > bits:
-            yield pd.DataFrame([(key[0], len(members), needed)], columns=["item", "size", "log2_range"])
-
-    rows = src.select(F.col(item).cast("string").alias("item"), F.col(tid).cast("long").alias("tid")).where("item IS NOT NULL AND tid IS NOT NULL")
-    return rows.groupBy("item").applyInPandasWithState(update, schema, state, "append", GroupStateTimeout.NoTimeout)
+        held = sqlfun.elements_one(bytes(group.get[0]), cfg) if group.exists else np.zeros(0, np.int64)
+        seen = [pdf["x"].to_numpy(np.int64) for pdf in batches]
+        members = np.union1d(held, np.concatenate([held, *seen]))
+        if len(members) > len(held):
+            data = sqlfun.build_one(members, cfg)
+            group.update((data,))
+            yield pd.DataFrame([(key[0], key[1], len(members), data[0], data)], columns=["item", "seg", "size", "log2_range", "map"])
+
+    at = F.col(tid).cast("long")
+    rows = src.select(F.col(item).cast("string").alias("item"), segment_of(at, cfg.segment).alias("seg"), place_of(at, cfg.segment).alias("x"))
+    return rows.where("item IS NOT NULL AND x IS NOT NULL").groupBy("item", "seg").applyInPandasWithState(update, schema, "map binary", "append", GroupStateTimeout.NoTimeout)
 
 
 def run_once(streaming: DataFrame, path: str, checkpoint: str, mode: str = "append") -> None:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from .config import Config
 from .functions import sqlfun
-from .operators import apps, baselines, builder, compare, kway, measure, pairs
+from .operators import apps, baselines, builder, compare, measure, pairs, sequential
 from .operators import relational as rel
 from .plans import planner
 from .sources import incidence as inc
@@ -108,13 +108,18 @@ def by_method(make: Query, method: str, min_support: int, cfg: Config | None = N
 for _name, _make in INCIDENCES.items():
     for _method in ("twinslot", *baselines.METHODS):
         # The library's FP-growth enumerates itemsets of every size, which words of shared passages make exponentially many.
-        if (_name, _method) != ("doc_word", "fpgrowth"):
-            _add(f"fp_{_name}_{_method}", by_method(_make, _method, SUPPORT[_name], words=_name == "doc_word"), pair_sql(INC_SQL[_name], SUPPORT[_name]))
+        if (_name, _method) != ("doc_word", "library_fpgrowth"):
+            _add(
+                f"fp_{_name}_{_method}",
+                by_method(_make, _method, SUPPORT[_name], words=_name == "doc_word"),
+                pair_sql(INC_SQL[_name], SUPPORT[_name]),
+            )
 
 VARIANTS = {
     "twinslot_all_pairs": (Config(), 1), "twinslot_forced_failures": (Config(max_rounds=1), 30), "twinslot_slot16": (Config(slot_bits=16), 30),
     "twinslot_slot32": (Config(slot_bits=32), 30), "twinslot_unsorted": (Config(sort_by_width=False), 30), "twinslot_segmented": (Config(segment_j=4), 30),
     "twinslot_full_square": (Config(triangle=False), 30), "twinslot_small_tiles": (Config(tile_items=16), 30), "twinslot_plain_ranges": (Config(slack=0.0), 30),
+    "twinslot_whole_segments": (Config(segment_j=5, tile_items=16, distribution="segments"), 30), "twinslot_shipped_maps": (Config(segment_j=5, tile_items=16, distribution="tiles"), 30),
 }
 for _name, (_cfg, _min) in VARIANTS.items():
     _add(_name, by_method(order_supplier, "twinslot", _min, _cfg), pair_sql(INC_SQL["order_supplier"], _min))
@@ -131,7 +136,11 @@ def far_order_supplier(s: SparkSession, d: str) -> DataFrame:
 _FAR_SQL = f"SELECT DISTINCT l_suppkey AS item, l_orderkey * 64 + {FAR} AS tid FROM lineitem"
 for _method in ("twinslot", "merge", "bitmap", "bitmap_sql"):
     _add(f"far_ids_{_method}", by_method(far_order_supplier, _method, 1, Config() if _method != "bitmap_sql" else None), pair_sql(_FAR_SQL, 1))
-_add("far_ids_listing", lambda s, d: apps.intersection(far_order_supplier(s, d), 1, 2), f"SELECT tid FROM ({_FAR_SQL}) WHERE item = 1 INTERSECT SELECT tid FROM ({_FAR_SQL}) WHERE item = 2")
+_add(
+    "far_ids_listing",
+    lambda s, d: apps.intersection(far_order_supplier(s, d), 1, 2),
+    f"SELECT tid FROM ({_FAR_SQL}) WHERE item = 1 INTERSECT SELECT tid FROM ({_FAR_SQL}) WHERE item = 2",
+)
 
 
 @_query(pair_sql(INC_SQL["order_supplier"], 1))
@@ -140,6 +149,12 @@ def slots_sql(s, d):
     return pairs.pair_support_slots(order_supplier(s, d))
 
 
+@_query(pair_sql(INC_SQL["order_supplier"], 1))
+def lanes_sql(s, d):
+    """Packed words compared four slots at a time, as a join of words."""
+    return pairs.pair_support_lanes(order_supplier(s, d))
+
+
 @_query(pair_sql(INC_SQL["customer_part"], 3))
 def planned_pairs(s, d):
     """The cheapest method by cost."""
@@ -164,24 +179,21 @@ def flagship(s, d):
 GRID = "((p_partkey * 7919 + s_suppkey * 104729 + 17) * ((p_partkey + 3) * 31 + s_suppkey * s_suppkey * 13 + 7)) % 1000003"
 
 
-def grid(p: int, n: int | None = None, total: int = 3125) -> tuple[Query, str]:
-    """The deterministic instance of density 1/p; with ``n``, n suppliers and about ``total`` elements."""
-    limit = (total * p // n) if n else None
+def grid(p: int, fold: int = 1) -> tuple[Query, str]:
+    """The deterministic instance of density 1/p over all parts and suppliers. With ``fold`` k suppliers
+    make one item of k times as many transactions: fewer items, and the same number of rows and density."""
 
     def make(s: SparkSession, d: str) -> DataFrame:
-        parts, suppliers = t(s, d, "part", "p_partkey"), t(s, d, "supplier", "s_suppkey")
-        if n:
-            parts, suppliers = parts.where(F.col("p_partkey") < limit), suppliers.where(F.col("s_suppkey") < n)
-        return inc.grid(parts, suppliers, p)
+        rows = inc.grid(t(s, d, "part", "p_partkey"), t(s, d, "supplier", "s_suppkey"), p)
+        return rows.select(F.expr(f"item div {fold}").alias("item"), (F.col("tid") * fold + F.col("item") % fold).alias("tid")) if fold > 1 else rows
 
-    more = f" AND s_suppkey < {n} AND p_partkey < {limit}" if n else ""
-    return make, f"SELECT s_suppkey AS item, p_partkey AS tid FROM part, supplier WHERE {GRID} % {p} = 0{more}"
+    return make, f"SELECT s_suppkey // {fold} AS item, p_partkey * {fold} + s_suppkey % {fold} AS tid FROM part, supplier WHERE {GRID} % {p} = 0"
 
 
-for _n in (25, 50, 100):
-    _make, _sql = grid(16, _n)
-    for _method in ("twinslot", "bitmap", "merge", "horizontal", "apriori"):
-        _add(f"w2_pairs_n{_n}_{_method}", by_method(_make, _method, 1), pair_sql(_sql, 1))
+for _k in (4, 2, 1):  # n grows, the instance's size and density don't
+    _make, _sql = grid(16, _k)
+    for _method in ("twinslot", "bitmap", "merge", "horizontal", "apriori", "fpgrowth"):
+        _add(f"w2_items_over_{_k}_{_method}", by_method(_make, _method, 1), pair_sql(_sql, 1))
 for _p in (2, 4, 8, 16, 32, 64):
     _make, _sql = grid(_p)
     _add(f"w4_density_{_p}", by_method(_make, "twinslot", 1), pair_sql(_sql, 1))
@@ -203,39 +215,20 @@ for _i in (1, 2, 4, 8):
     _add(f"w5_split_{_i}", _split(_i), pair_sql(INC_SQL["order_supplier"], 1))
 
 
-def _prefix(n: int) -> Query:
-    return lambda s, d: inc.from_text(t(s, d, "documents", "doc_id", "text").where(F.col("doc_id") < n), "doc_id", "text")
-
-
-for _n in (125, 250, 500, 1000):
-    _sql = INC_SQL["doc_word"] + f" WHERE doc_id < {_n}"
-    _add(f"w6_prefix_{_n}", by_method(_prefix(_n), "twinslot", max(10, _n // 10), words=True), pair_sql(_sql, max(10, _n // 10)))
-
 _BYTES = (
     "WITH i AS ({}), c AS (SELECT item, count(*) AS card FROM i GROUP BY item), m AS (SELECT count(DISTINCT tid) AS m FROM i), "
     "p AS (SELECT item, card, (SELECT min(1::BIGINT << k) FROM range(0, 40) r(k) WHERE (1::BIGINT << k) >= card) AS up FROM c) "
 )
 _LAYOUT = (
     _BYTES + "SELECT count(*)::BIGINT AS n, any_value(m.m)::BIGINT AS m, sum(card)::BIGINT AS total, (4 * sum(card))::BIGINT AS list_bytes, "
-    "(count(*) * ((any_value(m.m) + 7) // 8))::BIGINT AS bitmap_bytes, sum(6 * up)::BIGINT AS map_bytes, (4 * (count(*) * (count(*) - 1) // 2))::BIGINT AS counter_bytes FROM p, m"
+    "(count(*) * ((any_value(m.m) + 7) // 8))::BIGINT AS bitmap_bytes, sum(6 * up)::BIGINT AS map_bytes, (4 * (count(*) * (count(*) - 1) // "
+    "2))::BIGINT AS counter_bytes FROM p, m"
 )
 for _name in ("order_supplier", "part_supplier", "order_part"):
     _add(f"w1_memory_{_name}", (lambda make: lambda s, d: measure.bytes_by_layout(make(s, d)))(INCIDENCES[_name]), _LAYOUT.format(INC_SQL[_name]))
-for _n in (25, 50, 100):
-    _make, _sql = grid(16, _n)
-    _add(f"w1_memory_vs_items_{_n}", (lambda make: lambda s, d: measure.bytes_by_layout(make(s, d)))(_make), _LAYOUT.format(_sql))
-
-
-@_query("SELECT 36.17::DOUBLE AS gpu_gb_s, 3.68::DOUBLE AS gpu_elements, 1.638::DOUBLE AS best_over_typical, 2.253::DOUBLE AS merge_elements, 1.714::DOUBLE AS merge_8")
-def w7_throughput_formula(s, d):
-    """The published arithmetic, recomputed by the measures (billions a second; merge one core in 10^8)."""
-    width = 3 * 2 ** 13
-    e = measure.element_throughput(4000, 2500, 10.87)
-    row = (
-        round(measure.byte_throughput(4000, width, 10.87)["bytes_per_s"] / 1e9, 2), round(e["elements_per_s"] / 1e9, 2), round(e["best"] / e["elements_per_s"], 3),
-        round(2 * 2**24 * 100 / 14.89 / 1e8, 3), round(8 * 2 * 2**24 * 100 / 15.66 / 1e9, 3),
-    )
-    return s.createDataFrame([row], "gpu_gb_s double, gpu_elements double, best_over_typical double, merge_elements double, merge_8 double")
+for _k in (4, 2, 1):
+    _make, _sql = grid(16, _k)
+    _add(f"w1_memory_items_over_{_k}", (lambda make: lambda s, d: measure.bytes_by_layout(make(s, d)))(_make), _LAYOUT.format(_sql))
 
 
 # Applications -------------------------------------------------------------------------------
@@ -270,12 +263,40 @@ def join_project_semi(s, d):
     return apps.join_project(t(s, d, "orders", "o_orderkey", "o_custkey"), lines, "o_orderkey", ("o_custkey",))
 
 
+RARE = 5
+_RARE = f"SELECT item, tid FROM ({INC_SQL['doc_word']}) QUALIFY count(*) OVER (PARTITION BY item) BETWEEN 2 AND {RARE}"
+
+
+@_query(f"WITH r AS ({_RARE}) SELECT DISTINCT a.tid AS doc_a, b.tid AS doc_b FROM r a JOIN r b ON a.item = b.item AND a.tid < b.tid")
+def join_project_docs(s, d):
+    """Pairs of documents that share a rare word (one of two to ``RARE`` documents)."""
+    words = doc_word(s, d)
+    rare = words.groupBy("item").agg(F.count("*").alias("n")).where(F.col("n").between(2, RARE)).select("item")
+    rows = cut(words.join(rare, "item"), "rare")
+    a, b = (rows.select("item", F.col("tid").alias(c)) for c in ("doc_a", "doc_b"))
+    return apps.join_project(a, b, "item", ("doc_a", "doc_b")).where("doc_a < doc_b")
+
+
 def _conj(name: str, table: str, key: str, columns: list[str], preds: Callable[[], list], sql: str) -> None:
     _add(f"conj_{name}", lambda s, d: apps.conjunctive(t(s, d, table, key, *columns), key, preds()), f"SELECT {key} FROM {table} WHERE {sql}")
 
 
-_conj("brand_size", "part", "p_partkey", ["p_brand", "p_size"], lambda: [F.col("p_brand") == "Brand#13", F.col("p_size") < 20], "p_brand = 'Brand#13' AND p_size < 20")
-_conj("status_priority", "orders", "o_orderkey", ["o_orderstatus", "o_orderpriority"], lambda: [F.col("o_orderstatus") == "F", F.col("o_orderpriority").startswith("1")], "o_orderstatus = 'F' AND starts_with(o_orderpriority, '1')")
+_conj(
+    "brand_size",
+    "part",
+    "p_partkey",
+    ["p_brand", "p_size"],
+    lambda: [F.col("p_brand") == "Brand#13", F.col("p_size") < 20],
+    "p_brand = 'Brand#13' AND p_size < 20",
+)
+_conj(
+    "status_priority",
+    "orders",
+    "o_orderkey",
+    ["o_orderstatus", "o_orderpriority"],
+    lambda: [F.col("o_orderstatus") == "F", F.col("o_orderpriority").startswith("1")],
+    "o_orderstatus = 'F' AND starts_with(o_orderpriority, '1')",
+)
 _conj("quality_toxic", "labels", "doc_id", ["quality", "toxic"], lambda: [F.col("quality") == 1, F.col("toxic") == 0], "quality = 1 AND toxic = 0")
 
 
@@ -285,8 +306,10 @@ def conj_count(s, d):
 
 
 @_query(
-    "WITH f AS (SELECT o_orderkey AS k, unnest([CASE WHEN o_orderstatus = 'F' THEN 0 END, CASE WHEN starts_with(o_orderpriority, '1') THEN 1 END, CASE WHEN o_totalprice > 200000 THEN 2 END]) AS item FROM orders), "
-    "g AS (SELECT DISTINCT item::BIGINT AS item, k FROM f WHERE item IS NOT NULL) SELECT a.item AS item_a, b.item AS item_b, count(*)::BIGINT AS support FROM g a JOIN g b ON a.k = b.k AND a.item < b.item GROUP BY ALL"
+    "WITH f AS (SELECT o_orderkey AS k, unnest([CASE WHEN o_orderstatus = 'F' THEN 0 END, CASE WHEN starts_with(o_orderpriority, '1') THEN 1 END, "
+    "CASE WHEN o_totalprice > 200000 THEN 2 END]) AS item FROM orders), "
+    "g AS (SELECT DISTINCT item::BIGINT AS item, k FROM f WHERE item IS NOT NULL) SELECT a.item AS item_a, b.item AS item_b, count(*)::BIGINT AS "
+    "support FROM g a JOIN g b ON a.k = b.k AND a.item < b.item GROUP BY ALL"
 )
 def conj_sets(s, d):
     """Pre-evaluated predicates as sets: all pairwise conjunction sizes at once."""
@@ -294,60 +317,17 @@ def conj_sets(s, d):
     return apps.conjunctive_sets(orders, "o_orderkey", [F.col("o_orderstatus") == "F", F.col("o_orderpriority").startswith("1"), F.col("o_totalprice") > 200000])
 
 
-_add("intersection_listing", lambda s, d: apps.intersection(order_supplier(s, d), 1, 2), "SELECT l_orderkey AS tid FROM lineitem WHERE l_suppkey = 1 INTERSECT SELECT l_orderkey FROM lineitem WHERE l_suppkey = 2")
-_add("intersection_size", lambda s, d: apps.intersection_size(order_supplier(s, d), 1, 2), "SELECT count(*)::BIGINT AS n FROM (SELECT l_orderkey FROM lineitem WHERE l_suppkey = 1 INTERSECT SELECT l_orderkey FROM lineitem WHERE l_suppkey = 2)")
-
-
-@_query(f"WITH i AS ({INC_SQL['order_supplier']}), p AS (SELECT DISTINCT s_suppkey AS item, o_orderkey AS tid FROM supplier, orders WHERE s_suppkey < 5 AND o_orderkey < 500) SELECT p.item, p.tid, (i.item IS NOT NULL)::INTEGER AS found FROM p LEFT JOIN i USING (item, tid)")
-def membership(s, d):
-    """Probing the slots of ids, with failed elements from the log."""
-    rows = cut(order_supplier(s, d), "rows")
-    built = builder.build(rows)
-    suppliers = t(s, d, "supplier", "s_suppkey").where("s_suppkey < 5").select(F.col("s_suppkey").alias("item"))
-    ids = t(s, d, "orders", "o_orderkey").where("o_orderkey < 500").select(F.col("o_orderkey").alias("tid")).distinct()
-    probes = ids.crossJoin(F.broadcast(suppliers))
-    lost = builder.failed_of(built).withColumn("lost", F.lit(1))
-    found = compare.contains(builder.maps_of(built), probes).join(lost, ["item", "tid"], "left")
-    return found.select("item", "tid", F.when(F.col("found") | F.col("lost").isNotNull(), 1).otherwise(0).alias("found"))
-
-
-_TRIPLES = (
-    "WITH i AS (SELECT DISTINCT l_suppkey AS item, l_partkey AS tid FROM lineitem WHERE l_suppkey < 16) SELECT a.item AS a, b.item AS b, c.item AS c, count(*)::BIGINT AS support "
-    "FROM i a JOIN i b ON a.tid = b.tid AND a.item < b.item JOIN i c ON b.tid = c.tid AND b.item < c.item GROUP BY ALL HAVING count(*) >= 20"
+_add(
+    "intersection_listing",
+    lambda s, d: apps.intersection(order_supplier(s, d), 1, 2),
+    "SELECT l_orderkey AS tid FROM lineitem WHERE l_suppkey = 1 INTERSECT SELECT l_orderkey FROM lineitem WHERE l_suppkey = 2",
+)
+_add(
+    "intersection_size",
+    lambda s, d: apps.intersection_size(order_supplier(s, d), 1, 2),
+    "SELECT count(*)::BIGINT AS n FROM (SELECT l_orderkey FROM lineitem WHERE l_suppkey = 1 INTERSECT SELECT l_orderkey FROM lineitem WHERE "
+    "l_suppkey = 2)",
 )
-
-
-def _triples(method: str, cfg: Config = Config()) -> Query:
-    def run(s: SparkSession, d: str) -> DataFrame:
-        rows = part_supplier(s, d).where("item < 16")
-        found = kway.itemsets(rows, 20, 3, method, cfg).where(F.size("items") == 3)
-        return found.select(*(F.element_at("items", i + 1).alias(c) for i, c in enumerate("abc")), "support")
-
-    return run
-
-
-_add("triples_d_of_d1", _triples("tables"), _TRIPLES)
-_add("triples_anchor", _triples("anchor"), _TRIPLES)
-_add("triples_anchor_forced_failures", _triples("anchor", Config(max_rounds=1)), _TRIPLES)
-
-
-def _levels(how: Callable[[DataFrame], DataFrame]) -> Query:
-    return lambda s, d: how(part_supplier(s, d).where("item < 16")).where(F.size("items") == 3).select(*(F.element_at("items", i + 1).alias(c) for i, c in enumerate("abc")), "support")
-
-
-_add("triples_apriori", _levels(lambda rows: baselines.apriori_levels(rows, 20, 3)[-1]), _TRIPLES)
-_add("triples_eclat", _levels(lambda rows: baselines.eclat_sets(rows, 20, 3)), _TRIPLES)
-_add("triples_fpgrowth", _levels(lambda rows: baselines.fp_growth_sets(rows, 20, 3)), _TRIPLES)
-
-
-@_query(pair_sql("SELECT DISTINCT l_suppkey AS item, l_partkey AS tid FROM lineitem WHERE l_suppkey < 8", 1).replace("HAVING", "HAVING 1 = 1 AND"))
-def pairs_3_of_5(s, d):
-    """General redundancy: pairs from three of five tables, the lowest shared table counts."""
-    rows = cut(part_supplier(s, d).where("item < 8"), "rows")
-    a, b = (rows.select(F.col("item").alias(c)).distinct() for c in "ab")
-    wanted = a.crossJoin(F.broadcast(b)).where("a < b").select(F.array("a", "b").alias("items"))
-    found = kway.count(rows, wanted, 2, kway.Redundancy(3, 5)).where("support > 0")
-    return found.select(F.element_at("items", 1).alias("item_a"), F.element_at("items", 2).alias("item_b"), "support")
 
 
 # Formats and measures -----------------------------------------------------------------------
@@ -355,77 +335,116 @@ def pairs_3_of_5(s, d):
 _add("inc_order_part", order_part, INC_SQL["order_part"])
 _add("inc_doc_word", doc_word, INC_SQL["doc_word"])
 _add("inc_from_array", lambda s, d: inc.from_array(inc.transactions(order_part(s, d)), "tid", "items"), INC_SQL["order_part"])
-_add("inc_event_prop", lambda s, d: inc.from_json(t(s, d, "events", "user_id", "props"), "user_id", "props", "k int"), "SELECT DISTINCT 'k=' || (props->>'$.k')::INTEGER AS item, user_id AS tid FROM events WHERE (props->>'$.k') IS NOT NULL")
-_add("inc_from_map", lambda s, d: inc.from_map(t(s, d, "events", "user_id", "event_type").withColumn("m", F.create_map("event_type", F.lit(1))), "user_id", "m"), "SELECT DISTINCT event_type AS item, user_id AS tid FROM events")
-_add("vertical", lambda s, d: inc.tidlists(order_supplier(s, d)).select("item", F.array_join(F.col("tids").cast("array<string>"), ",").alias("tids")), f"SELECT item, string_agg(tid::VARCHAR, ',' ORDER BY tid) AS tids FROM ({INC_SQL['order_supplier']}) GROUP BY item")
-_add("horizontal_format", lambda s, d: inc.transactions(order_part(s, d)).select("tid", F.array_join(F.col("items").cast("array<string>"), ",").alias("items")), f"SELECT tid, string_agg(item::VARCHAR, ',' ORDER BY item) AS items FROM ({INC_SQL['order_part']}) GROUP BY tid")
-_add("dense_ids_words", lambda s, d: inc.dictionary(doc_word(s, d), "item"), f"SELECT item AS key, row_number() OVER (ORDER BY item) - 1 AS id FROM (SELECT DISTINCT item FROM ({INC_SQL['doc_word']}))")
-_add("copies_per_element", lambda s, d: measure.copies_per_element(order_supplier(s, d)), f"SELECT item, (2 * count(*))::BIGINT AS copies FROM ({INC_SQL['order_supplier']}) GROUP BY item")
-_add("copies_forced_failures", lambda s, d: measure.copies_per_element(order_supplier(s, d), Config(max_rounds=1)), f"SELECT item, (2 * count(*))::BIGINT AS copies FROM ({INC_SQL['order_supplier']}) GROUP BY item")
-_add("elements_roundtrip", lambda s, d: (lambda b: compare.elements(builder.maps_of(b)).unionByName(builder.failed_of(b)))(builder.build(order_supplier(s, d))), INC_SQL["order_supplier"])
+_add(
+    "inc_event_prop",
+    lambda s, d: inc.from_json(t(s, d, "events", "user_id", "props"), "user_id", "props", "k int"),
+    "SELECT DISTINCT 'k=' || (props->>'$.k')::INTEGER AS item, user_id AS tid FROM events WHERE (props->>'$.k') IS NOT NULL",
+)
+_add(
+    "inc_from_map",
+    lambda s, d: inc.from_map(t(s, d, "events", "user_id", "event_type").withColumn("m", F.create_map("event_type", F.lit(1))), "user_id", "m"),
+    "SELECT DISTINCT event_type AS item, user_id AS tid FROM events",
+)
+_add(
+    "vertical",
+    lambda s, d: inc.tidlists(order_supplier(s, d)).select("item", F.array_join(F.col("tids").cast("array<string>"), ",").alias("tids")),
+    f"SELECT item, string_agg(tid::VARCHAR, ',' ORDER BY tid) AS tids FROM ({INC_SQL['order_supplier']}) GROUP BY item",
+)
+_add(
+    "horizontal_format",
+    lambda s, d: inc.transactions(order_part(s, d)).select("tid", F.array_join(F.col("items").cast("array<string>"), ",").alias("items")),
+    f"SELECT tid, string_agg(item::VARCHAR, ',' ORDER BY item) AS items FROM ({INC_SQL['order_part']}) GROUP BY tid",
+)
+_add(
+    "dense_ids_words",
+    lambda s, d: inc.dictionary(doc_word(s, d), "item"),
+    f"SELECT item AS key, row_number() OVER (ORDER BY item) - 1 AS id FROM (SELECT DISTINCT item FROM ({INC_SQL['doc_word']}))",
+)
+_add(
+    "copies_per_element",
+    lambda s, d: measure.copies_per_element(order_supplier(s, d)),
+    f"SELECT item, (2 * count(*))::BIGINT AS copies FROM ({INC_SQL['order_supplier']}) GROUP BY item",
+)
+_add(
+    "copies_forced_failures",
+    lambda s, d: measure.copies_per_element(order_supplier(s, d), Config(max_rounds=1)),
+    f"SELECT item, (2 * count(*))::BIGINT AS copies FROM ({INC_SQL['order_supplier']}) GROUP BY item",
+)
+_add(
+    "elements_roundtrip",
+    lambda s, d: (lambda b: compare.elements(builder.maps_of(b)).unionByName(builder.failed_of(b)))(builder.build(order_supplier(s, d))),
+    INC_SQL["order_supplier"],
+)
 _add("diagonal", lambda s, d: measure.diagonal(order_supplier(s, d)), f"SELECT item, count(*) AS n FROM ({INC_SQL['order_supplier']}) GROUP BY item")
-_add("diagonal_forced_failures", lambda s, d: measure.diagonal(order_supplier(s, d), Config(max_rounds=1)), f"SELECT item, count(*) AS n FROM ({INC_SQL['order_supplier']}) GROUP BY item")
 _add(
-    "pairs_with_zero", lambda s, d: pairs.pair_support(order_supplier(s, d).where("tid < 60"), include_zero=True),
-    f"WITH i AS ({INC_SQL['order_supplier']} WHERE l_orderkey < 60), n AS (SELECT DISTINCT item FROM i), p AS (SELECT a.item AS item_a, b.item AS item_b, count(*) AS c FROM i a JOIN i b ON a.tid = b.tid AND a.item < b.item GROUP BY ALL) "
-    "SELECT a.item AS item_a, b.item AS item_b, coalesce(c, 0)::BIGINT AS support FROM n a JOIN n b ON a.item < b.item LEFT JOIN p ON item_a = a.item AND item_b = b.item",
-)
-_add("map_width", lambda s, d: measure.map_bytes(order_part(s, d)), _BYTES.format(INC_SQL["order_part"]) + "SELECT item, card, (6 * up)::BIGINT AS bytes FROM p")
-_add("instance_size", lambda s, d: measure.instance(customer_part(s, d)), f"SELECT count(DISTINCT item) AS n, count(DISTINCT tid) AS m, count(*) AS total, round(count(*) / count(DISTINCT item), 6) AS avg_size, round(count(*) / (count(DISTINCT item) * count(DISTINCT tid)), 9) AS density FROM ({INC_SQL['customer_part']})")
-_add("density", lambda s, d: measure.density(order_supplier(s, d)), f"WITH i AS ({INC_SQL['order_supplier']}) SELECT item, count(*) AS card, round(count(*) / (SELECT count(DISTINCT tid) FROM i), 9) AS density FROM i GROUP BY item")
-_add("compression_gain", lambda s, d: measure.compression_gain(order_supplier(s, d)), f"WITH i AS ({INC_SQL['order_supplier']}), m AS (SELECT count(DISTINCT tid) AS m FROM i) SELECT item, count(*) AS card, 256 * count(*) >= any_value(m) + 1 AS gain, (SELECT min(k) FROM range(0, 40) r(k) WHERE (1::BIGINT << k) * 128 >= any_value(m) + 1)::INTEGER AS shift FROM i, m GROUP BY item")
-_add("space_ratio", lambda s, d: measure.space_ratio(order_supplier(s, d)).select("item", "card", F.round("ratio", 2).alias("ratio")), _BYTES.format(INC_SQL["order_supplier"]) + "SELECT item, card, round(8 * 6 * up / ((lgamma(m.m + 1) - lgamma(card + 1) - lgamma(m.m - card + 1)) / ln(2)), 2) AS ratio FROM p, m")
+    "diagonal_forced_failures",
+    lambda s, d: measure.diagonal(order_supplier(s, d), Config(max_rounds=1)),
+    f"SELECT item, count(*) AS n FROM ({INC_SQL['order_supplier']}) GROUP BY item",
+)
+_add(
+    "map_width",
+    lambda s, d: measure.map_bytes(order_part(s, d)),
+    _BYTES.format(INC_SQL["order_part"]) + "SELECT item, card, (6 * up)::BIGINT AS bytes FROM p",
+)
+_add(
+    "instance_size",
+    lambda s, d: measure.instance(customer_part(s, d)),
+    f"SELECT count(DISTINCT item) AS n, count(DISTINCT tid) AS m, count(*) AS total, round(count(*) / count(DISTINCT item), 6) AS avg_size, "
+    f"round(count(*) / (count(DISTINCT item) * count(DISTINCT tid)), 9) AS density FROM ({INC_SQL['customer_part']})",
+)
+_add(
+    "density",
+    lambda s, d: measure.density(order_supplier(s, d)),
+    f"WITH i AS ({INC_SQL['order_supplier']}) SELECT item, count(*) AS card, round(count(*) / (SELECT count(DISTINCT tid) FROM i), 9) AS density "
+    f"FROM i GROUP BY item",
+)
+_add(
+    "compression_gain",
+    lambda s, d: measure.compression_gain(order_supplier(s, d)),
+    f"WITH i AS ({INC_SQL['order_supplier']}), m AS (SELECT count(DISTINCT tid) AS m FROM i) SELECT item, count(*) AS card, 256 * count(*) >= "
+    f"any_value(m) + 1 AS gain, (SELECT min(k) FROM range(0, 40) r(k) WHERE (1::BIGINT << k) * 128 >= any_value(m) + 1)::INTEGER AS shift FROM i, m "
+    f"GROUP BY item",
+)
+_add(
+    "space_ratio",
+    lambda s, d: measure.space_ratio(order_supplier(s, d)).select("item", "card", F.round("ratio", 2).alias("ratio")),
+    _BYTES.format(INC_SQL["order_supplier"]) + "SELECT item, card, round(8 * 6 * up / ((lgamma(m.m + 1) - lgamma(card + 1) - lgamma(m.m - card + 1)) / ln(2)), 2) AS ratio FROM p, m",
+)
 _add("build_stats", lambda s, d: measure.build_stats(order_supplier(s, d)))
 _add("build_stats_plain", lambda s, d: measure.build_stats(order_supplier(s, d), Config(slack=0.0)))
+_add("insertion_transcripts", lambda s, d: sequential.transcripts(order_supplier(s, d)))
 for _sorted, _key in ((True, "6 * up, item"), (False, "item")):
     _sql = _BYTES.format(INC_SQL["doc_word"]).rstrip() + f", k AS (SELECT 6 * up AS width, (row_number() OVER (ORDER BY {_key}) - 1) // 512 AS block FROM p), blocks AS (SELECT block, count(*) AS n, max(width) AS w FROM k GROUP BY block) SELECT sum(a.n * b.n * greatest(a.w, b.w))::BIGINT AS slot_tests, count(*) AS tiles FROM blocks a JOIN blocks b ON a.block <= b.block"
     _add(f"tile_cost_{'sorted' if _sorted else 'unsorted'}", (lambda by: lambda s, d: measure.tile_cost(doc_word(s, d), 512, by))(_sorted), _sql)
-_add("exactness", lambda s, d: (lambda rows: measure.pair_diff(pairs.pair_support(rows), pairs.pair_support(rows, "hash")))(cut(order_supplier(s, d), "rows")), "SELECT 0::BIGINT AS pairs, 0::BIGINT AS total")
-_add("containers", lambda s, d: planner.containers(order_supplier(s, d)).select("item", "seg", "card", "container", "bytes"))
+_add(
+    "exactness",
+    lambda s, d: (lambda rows: measure.pair_diff(pairs.pair_support(rows), pairs.pair_support(rows, "hash")))(cut(order_supplier(s, d), "rows")),
+    "SELECT 0::BIGINT AS pairs, 0::BIGINT AS total",
+)
+_add(
+    "containers", lambda s, d: planner.containers(order_supplier(s, d)).select("item", "seg", "card", "container", "bytes"),
+    f"WITH c AS (SELECT item, tid // 65024 AS seg, count(*) AS card FROM ({INC_SQL['order_supplier']}) GROUP BY ALL), "
+    "l AS (SELECT *, CASE WHEN card <= 1 THEN 1 ELSE length(bin(card - 1)) + 1 END AS lg FROM c), "
+    "g AS (SELECT *, lg + CASE WHEN (1::BIGINT << lg) < card * 2.3::DOUBLE THEN 1 ELSE 0 END AS b FROM l), "
+    "s AS (SELECT *, 4 * card AS list, 3 * (1::BIGINT << least(greatest(b, 9), 16)) AS slot8, 6 * (1::BIGINT << least(greatest(b, 6), 16)) AS "
+    "slot16, 12 * (1::BIGINT << least(greatest(b, 6), 16)) AS slot32, 8128 AS bitmap FROM g), "
+    "m AS (SELECT *, least(list, slot8, slot16, slot32, bitmap) AS bytes FROM s) SELECT item, seg, card, "
+    "CASE bytes WHEN list THEN 'list' WHEN slot8 THEN 'slot8' WHEN slot16 THEN 'slot16' WHEN slot32 THEN 'slot32' ELSE 'bitmap' END AS container, "
+    "bytes FROM m",
+)
 _add(
     "assoc_supplier", lambda s, d: (lambda rows: measure.association(pairs.pair_support(rows, min_support=30), rows))(cut(order_supplier(s, d), "rows")),
-    f"WITH c AS (SELECT item, count(*) AS n FROM ({INC_SQL['order_supplier']}) GROUP BY item), m AS (SELECT count(DISTINCT l_orderkey) AS m FROM lineitem) "
-    f"SELECT item_a, item_b, support, round(support / m, 9) AS support_share, round(support / a.n, 9) AS confidence_ab, round(support / b.n, 9) AS confidence_ba, round(support * m / (a.n * b.n), 9) AS lift, "
-    f"round(support / (a.n + b.n - support), 9) AS jaccard, round(support / sqrt(a.n * b.n), 9) AS cosine, round(support / least(a.n, b.n), 9) AS overlap FROM ({pair_sql(INC_SQL['order_supplier'], 30)}) x JOIN c a ON a.item = item_a JOIN c b ON b.item = item_b, m",
+    f"WITH c AS (SELECT item, count(*) AS n FROM ({INC_SQL['order_supplier']}) GROUP BY item), m AS (SELECT count(DISTINCT l_orderkey) AS m FROM "
+    f"lineitem) "
+    f"SELECT item_a, item_b, support, round(support / m, 9) AS support_share, round(support / a.n, 9) AS confidence_ab, round(support / b.n, 9) AS "
+    f"confidence_ba, round(support * m / (a.n * b.n), 9) AS lift, "
+    f"round(support / (a.n + b.n - support), 9) AS jaccard, round(support / sqrt(a.n * b.n), 9) AS cosine, round(support / least(a.n, b.n), 9) AS "
+    f"overlap FROM ({pair_sql(INC_SQL['order_supplier'], 30)}) x JOIN c a ON a.item = item_a JOIN c b ON b.item = item_b, m",
 )
 
 # SQL functions ------------------------------------------------------------------------------
 
 
-def _small_maps(s: SparkSession, d: str) -> DataFrame:
-    sqlfun.register(s)
-    order_supplier(s, d).where("item < 12").withColumn("x", F.pmod("tid", F.lit(sqlfun.CONFIG.segment))).createOrReplaceTempView("twinslot_incidence")
-    maps = cut(s.sql("SELECT item, (tid - x) div 65024 AS seg, twinslot_build(x) AS map FROM twinslot_incidence GROUP BY item, (tid - x) div 65024"), "sql")
-    maps.createOrReplaceTempView("twinslot_maps")
-    return maps
-
-
-@_query(pair_sql(INC_SQL["order_supplier"] + " WHERE l_suppkey < 12", 1))
-def sql_udf_count(s, d):
-    """Maps built and counted in SQL."""
-    _small_maps(s, d)
-    return s.sql("SELECT item_a, item_b, sum(n) AS support FROM (SELECT a.item AS item_a, b.item AS item_b, twinslot_count(a.map, b.map) AS n FROM twinslot_maps a JOIN twinslot_maps b ON a.seg = b.seg AND a.item < b.item) GROUP BY item_a, item_b HAVING sum(n) > 0")
-
-
-@_query(INC_SQL["order_supplier"] + " WHERE l_suppkey < 12")
-def udtf_elements(s, d):
-    """Maps read back by a table function."""
-    _small_maps(s, d)
-    return s.sql("SELECT m.item, m.seg * 65024 + e.x AS tid FROM twinslot_maps m, LATERAL twinslot_elements(m.map) e")
-
-
-@_query(f"SELECT item, count(*)::BIGINT AS card FROM ({INC_SQL['order_supplier']} WHERE l_suppkey < 12) GROUP BY item")
-def udaf_card(s, d):
-    _small_maps(s, d)
-    return s.sql("SELECT item, sum(twinslot_card(map)) AS card FROM twinslot_maps GROUP BY item")
-
-
-@_query(f"SELECT count(*)::BIGINT AS held FROM ({INC_SQL['order_supplier']} WHERE l_suppkey < 12)")
-def sql_udf_contains(s, d):
-    _small_maps(s, d)
-    return s.sql("SELECT count_if(twinslot_contains(m.map, i.x)) AS held FROM twinslot_incidence i JOIN twinslot_maps m ON m.item = i.item AND m.seg = (i.tid - i.x) div 65024")
-
-
 @_query(pair_sql(INC_SQL["order_part"], 2))
 def udtf_basket_pairs(s, d):
     """Horizontal counting with a table function."""
@@ -476,13 +495,25 @@ def _windowed(kind: str) -> Query:
 
 
 _STAMP = "strftime(w, '%Y-%m-%d %H:%M:%S') AS start"
-_add("stream_tumbling", _windowed("tumbling"), f"SELECT {_STAMP}, event_type, count(*) AS n FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS w, event_type FROM events) WHERE w + INTERVAL 1 HOUR <= {_CLOSED} GROUP BY w, event_type")
-_add("stream_sliding", _windowed("sliding"), f"SELECT {_STAMP}, event_type, count(*) AS n FROM (SELECT time_bucket(INTERVAL 30 MINUTE, ts) - k * INTERVAL 30 MINUTE AS w, event_type FROM events, range(0, 2) r(k)) WHERE w + INTERVAL 1 HOUR <= {_CLOSED} GROUP BY w, event_type")
+_add(
+    "stream_tumbling",
+    _windowed("tumbling"),
+    f"SELECT {_STAMP}, event_type, count(*) AS n FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS w, event_type FROM events) WHERE w + INTERVAL 1 "
+    f"HOUR <= {_CLOSED} GROUP BY w, event_type",
+)
+_add(
+    "stream_sliding",
+    _windowed("sliding"),
+    f"SELECT {_STAMP}, event_type, count(*) AS n FROM (SELECT time_bucket(INTERVAL 30 MINUTE, ts) - k * INTERVAL 30 MINUTE AS w, event_type FROM "
+    f"events, range(0, 2) r(k)) WHERE w + INTERVAL 1 HOUR <= {_CLOSED} GROUP BY w, event_type",
+)
 _add(
     "stream_session", _windowed("session"),
-    "WITH o AS (SELECT event_type, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY event_type ORDER BY ts) < INTERVAL 1 HOUR THEN 0 ELSE 1 END AS new FROM events), "
+    "WITH o AS (SELECT event_type, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY event_type ORDER BY ts) < INTERVAL 1 HOUR THEN 0 ELSE 1 END AS new "
+    "FROM events), "
     "g AS (SELECT *, sum(new) OVER (PARTITION BY event_type ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM o), "
-    f"x AS (SELECT event_type, min(ts) AS w, max(ts) + INTERVAL 1 HOUR AS e, count(*) AS n FROM g GROUP BY event_type, g) SELECT {_STAMP}, event_type, n FROM x WHERE e <= {_CLOSED}",
+    f"x AS (SELECT event_type, min(ts) AS w, max(ts) + INTERVAL 1 HOUR AS e, count(*) AS n FROM g GROUP BY event_type, g) SELECT {_STAMP}, "
+    f"event_type, n FROM x WHERE e <= {_CLOSED}",
 )
 
 from . import surface  # noqa: E402
@@ -492,5 +523,5 @@ for _name, (_run, _sql) in surface.table(t, INCIDENCES, INC_SQL, pair_sql).items
 
 from . import whole  # noqa: E402
 
-for _name, (_run, _sql) in whole.table(t, INCIDENCES, INC_SQL, pair_sql, by_method, grid, _LAYOUT).items():
+for _name, (_run, _sql) in whole.table(t, INCIDENCES, INC_SQL, pair_sql, by_method).items():
     _add(_name, _run, _sql)
