@@ -30,15 +30,17 @@ class Redundancy:
         return [sum(1 << t for t in chosen) for chosen in combinations(range(self.tables), self.copies)]
 
 
-def place(x: np.ndarray, red: Redundancy, bits: int, cfg: Config, max_rounds: int = 60) -> tuple[np.ndarray, np.ndarray]:
-    """Tables ``values[t, slot]`` (element + 1, zero vacant) and ``masks[t, slot]`` (the tables
-    of that element) for one set; elements that found too few places are missing from both."""
+def _places(x: np.ndarray, red: Redundancy, bits: int, cfg: Config) -> np.ndarray:
+    return (perm.tables(cfg.segment, cfg.seed, red.tables)[:, x] & ((1 << bits) - 1)).astype(np.int64)
+
+
+def assign(x: np.ndarray, red: Redundancy, bits: int, cfg: Config, max_rounds: int = 60) -> np.ndarray:
+    """The tables of each element of one set, as bits; zero for elements that found too few places."""
     n, r = len(x), 1 << bits
-    where = np.stack([perm.tables(cfg.segment, cfg.seed, red.tables)[t][x] & (r - 1) for t in range(red.tables)]).astype(np.int64)
+    where = _places(x, red, bits, cfg)
     holder = np.full((red.tables, r), -1, np.int64)
     has = np.zeros((n, red.tables), bool)
-    start = np.arange(n) % red.tables
-    turn = start.copy()
+    turn = np.arange(n) % red.tables
     for _ in range(max_rounds):
         short = np.flatnonzero(has.sum(axis=1) < red.copies)
         if not len(short):
@@ -55,17 +57,27 @@ def place(x: np.ndarray, red: Redundancy, bits: int, cfg: Config, max_rounds: in
             holder[t, where[t, win]] = win
             has[win, t] = True
         turn[short] = (turn[short] + 1) % red.tables
-    good = has.sum(axis=1) == red.copies
-    has[~good] = False
-    mask = (has * (1 << np.arange(red.tables))).sum(axis=1)
-    values, masks = np.zeros((red.tables, r), np.int64), np.zeros((red.tables, r), np.int64)
+    has[has.sum(axis=1) != red.copies] = False
+    return (has * (1 << np.arange(red.tables))).sum(axis=1)
+
+
+def spread(x: np.ndarray, mask: np.ndarray, red: Redundancy, bits: int, cfg: Config) -> tuple[np.ndarray, np.ndarray]:
+    """Tables ``values[t, slot]`` (element + 1, zero vacant) and ``masks[t, slot]`` (the tables of
+    that element) of assigned elements."""
+    values, masks = (np.zeros((red.tables, 1 << bits), np.int64) for _ in range(2))
+    where = _places(x, red, bits, cfg)
     for t in range(red.tables):
-        at = np.flatnonzero(has[:, t])
+        at = np.flatnonzero(mask >> t & 1)
         values[t, where[t, at]] = x[at] + 1
         masks[t, where[t, at]] = mask[at]
     return values, masks
 
 
+def place(x: np.ndarray, red: Redundancy, bits: int, cfg: Config, max_rounds: int = 60) -> tuple[np.ndarray, np.ndarray]:
+    """Both tables of one set; elements that found too few places are missing from both."""
+    return spread(x, assign(x, red, bits, cfg, max_rounds), red, bits, cfg)
+
+
 def witnesses(sets: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
     """Elements common to all sets, each once: a slot counts where all values agree and its
     table is the lowest that no set leaves out for this element."""
@@ -84,43 +96,45 @@ def witnesses(sets: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
 def count(inc: DataFrame, itemsets: DataFrame, d: int, redundancy: Redundancy | None = None, cfg: Config = Config()) -> DataFrame:
     """``itemsets(items)`` of up to ``d`` items with their ``support``, from d of d + 1 layouts.
 
-    Each set is laid out once, written, and joined to the itemsets that hold it. Ranges grow
-    with the number of copies. Elements that found too few places are evaluated
-    exactly from the incidence: their transactions are counted apart. Supports of zero are
-    reported."""
+    Each set's elements are assigned to tables once; elements and assignment are written and
+    joined to the itemsets that hold the set (half more bytes than its list; the tables themselves, with
+    their vacant slots, would be tens of times more), and spread out where they meet. Ranges grow with the
+    number of copies. Elements that found too few places are evaluated exactly: the sets that
+    hold them are looked at. Supports of zero are reported."""
     red = redundancy or Redundancy(d, d + 1)
     if d * (red.tables - red.copies) >= red.tables:
         raise ValueError(f"{d} sets in {red.copies} of {red.tables} tables may have no table in common")
+    if red.tables > 16:
+        raise ValueError("an assignment is stored in 16 bits, so there are 16 tables at most")
     wanted = cut(itemsets.select(F.array_sort(F.array_distinct("items")).alias("items")).distinct(), "itemsets")
     members = wanted.select("items", F.explode("items").alias("item"))
     rows = segmented(inc.join(members.select("item").distinct(), "item", "left_semi"), cfg.segment)
     sets = rows.groupBy("item", "seg").agg(F.array_sort(F.collect_set("x")).alias("xs"))  # at most a segment each
 
+    bits_of = lambda n: max(6, int(2 * n * max(2, red.copies) - 1).bit_length())
+
     def lay(xs: pa.Array) -> pa.Array:
-        """Each set's tables, once: elements and table masks of the slots, and what found too few places."""
         out = []
         for one in xs:
             x = np.asarray(one.values).astype(np.int64)
-            values, masks = place(x, red, max(6, int(2 * len(x) * max(2, red.copies) - 1).bit_length()), cfg)
-            lost = np.setdiff1d(x, np.unique(values[values > 0]) - 1, assume_unique=True)
-            out.append((values.astype("<i4").tobytes(), masks.astype("<u4").tobytes(), lost.astype("<i4").tobytes()))
-        return pa.StructArray.from_arrays([pa.array(c, pa.binary()) for c in (zip(*out) if out else ((), (), ()))], ["v", "m", "lost"])
+            out.append((x.astype("<i4").tobytes(), assign(x, red, bits_of(len(x)), cfg).astype("<u2").tobytes()))
+        return pa.StructArray.from_arrays([pa.array(c, pa.binary()) for c in (zip(*out) if out else ((), ()))], ["x", "m"])
 
-    laid = sets.select("item", "seg", F.arrow_udf(lay, "v binary, m binary, lost binary")("xs").alias("s"))
-    layouts = cut(laid, "layouts")
+    layouts = cut(sets.select("item", "seg", F.arrow_udf(lay, "x binary, m binary")("xs").alias("s")), "layouts")
 
     def common(groups: pa.Array) -> pa.Array:
         out = []
         for group in groups:
-            made, lost = [], []
+            made, lists, lost = [], [], []
             for s in group.as_py():
-                made.append(tuple(np.frombuffer(s[k], kind).astype(np.int64).reshape(red.tables, -1) for k, kind in (("v", "<i4"), ("m", "<u4"))))
-                lost.append(np.frombuffer(s["lost"], "<i4").astype(np.int64))
-            found = len(witnesses(made))
+                x, mask = np.frombuffer(s["x"], "<i4").astype(np.int64), np.frombuffer(s["m"], "<u2").astype(np.int64)
+                made.append(spread(x, mask, red, bits_of(len(x)), cfg))
+                lists.append(x)
+                lost.append(x[mask == 0])
             again = np.unique(np.concatenate(lost))  # failed in some set: look at the sets themselves
-            for (values, _), gone in zip(made, lost) if len(again) else ():
-                again = again[np.isin(again, gone) | np.isin(again + 1, values)]
-            out.append(found + len(again))
+            for x in lists if len(again) else ():
+                again = np.intersect1d(again, x, assume_unique=True)
+            out.append(len(witnesses(made)) + len(again))
         return pa.array(out, pa.int64())
 
     met = members.join(layouts, "item").groupBy("items", "seg").agg(F.collect_list("s").alias("sets"))  # at most d sets each
@@ -142,15 +156,10 @@ def count_anchor(inc: DataFrame, itemsets: DataFrame, cfg: Config = Config()) ->
     built = builder.build(needed, cfg)
     top = 1 << (cfg.slot_bits - 1)
 
-    def run(table: pa.Table) -> pa.Table:
-        by_items: dict[tuple, list[dict]] = {}
-        for row in table.to_pylist():
-            by_items.setdefault(tuple(row["items"]), []).append(row)
+    def hit(groups: pa.Array) -> pa.Array:
         out = []
-        for items, rows in by_items.items():
-            if len(rows) < len(items):
-                continue
-            rows.sort(key=lambda row: row["item"])
+        for group in groups:
+            rows = sorted(group.as_py(), key=lambda row: row["item"])
             anchor = np.frombuffer(rows[0]["slots"], layout.KINDS[cfg.slot_bits])
             hits = np.zeros(len(anchor), np.int64)
             for row in rows[1:]:
@@ -162,14 +171,14 @@ def count_anchor(inc: DataFrame, itemsets: DataFrame, cfg: Config = Config()) ->
             at = np.flatnonzero(anchor)
             codes, tables, _ = layout.decode(anchor, rows[0]["log2_r"], cfg)
             element = perm.inverses(cfg.segment, cfg.seed)[tables, codes]
-            total = np.bincount(element, weights=hits[at], minlength=cfg.segment)
-            out.append((list(items), int((total == len(rows) - 1).sum()) if len(rows) > 1 else len(np.unique(element))))
-        return pa.Table.from_arrays(
-            [pa.array([o[0] for o in out], pa.list_(pa.int64())), pa.array([o[1] for o in out], pa.int64())], names=["items", "support"]
-        )
-
-    met = members.join(builder.maps_of(built), "item")
-    counted = met.groupBy("items", "seg").applyInArrow(run, "items array<bigint>, support bigint")
+            held, back = np.unique(element, return_inverse=True)
+            total = np.bincount(back, weights=hits[at], minlength=len(held))
+            out.append(int((total == len(rows) - 1).sum()) if len(rows) > 1 else len(held))
+        return pa.array(out, pa.int64())
+
+    met = members.join(builder.maps_of(built), "item").groupBy("items", "seg").agg(F.collect_list(F.struct("item", "log2_r", "slots")).alias("maps"))
+    full = met.where(F.size("maps") == F.size("items"))  # at most an itemset's maps each
+    counted = full.select("items", F.arrow_udf(hit, "long")("maps").alias("support"))
     lost = builder.failed_of(built)
     again = lost.select("tid").distinct().join(needed, "tid").join(members, "item").groupBy("items", "tid").agg(F.count_distinct("item").alias("n"))
     touched = lost.join(members, "item").select("items", "tid").distinct()

@@ -67,7 +67,11 @@ def table(t, incidences, inc_sql, pair_sql, by_method) -> dict:
         "fpgrowth": lambda rows: baselines.fp_growth_sets(rows, 20, 3),
         "library_fpgrowth": lambda rows: baselines.library_fp_growth_sets(rows, 20, 3),
     }.items():
-        add(f"triples_{name}", triples(how))
+        add(
+            f"triples_{name}", triples(how),
+            f"WITH i AS ({inc_sql['part_supplier']}) SELECT a.item AS a, b.item AS b, c.item AS c, count(*) AS support FROM i a JOIN i b ON a.tid = b.tid AND a.item < b.item "
+            "JOIN i c ON b.tid = c.tid AND b.item < c.item GROUP BY a.item, b.item, c.item HAVING count(*) >= 20",
+        )
 
     def pairs_3_of_5(s, d):
         rows = cut(part_supplier(s, d), "rows")
