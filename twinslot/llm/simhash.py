@@ -235,6 +235,26 @@ def _band_links(members: DataFrame) -> DataFrame:
     return cut(linked, "band-links")
 
 
+def _sifted(pairs: DataFrame, sketch: DataFrame) -> DataFrame:
+    """The pairs ``(a, b)`` whose sketches agree."""
+    for x in "ab":
+        pairs = pairs.join(cut(sketch.select(F.col("rep").alias(x), F.col("bins").alias(f"bins_{x}")), "bins"), x)
+    return cut(pairs.where(F.arrow_udf(_agree, "boolean")("bins_a", "bins_b")).select("a", "b"), "alike")
+
+
+def _hub_pairs(members: DataFrame, joined: DataFrame, linked: DataFrame) -> DataFrame:
+    """Pairs ``(a, b)`` of a member that lies outside its bucket's largest component with the text of
+    that component that has most links: one pair a member and band."""
+    degree = linked.select(F.col("a").alias("node")).union(linked.select("b")).groupBy("node").agg(F.count("*").alias("n"))
+    best = degree.join(joined, "node").groupBy("component").agg(F.max_by("node", F.struct("n", -F.col("node"))).alias("hub"))
+    labels = joined.select(F.col("node").alias("rep"), F.col("component").alias("c"))
+    named = cut(members.join(labels, "rep", "left").select("band", "rep", F.coalesce("c", "rep").alias("label")), "hub-labels")
+    sizes = named.groupBy("band", "label").agg(F.count("*").alias("n")).groupBy("band").agg(F.max_by("label", F.struct("n", -F.col("label"))).alias("component"), F.count("*").alias("labels"))
+    open_ = cut(sizes.where("labels > 1").join(best, "component").select("band", "component", "hub"), "hubs")
+    outside = named.join(open_, "band").where("label <> component AND rep <> hub")
+    return outside.select(F.greatest("rep", "hub").alias("a"), F.least("rep", "hub").alias("b")).distinct()
+
+
 def _cross(blocks: pa.Array) -> pa.Array:
     """For blocks of (rep, label, side, bins): the pairs of members that lie in different components,
     on different sides if there are two blocks, and whose sketches agree."""
@@ -334,10 +354,7 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
         proposed = cut(proposed.distinct().join(sure, ["a", "b"], "left_anti"), "proposed")
         sketch = cut(texts.groupBy("rep").agg(F.first("bins").alias("bins")), "sketch")
         asked = proposed
-        ends = (sketch.select(F.col("rep").alias(x), F.col("bins").alias(f"bins_{x}")) for x in "ab")
-        for x, end in zip("ab", ends):
-            proposed = proposed.join(cut(end, "bins"), x)
-        proposed = cut(proposed.where(F.arrow_udf(_agree, "boolean")("bins_a", "bins_b")).select("a", "b"), "alike")
+        proposed = _sifted(proposed, sketch)
         # One partner for each text first: most other proposals then join texts already joined.
         one = cut(proposed.groupBy("a").agg(F.min("b").alias("b")), "first-partners")
         proven = _proven(read, one, similarity)
@@ -348,7 +365,12 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
             rest = cut(rest.join(where, x, "left"), "rest")
         rest = cut(rest.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b"), "rest")
         proven = proven.unionByName(_proven(read, rest, similarity))
-        # What the centres of the bands left apart.
+        # What the centres of the bands left apart: first against the best linked text of the largest
+        # component around, which is the text that copies were made from, then all pairs that remain.
+        joined = cut(components(sure.unionByName(proven)), "joined")
+        hubs = cut(_hub_pairs(members, joined, sure.unionByName(proven)).join(asked, ["a", "b"], "left_anti"), "hub-pairs")
+        proven = proven.unionByName(_proven(read, _sifted(hubs, sketch), similarity))
+        asked = asked.unionByName(hubs)
         joined = cut(components(sure.unionByName(proven)), "joined")
         last = cut(_unmet(members, joined, sketch).join(asked, ["a", "b"], "left_anti"), "last")
         proven = proven.unionByName(_proven(read, last, similarity))
