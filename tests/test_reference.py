@@ -145,3 +145,15 @@ def test_every_pair(spark):
     assert found == sorted(itertools.combinations(range(23), 2))
     zero = got(pairs.pair_support(frame(spark, [(1, 1), (2, 1), (3, 2)]), include_zero=True))
     assert zero == {(1, 2): 1, (1, 3): 0, (2, 3): 0}
+
+
+def test_each_segment_has_its_own_blocks(spark):
+    """Items that share no segment don't cost each other tiles: five copies of an instance with keys of their own are cut as one is."""
+    rows = instance(7, n=8, m=127)
+    copies = [(i + 8 * k, t + 127 * k) for k in range(5) for i, t in rows]
+    cfg = Config(segment_j=0, tile_items=8, distribution="tiles")
+    maps = builder.build_maps(frame(spark, copies), cfg).select("item", "seg", F.col("slots").alias("payload"))
+    sent = pairs._segment_tiles(pairs._segment_blocks(maps, cfg), True)
+    assert sent.count() == maps.count() and sent.where("p <> 0 OR q <> 0").isEmpty()
+    assert got(pairs.pair_support(frame(spark, copies), cfg=cfg)) == brute(copies)
+    assert got(pairs.pair_support(frame(spark, copies))) == brute(copies)
