@@ -1,9 +1,14 @@
-"""Plans that must not grow with the tables: broadcasts have a bound."""
+"""Plans that must not grow with the tables: broadcasts have a bound, groups follow what they are sent."""
+
+from collections import Counter
 
 from pyspark.sql import functions as F
 
+from twinslot.operators import baselines
 from twinslot.operators import relational as rel
 
+from .test_pairs import brute, frame, got, instance
+
 
 def test_large_sides_are_not_broadcast(spark, monkeypatch):
     monkeypatch.setattr(rel, "BROADCAST_ROWS", 10)
@@ -13,3 +18,23 @@ def test_large_sides_are_not_broadcast(spark, monkeypatch):
         made = rel.join(left, right, ["k"], "inner", "broadcast")
         assert ("BroadcastHashJoin" in made._jdf.queryExecution().executedPlan().toString()) == broadcast
         assert made.count() == 2 * n
+
+
+def test_groups_follow_stretches(spark, monkeypatch):
+    """Long transactions send the square of their length, so they get more groups than their rows ask for."""
+    rows = instance(5)
+    monkeypatch.setattr(baselines, "FP_GROUPS", 1)
+    monkeypatch.setattr(baselines, "FP_STRETCH", 200)
+    total = sum(t * (t + 1) // 2 for t in Counter(tid for _, tid in set(rows)).values())
+    assert baselines.fp_groups(frame(spark, rows)) == -(-total // 200) > 2
+    assert got(baselines.fp_growth(frame(spark, rows))) == brute(rows)
+
+
+def test_stretches_are_shuffled_once(spark):
+    """Ids of 32 bits and longer ones give the same pairs; stretches meet one exchange by group."""
+    rows = instance(6)
+    assert got(baselines.fp_growth(frame(spark, rows))) == brute(rows)
+    far = [(i + (1 << 40), t) for i, t in rows]
+    plan = baselines.fp_growth(frame(spark, far))
+    text = plan._jdf.queryExecution().executedPlan().toString()
+    assert got(plan) == brute(far) and text.count("Exchange hashpartitioning(g#") == 1 and "path#" not in "".join(x for x in text.splitlines() if "Exchange" in x)
