@@ -294,7 +294,7 @@ def score(
     if order == 3:
         more = blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_trigram_requests(parts, min_count), REQUEST_SCHEMA)
         answers = answers.unionByName(cut(more.groupBy("part").applyInArrow(_answers, ANSWER_SCHEMA), "lm-answers"))
-        return (
+    return (
         blocks.groupBy("block")
         .cogroup(answers.groupBy("block"))
         .applyInArrow(_scores(order, backoff, min_count, total), SCORE_SCHEMA)
