@@ -692,3 +692,34 @@ def test_plans_are_linear_groupings(monkeypatch):
             for i in range(n):
                 filled[first + i // each] += rounded[length]
     assert max(filled.values()) <= 2048
+
+
+def test_crowd_of_far_copies_makes_no_pairs(spark, monkeypatch):
+    """Copies of one text, each edited a bit too far, and some that are near each other: groups are those of
+    brute force, and no row is made of each pair that a sketch can't tell apart."""
+    rng = random.Random(11)
+    base = [rng.choice("abcdefghij") + str(rng.randint(0, 5000)) for _ in range(200)]
+    texts = []
+    for n in range(150):
+        words = list(base) if n % 10 else list(texts[-1]) if texts else list(base)
+        for at in range(rng.randint(0, 30), 200, 40) if n % 10 else (100,):
+            words[at] = f"edit{n}x{at}"
+        texts.append(words)
+    sets = [{tuple(w[i : i + 5]) for i in range(196)} for w in texts]
+    prints = [simhash.fingerprint(" ".join(w)) for w in texts]
+    parent = list(range(150))
+
+    def root(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i, j in ((i, j) for i in range(150) for j in range(i)):
+        if 10 * len(sets[i] & sets[j]) >= 8 * len(sets[i] | sets[j]) or (prints[i] ^ prints[j]).bit_count() <= 2:
+            parent[max(root(i), root(j))] = min(root(i), root(j))
+    made, pairs = [], simhash._unmet
+    monkeypatch.setattr(simhash, "_unmet", lambda *a: (lambda out: made.append(out.count()) or out)(pairs(*a)))
+    monkeypatch.setattr(simhash, "CROWD", 1, raising=False)
+    docs = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(texts)], "doc_id long, text string")
+    assert sorted(r["id"] for r in simhash.survivors(docs).collect()) == [i for i in range(150) if root(i) == i]
+    assert made[0] < 150

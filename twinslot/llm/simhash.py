@@ -129,6 +129,9 @@ _ODD |= np.uint32(1)
 MIXED = 256
 #: Members of a band's bucket meet in blocks of about so many.
 BLOCK = 256
+#: Buckets of more members, where some are apart, are crowds, whose shingles meet in blocks of
+#: ``BLOCK * CROWD_GROWTH`` texts or ``BLOCK * CROWD_SHINGLES`` shingles a side, so many columns of them at a time.
+CROWD, CROWD_GROWTH, CROWD_SHINGLES, COLUMNS = 64, 2, 2000, 2048
 
 
 def word_prints(text: str | None, seeds: tuple[int, ...] = WORD_SEEDS) -> list[int]:
@@ -278,20 +281,69 @@ def _cross(blocks: pa.Array) -> pa.Array:
     return pa.array(out, pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())])))
 
 
-def _unmet(members: DataFrame, joined: DataFrame, sketch: DataFrame) -> DataFrame:
-    """Pairs ``(a, b)`` of one bucket that no component joins yet and whose sketches agree.
+def _same(similarity: float):
+    """For blocks of (rep, label, side, bands, x): links between members that lie in different components,
+    share a band and are similar enough, exactly; no more of them than join what they join."""
 
-    Members in the component of the bucket's smallest one are inside, the others outside:
-    pairs with an outside member are all met, in blocks, so a bucket that is one component
-    costs nothing and one with few members outside is linear in its size. No block is
-    larger than about two times ``BLOCK``, and only pairs that agree become rows."""
+    def same(blocks: pa.Array) -> pa.Array:
+        worker.enter("simhash")
+        out = []
+        for block in blocks:
+            rows = block.values
+            rep, label, side = (np.asarray(rows.field(k).to_numpy(zero_copy_only=False)) for k in ("rep", "label", "side"))
+            sizes = rows.field("x").value_lengths().to_numpy().astype(np.int64)
+            shingles, back = np.unique(rows.field("x").flatten().to_numpy(), return_inverse=True)
+            several = np.bincount(back, minlength=len(shingles)) > 1  # a shingle of one member is common to none
+            owner, column = np.repeat(np.arange(len(rep)), sizes)[several[back]], (np.cumsum(several) - 1)[back[several[back]]]
+            order = np.argsort(column, kind="stable")
+            owner, column = owner[order], column[order]
+            common = np.zeros((len(rep), len(rep)), np.float32)
+            for at in range(0, int(several.sum()), COLUMNS):
+                lo, hi = np.searchsorted(column, (at, at + COLUMNS))
+                held = np.zeros((len(rep), COLUMNS), np.float32)
+                held[owner[lo:hi], column[lo:hi] - at] = 1
+                common += held @ held.T
+            common = np.rint(common).astype(np.int64)
+            i, j = np.nonzero(np.triu(common >= similarity * (sizes[:, None] + sizes[None, :] - common), 1))
+            fine = (label[i] != label[j]) & ((side[i] != side[j]) | (len(np.unique(side)) == 1))
+            i, j = i[fine], j[fine]
+            bands = rows.field("bands").flatten().to_numpy().reshape(-1, BANDS)
+            joins = (bands[i] == bands[j]).any(axis=1) if len(i) else np.zeros(0, bool)
+            parent, found = {}, []
+
+            def root(of):
+                while parent.setdefault(of, of) != of:
+                    of = parent[of]
+                return of
+
+            for one, other in zip(i[joins].tolist(), j[joins].tolist()):
+                x, y = root(int(label[one])), root(int(label[other]))
+                if x != y:
+                    parent[max(x, y)] = min(x, y)
+                    found.append({"a": int(max(rep[one], rep[other])), "b": int(min(rep[one], rep[other]))})
+            out.append(found)
+        return pa.array(out, pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())])))
+
+    return same
+
+
+def _apart(members: DataFrame, joined: DataFrame) -> DataFrame:
+    """``(band, rep, label, out)`` of the buckets that no component joins yet: a member is outside if it lies
+    in another component than the bucket's smallest one."""
     labels = joined.select(F.col("node").alias("rep"), F.col("component").alias("c"))
     named = cut(members.join(labels, "rep", "left").select("band", "rep", F.coalesce("c", "rep").alias("label")), "band-labels")
     open_ = named.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.min_by("label", "rep").alias("centre")).where("low < high")
     open_ = cut(open_.select("band", "centre"), "open-bands")
-    placed = cut(named.join(open_, "band").withColumn("out", F.col("label") != F.col("centre")), "open-members")
+    return cut(named.join(open_, "band").withColumn("out", F.col("label") != F.col("centre")), "open-members")
+
+
+def _meetings(placed: DataFrame, *more: str) -> DataFrame:
+    """``(band, p, q, rep, label, side, *more)``: members of ``placed`` (see ``_apart``, with their ``weight``) in
+    blocks of a weight of about ``BLOCK``. Pairs with an outside member all meet, so a bucket with few members outside is
+    linear in its size. A block has about two times ``BLOCK`` members at most."""
     share = lambda n: F.greatest(F.ceil(n / F.lit(BLOCK)), F.lit(1)).cast("int")
-    sizes = cut(placed.groupBy("band").agg(share(F.count_if("out")).alias("nout"), share(F.count_if(~F.col("out"))).alias("nin")), "open-sizes")
+    weigh = lambda c: F.coalesce(F.sum(F.when(c, F.col("weight"))), F.lit(0))
+    sizes = cut(placed.groupBy("band").agg(share(weigh(F.col("out"))).alias("nout"), share(weigh(~F.col("out"))).alias("nin")), "open-sizes")
     mix = F.xxhash64("rep", F.lit(SEED))
     at = placed.join(sizes, "band").withColumn("s", F.when(F.col("out"), F.pmod(mix, F.col("nout"))).otherwise(-1 - F.pmod(mix, F.col("nin"))).cast("int"))
     outside = F.sequence(F.lit(0), F.col("nout") - 1)
@@ -303,13 +355,46 @@ def _unmet(members: DataFrame, joined: DataFrame, sketch: DataFrame) -> DataFram
             F.transform(inside, lambda k: F.struct(F.col("s").alias("p"), (-k).alias("q"))),
         ),
     ).otherwise(F.transform(outside, lambda k: F.struct(k.alias("p"), F.col("s").alias("q"))))
-    met = cut(at.select("band", "rep", "label", F.col("s").alias("side"), F.explode(meets).alias("m")).select("band", "m.p", "m.q", "rep", "label", "side"), "meetings")
+    found = at.select("band", "rep", "label", F.col("s").alias("side"), F.explode(meets).alias("m"), *more)
+    return found.select("band", "m.p", "m.q", "rep", "label", "side", *more)
+
+
+def _block_pairs(met: DataFrame, row: list[str], kernel) -> DataFrame:
+    """The distinct pairs ``(a, b)`` that ``kernel`` makes of each block of ``met``."""
+    blocks = met.groupBy("band", "p", "q").agg(F.collect_list(F.struct(*row)).alias("x"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high")
+    return blocks.select(F.explode(F.arrow_udf(kernel, "array<struct<a:long,b:long>>")("x")).alias("y")).select("y.a", "y.b").distinct()
+
+
+def _unmet(placed: DataFrame, sketch: DataFrame) -> DataFrame:
+    """Pairs ``(a, b)`` of one bucket of ``placed`` (see ``_apart``) that no component joins yet and whose sketches
+    agree: only they become rows."""
+    met = cut(_meetings(placed.withColumn("weight", F.lit(1))), "meetings")
     fuller = met.join(sketch.withColumnRenamed("rep", "id"), F.col("rep") == F.col("id"))
-    row = F.struct("rep", "label", "side", "bins")
-    blocks = fuller.groupBy("band", "p", "q").agg(F.collect_list(row).alias("x"), F.min("label").alias("low"), F.max("label").alias("high")).where("low < high")
-    with small_batches(members.sparkSession, 64):
-        pairs = blocks.select(F.explode(F.arrow_udf(_cross, "array<struct<a:long,b:long>>")("x")).alias("y")).select("y.a", "y.b")
-        return cut(pairs.distinct(), "unmet")
+    with small_batches(placed.sparkSession, 64):
+        return cut(_block_pairs(fuller, ["rep", "label", "side", "bins"], _cross), "unmet")
+
+
+def _crowd_links(placed: DataFrame, bands: DataFrame, read: DataFrame, similarity: float) -> DataFrame:
+    """Links ``(a, b)`` that are exact already, between members of the same bucket of ``placed`` (see ``_apart``).
+
+    A large group of texts just too far from each other would make a row of each pair that a sketch can't tell from
+    a near copy. Here buckets that share a member are one, so texts that meet in many bands meet once, and their sets of
+    shingles are compared where they meet: rows are the links that join components, no pair that fails is one."""
+    least = placed.groupBy("band").agg(F.min("rep").alias("b"))
+    groups = components(placed.join(least, "band").select(F.col("rep").alias("a"), "b"))
+    texts = cut(placed.select("rep", "label").distinct().join(groups.select(F.col("node").alias("rep"), F.col("component").alias("band")), "rep"), "crowd")
+    ids = texts.select(F.col("rep").alias("id"))
+    wanted = read.join(ids.hint("shuffle_hash"), F.col("doc_id") == F.col("id"), "left_semi")
+    with small_batches(read.sparkSession):
+        sets = cut(wanted.select(F.col("doc_id").alias("id"), F.arrow_udf(_shingle_sets, "array<long>")("text").alias("x")), "crowd-shingles")
+    centres = texts.groupBy("band").agg(F.min_by("label", "rep").alias("centre"))
+    weighed = texts.join(centres, "band").join(sets.select(F.col("id").alias("rep"), F.greatest(F.lit(1 / CROWD_GROWTH), F.size("x") / CROWD_SHINGLES).alias("weight")), "rep")
+    weighed = cut(weighed.select("band", "rep", "label", "weight", (F.col("label") != F.col("centre")).alias("out")), "weighed")
+    met = cut(_meetings(weighed), "crowd-meetings")
+    known = sets.join(bands.withColumnRenamed("rep", "own"), F.col("id") == F.col("own")).select("id", "bands", "x")
+    fuller = met.join(known, F.col("rep") == F.col("id")).drop("id")
+    with small_batches(placed.sparkSession, 1):
+        return cut(_block_pairs(fuller, ["rep", "label", "side", "bands", "x"], _same(similarity)), "crowd-links")
 
 
 def _proven(read: DataFrame, pairs: DataFrame, similarity: float) -> DataFrame:
@@ -334,7 +419,7 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
     one of their word fingerprints is or they share a band of minimum hashes, and their sets of
     five-word shingles have a Jaccard similarity of ``similarity`` or more (exact, over whole
     texts; ASCII case is ignored). A variant's and a band's members are compared with its
-    smallest member first; then all members of a band that are still apart are compared. Copies of one text are one
+    smallest member first; then all members of a band that are still apart are compared, in crowds by their shingles. Copies of one text are one
     row from the first shuffle on. Rows with a null id take no part, null texts are empty; ids
     must not repeat with other texts (see ``keyed``).
     """
@@ -372,8 +457,12 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
         proven = proven.unionByName(_proven(read, _sifted(hubs, sketch), similarity))
         asked = asked.unionByName(hubs)
         joined = cut(components(sure.unionByName(proven)), "joined")
-        last = cut(_unmet(members, joined, sketch).join(asked, ["a", "b"], "left_anti"), "last")
+        placed = _apart(members, joined)
+        crowds = cut(placed.groupBy("band").agg(F.count("*").alias("n")).where(F.col("n") > CROWD).select("band"), "crowds")
+        last = cut(_unmet(placed.join(crowds, "band", "left_anti"), sketch).join(asked, ["a", "b"], "left_anti"), "last")
         proven = proven.unionByName(_proven(read, last, similarity))
+        crowded = cut(placed.join(crowds, "band", "left_semi"), "crowded")
+        proven = proven.unionByName(_crowd_links(crowded, texts.select("rep", "bands"), read, similarity))
         return texts.select("t1", "t2", "rep"), keep(cut(components(sure.unionByName(proven)), "groups"))
 
 
