@@ -230,3 +230,18 @@ def test_plans(spark):
     assert "ReadSchema: struct<l_orderkey:bigint,l_suppkey:bigint>" in plan and "CartesianProduct" not in plan
     hits = apps.conjunctive(lines, "l_orderkey", [F.col("l_quantity") > 40, F.col("l_returnflag") == "R"])
     assert "PushedFilters: [IsNotNull(l_quantity), IsNotNull(l_returnflag), GreaterThan(l_quantity" in hits._jdf.queryExecution().executedPlan().toString()
+
+
+def test_sparse_bitmaps_leave_out_empty_words():
+    """A set of few ids costs its words, not its segment; sparse and dense bitmaps count the same."""
+    import numpy as np
+
+    from twinslot.operators import compare
+
+    rng = np.random.default_rng(3)
+    for most in (6, 4000):
+        sets = [np.sort(rng.choice(65_024, rng.integers(1, most), replace=False)) for _ in range(40)]
+        packed = [compare.pack_words(x.astype(np.int32)) for x in sets]
+        assert all(len(p) <= 10 * len(x) for p, x in zip(packed, sets))
+        want = [[len(np.intersect1d(a, b)) for b in sets[10:]] for a in sets]
+        assert compare.bitmap_kernel(packed, packed[10:]).tolist() == want
