@@ -74,3 +74,17 @@ def test_segments_of_any_long(tids, segment):
     assert sorted((r["seg"], r["x"]) for r in inc.segmented(df, segment).collect()) == sorted(divmod(t, segment) for t in tids)
     words = baselines.bitmap_words(df.distinct()).select("word", F.bit_count("bits").alias("n")).collect()
     assert {r["word"]: r["n"] for r in words} == {w: len({t for t in tids if t >> 6 == w}) for w in {t >> 6 for t in tids}}
+
+
+def test_repeated_rows_are_packed_before_they_are_shuffled(spark):
+    """Distinct rows over the whole range of long, with repeats and nulls; what is shuffled is a row for each set of a task."""
+    from twinslot.sources import incidence
+
+    low, high = -(1 << 63), (1 << 63) - 1
+    want = {(i, t) for i in (low, -1, 0, 7, high) for t in (low, low + 1, -65_537, -65_536, -1, 0, 65_535, 65_536, high)}
+    rows = [*want, *want, (None, 1), (1, None)]
+    made = incidence.from_columns(spark.createDataFrame(rows, "i long, t long"), "i", "t")
+    found = [tuple(r) for r in made.select("item", "tid").collect()]
+    assert len(found) == len(want) and set(found) == want
+    many = spark.range(200_000).selectExpr("id % 3 AS item", "0L AS seg", "cast(id % 5000 AS int) AS x").coalesce(1)
+    assert incidence.packed(many).count() == 3
