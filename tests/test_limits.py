@@ -2,9 +2,11 @@
 
 from collections import Counter
 
+import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
-from twinslot.operators import baselines
+from twinslot.operators import baselines, pairs, partial
 from twinslot.operators import relational as rel
 
 from .test_pairs import brute, frame, got, instance
@@ -38,3 +40,28 @@ def test_stretches_are_shuffled_once(spark):
     plan = baselines.fp_growth(frame(spark, far))
     text = plan._jdf.queryExecution().executedPlan().toString()
     assert got(plan) == brute(far) and text.count("Exchange hashpartitioning(g#") == 1 and "path#" not in "".join(x for x in text.splitlines() if "Exchange" in x)
+
+
+@pytest.mark.parametrize("low, high", ((0, 60), (1 << 62, (1 << 62) + 900), (-(1 << 63), (1 << 63) - 1)))
+def test_partial_counts_are_packed(low, high):
+    """Packed counts are those that went in, summed for each pair, at any ids and of either sign; near ids take under four bytes."""
+    r = np.random.default_rng(7)
+    a, b, n = r.integers(low, high, 4000), r.integers(low, high, 4000), r.integers(-2, 9, 4000)
+    want = Counter()
+    for x, y, k in zip(a.tolist(), b.tolist(), n.tolist()):
+        want[x, y] += k
+    rows = partial.pack([(a[:1000], b[:1000], n[:1000]), (a[1000:], b[1000:], n[1000:])], 5)
+    found = [pair for _, blob in rows for pair in zip(*(c.tolist() for c in partial.decode(blob)))]
+    assert len(found) == len(want) and {(x, y): k for x, y, k in found} == dict(want)
+    assert high - low > 1000 or sum(len(blob) for _, blob in rows) < 4 * len(found)
+
+
+def test_tiles_ship_packed_counts(spark, monkeypatch):
+    """No exchange has a row for each pair and segment, and small steps and many buckets change nothing."""
+    rows = instance(8)
+    plan = pairs.pair_support(frame(spark, rows), cfg=pairs.Config(segment_j=0, max_rounds=2))
+    text = plan._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange hashpartitioning(bucket#" in text
+    assert got(plan) == brute(rows)
+    monkeypatch.setattr(partial, "BUCKET_PAIRS", 3)
+    assert got(pairs.pair_support(frame(spark, rows), min_support=2, cfg=pairs.Config(segment_j=0, max_rounds=2))) == {k: v for k, v in brute(rows).items() if v > 1}
