@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from twinslot.operators import baselines, pairs, partial
+from twinslot.operators import baselines, kway, pairs, partial
 from twinslot.operators import relational as rel
 
 from .test_pairs import brute, frame, got, instance
@@ -65,3 +65,14 @@ def test_tiles_ship_packed_counts(spark, monkeypatch):
     assert got(plan) == brute(rows)
     monkeypatch.setattr(partial, "BUCKET_PAIRS", 3)
     assert got(pairs.pair_support(frame(spark, rows), min_support=2, cfg=pairs.Config(segment_j=0, max_rounds=2))) == {k: v for k, v in brute(rows).items() if v > 1}
+
+
+@pytest.mark.parametrize("red, rounds", ((kway.Redundancy(3, 5), 60), (kway.Redundancy(3, 5), 1), (kway.Redundancy(2, 3), 1)))
+def test_general_pairs_meet_in_tiles(spark, monkeypatch, red, rounds):
+    """Pairs of general redundancy list no itemsets, count alike for sets of different ranges, and lose no element without places."""
+    monkeypatch.setattr(pairs, "every_pair", None)
+    rows = instance(9, n=8, m=500, p=0.3) + [(20, t) for t in range(0, 500, 3)] + [(21, t) for t in range(500)] + [(22, 7)]
+    cfg = pairs.Config(segment_j=2, tile_items=3)
+    assert got(kway.pair_support(frame(spark, rows), red, 2, cfg, rounds)) == brute(rows, 2)
+    few = kway.assign(np.arange(500) % 508, red, kway._bits_of(red)(500), cfg, rounds)
+    assert (few == 0).any() == (rounds < 60)
