@@ -6,8 +6,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from twinslot.operators import baselines, kway, pairs, partial
+from twinslot.operators import baselines, builder, compare, kway, pairs, partial
 from twinslot.operators import relational as rel
+from twinslot.sources import incidence as inc
 
 from .test_pairs import brute, frame, got, instance
 
@@ -76,3 +77,25 @@ def test_general_pairs_meet_in_tiles(spark, monkeypatch, red, rounds):
     assert got(kway.pair_support(frame(spark, rows), red, 2, cfg, rounds)) == brute(rows, 2)
     few = kway.assign(np.arange(500) % 508, red, kway._bits_of(red)(500), cfg, rounds)
     assert (few == 0).any() == (rounds < 60)
+
+
+@pytest.mark.parametrize("cfg", (pairs.Config(), pairs.Config(segment_j=0), pairs.Config(slot_bits=16, segment_j=10), pairs.Config(slack=0.0, max_rounds=2)))
+@pytest.mark.parametrize("share", (0.0, 0.004, 0.25, 0.9))
+def test_compacted_maps_are_the_maps(cfg, share):
+    """Elements and the table of the later copy are the whole map, in a few bits an element at any density."""
+    x = np.flatnonzero(np.random.default_rng(3).random(cfg.segment) < share) if share else np.array([cfg.segment - 1])
+    for _, n, bits, slots, _, _ in builder.build_arrays(np.zeros(len(x), np.int64), np.zeros(len(x), np.int64), x, cfg):
+        small = compare.compacted(slots, bits, cfg)
+        assert (compare.expanded(small, cfg) == slots).all() and len(small) < 3 * n + 40
+        assert share < 0.2 or 10 * len(small) < len(slots.tobytes()) + 400
+        assert compare.compact_kernel(cfg)([small], [small, small]).tolist() == [[len(compare.elements_np(slots.tobytes(), bits, cfg))] * 2]
+
+
+def test_dense_sets_are_packed_as_words():
+    r = np.random.default_rng(4)
+    rows = {(i, s, x) for i, share in ((1, 0.3), (2, 0.001)) for s in (-1, 5) for x in np.flatnonzero(r.random(1 << 16) < share).tolist()}
+    item, seg, x = (np.array(c) for c in zip(*rows, *list(rows)[:50]))  # repeats
+    batches = list(inc._sets([(item, seg, x)]))
+    back = [tuple(row) for b in batches for row in zip(*(c.tolist() for c in inc.rows_of_sets(b)))]
+    assert len(back) == len(rows) and set(back) == rows and sum(sum(b.column("n").to_pylist()) for b in batches) == len(rows)
+    assert sum(len(w or b"") for b in batches for w in b.column("ws").to_pylist()) < len(rows)
