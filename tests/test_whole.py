@@ -4,6 +4,7 @@ import itertools
 from collections import Counter, defaultdict
 
 import pytest
+from pyspark.sql import functions as F
 
 NAMES = [
     "w2_items_over_2_twinslot", "w1_memory_items_over_4", "membership", "pairs_3_of_5", "pairs_with_zero", "sql_udf_count", "udtf_elements",
@@ -51,3 +52,34 @@ def test_shares_grow_with_the_documents(spark, small, k):
     want = sorted((*p, c) for p, c in counts.items() if c >= max(10, n // 10))
     found = entry.queries()[f"w6_share_{k}"](spark, path)
     assert sorted((*sorted((r["item_a"], r["item_b"])), r["support"]) for r in found.collect()) == want
+
+
+@pytest.mark.parametrize("broadcast_rows", (1_000_000, 1_100, 0))
+def test_range_join_of_odd_numbers(spark, broadcast_rows):
+    """Points or ranges are broadcast, or neither is; chunks meet once, ends may be anything."""
+    from twinslot.operators import relational as rel
+
+    odd = [None, float("nan"), float("inf"), float("-inf"), -0.0, 1e300, -1e17]
+    points = [(i, v) for i, v in enumerate(odd + [float(i % 700) for i in range(1_200)])]
+    ends = [(a, b) for a in odd + [5.0, 650.5] for b in odd + [5.0, 650.5]] + [(float(i), i + 9.5) for i in range(600)]
+    ranges = [(i, a, b) for i, (a, b) in enumerate(ends)]
+    key = lambda v: (v != v, 0.0 if v != v else v)  # noqa: E731  NaN is the greatest, as in SQL
+    want = sorted((p, r) for p, v in points for r, a, b in ranges if None not in (v, a, b) and key(a) <= key(v) <= key(b))
+    p = spark.createDataFrame(points, "p long not null, x double").repartition(3)
+    found = rel.range_join(p, spark.createDataFrame(ranges, "r int, lo double, hi double"), "x", "lo", "hi", 50.0, broadcast_rows)
+    assert found.columns == ["p", "x", "r", "lo", "hi"]
+    assert sorted(map(tuple, found.select("p", "r").collect())) == want
+    none = rel.range_join(p.where("false"), spark.createDataFrame(ranges, "r int, lo double, hi double"), "x", "lo", "hi", 50.0, broadcast_rows)
+    assert none.count() == 0
+
+
+def test_range_join_writes_runs_and_copies(spark, tmp_path):
+    """Points in no order, each in about half of 400 ranges in no order."""
+    from twinslot.operators import relational as rel
+
+    points = spark.range(20_000).select(F.col("id").alias("p"), (F.col("id") * 7_919 % 20_000 / 4).alias("x"))
+    ranges = spark.range(400).select(F.col("id").alias("r"), (F.col("id") * 149 % 400 * 6.25).alias("lo"), (F.col("id") * 149 % 400 * 6.25 + 2_500).alias("hi"))
+    rel.range_join(points, ranges, "x", "lo", "hi", 500.0).select("p", "r").write.parquet(f"{tmp_path}/out")
+    rows = spark.read.parquet(f"{tmp_path}/out").count()
+    assert rows == 400 * 10_001
+    assert sum(f.stat().st_size for f in tmp_path.rglob("*.parquet")) < 0.6 * rows
