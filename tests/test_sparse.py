@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from twinslot.config import Config
-from twinslot.operators import builder, compare, pairs
+from twinslot.operators import builder, compare, kway, pairs
 from twinslot.sources import incidence
 
 
@@ -65,3 +65,20 @@ def test_sets_go_on_over_flushes(spark, monkeypatch):
     made = incidence.whole_sets(spark.createDataFrame(rows, "item long, tid long").distinct(), 1000).collect()
     assert len(made) == len({(r["item"], r["seg"]) for r in made})
     assert sorted((r["item"], r["seg"] * 1000 + int(x)) for r in made for x in incidence.places_of(r["xs"], r["ws"])) == sorted(set(rows))
+
+
+def test_layouts_of_general_redundancy_meet_by_their_occupied_slots(monkeypatch):
+    cfg, red, rng = Config(segment_j=5), kway.Redundancy(3, 5), np.random.default_rng(7)
+    bits_of = kway._bits_of(red)
+    sets = [np.sort(rng.choice(cfg.segment, n, replace=False)).astype(np.int64) for n in rng.integers(1, 200, 50)]
+    masks = [kway.assign(x, red, bits_of(len(x)), cfg) for x in sets]
+    masks[3][:2] = 0  # no tables: these don't count
+    made = [x.astype("<i4").tobytes() + m.astype("<u2").tobytes() for x, m in zip(sets, masks)]
+    held = [x[m > 0] for x, m in zip(sets, masks)]
+    kernel = kway.pair_kernel(red, bits_of, cfg)
+    want = [[len(np.intersect1d(a, b)) for b in held] for a in held[:20]]
+    with monkeypatch.context() as m:
+        m.setattr(kway, "_rights", lambda *_: pytest.fail("vacant slots of sparse layouts are compared"))
+        assert kernel(made[:20], made).tolist() == want
+    monkeypatch.setattr(kway, "SLOTS_A_MEETING", 1e9)
+    assert kernel(made[:20], made).tolist() == want
