@@ -1,10 +1,12 @@
 """Maps and sets are handled by their elements where these are few: work follows matches, not slots."""
 
+from collections import Counter
+
 import numpy as np
 import pytest
 
 from twinslot.config import Config
-from twinslot.operators import builder, compare, kway, pairs
+from twinslot.operators import builder, compare, kway, pairs, partial
 from twinslot.sources import incidence
 
 
@@ -82,3 +84,29 @@ def test_layouts_of_general_redundancy_meet_by_their_occupied_slots(monkeypatch)
         assert kernel(made[:20], made).tolist() == want
     monkeypatch.setattr(kway, "SLOTS_A_MEETING", 1e9)
     assert kernel(made[:20], made).tolist() == want
+
+
+def test_bitmaps_of_few_bits_give_pairs_not_a_matrix():
+    rng = np.random.default_rng(8)
+    sets = [np.unique(rng.integers(0, 65_024, n)) for n in rng.integers(1, 20, 700)]
+    packed = [compare.pack_words(x) for x in sets]
+    i, j, n = compare.bitmap_counts(packed, packed[10:])
+    got = {(a, b): c for a, b, c in zip(i.tolist(), j.tolist(), n.tolist())}
+    assert len(got) == len(n) and min(got.values()) > 0
+    held = [set(x.tolist()) for x in sets]
+    assert got == {(a, b): len(x & y) for a, x in enumerate(held) for b, y in enumerate(held[10:]) if x & y}
+    dense = [compare.pack_words(np.arange(0, 640, 2)) for _ in range(700)]
+    assert compare.bitmap_counts(dense, dense) is None and (compare.bitmap_counts(dense[:500], dense) == 320).all()
+
+
+@pytest.mark.parametrize("method", ["bitmap", "twinslot", "merge"])
+def test_buckets_follow_the_pairs_of_transactions(spark, monkeypatch, method):
+    seen = []
+    of = partial.bucket_count
+    monkeypatch.setattr(partial, "bucket_count", lambda bound: seen.append(bound) or of(bound))
+    monkeypatch.setattr(pairs, "MANY_PAIRS", 10)
+    rows = [(i, t) for t in range(40) for i in range(t * 3, t * 3 + 4)]
+    inc = spark.createDataFrame(rows, "item long, tid long")
+    got = {(r["item_a"], r["item_b"]): r["support"] for r in pairs.pair_support(inc, method).collect()}
+    want = Counter((a, b) for t in range(40) for a in range(t * 3, t * 3 + 4) for b in range(a + 1, t * 3 + 4))
+    assert got == want and seen == [40 * 6]
