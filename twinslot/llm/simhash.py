@@ -365,9 +365,10 @@ def _block_pairs(met: DataFrame, row: list[str], kernel) -> DataFrame:
     return blocks.select(F.explode(F.arrow_udf(kernel, "array<struct<a:long,b:long>>")("x")).alias("y")).select("y.a", "y.b").distinct()
 
 
-def _unmet(placed: DataFrame, sketch: DataFrame) -> DataFrame:
-    """Pairs ``(a, b)`` of one bucket of ``placed`` (see ``_apart``) that no component joins yet and whose sketches
-    agree: only they become rows."""
+def _unmet(members: DataFrame, joined: DataFrame | None, sketch: DataFrame) -> DataFrame:
+    """Pairs ``(a, b)`` of one bucket of ``members`` that no component of ``joined`` joins yet and whose sketches
+    agree: only they become rows. Without ``joined`` members are those of ``_apart``."""
+    placed = members if joined is None else _apart(members, joined)
     met = cut(_meetings(placed.withColumn("weight", F.lit(1))), "meetings")
     fuller = met.join(sketch.withColumnRenamed("rep", "id"), F.col("rep") == F.col("id"))
     with small_batches(placed.sparkSession, 64):
@@ -459,7 +460,7 @@ def near_copies(docs: DataFrame, similarity: float = SIMILARITY, radius: int = 2
         joined = cut(components(sure.unionByName(proven)), "joined")
         placed = _apart(members, joined)
         crowds = cut(placed.groupBy("band").agg(F.count("*").alias("n")).where(F.col("n") > CROWD).select("band"), "crowds")
-        last = cut(_unmet(placed.join(crowds, "band", "left_anti"), sketch).join(asked, ["a", "b"], "left_anti"), "last")
+        last = cut(_unmet(placed.join(crowds, "band", "left_anti"), None, sketch).join(asked, ["a", "b"], "left_anti"), "last")
         proven = proven.unionByName(_proven(read, last, similarity))
         crowded = cut(placed.join(crowds, "band", "left_semi"), "crowded")
         proven = proven.unionByName(_crowd_links(crowded, texts.select("rep", "bands"), read, similarity))
